@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from lexnorm.llm.html_extract import extract
+from lexnorm.llm.quality import judge
 from lexnorm.llm.simhash_dedup import near_duplicates
 from lexnorm.llm.substring_dedup import remove_repeats
 from lexnorm.sources.store import table
@@ -20,12 +21,16 @@ def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(table(spark, sf_dir, "documents"), with_text=False).drop("kept_text")
 
 
+def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op7_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_html_extract, op3_substring_dedup, op7_simhash_dedup)}
+    return {f.__name__: f for f in (op1_html_extract, op3_substring_dedup, op4_quality_rules, op7_simhash_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
