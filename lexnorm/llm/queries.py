@@ -4,12 +4,14 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from lexnorm.llm.html_extract import extract
 from lexnorm.llm.quality import judge
 from lexnorm.llm.simhash_dedup import near_duplicates
 from lexnorm.llm.substring_dedup import remove_repeats
+from lexnorm.llm.token_file import round_trip
 from lexnorm.sources.store import table
 
 
@@ -29,8 +31,12 @@ def op7_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op9_token_file(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return round_trip(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_html_extract, op3_substring_dedup, op4_quality_rules, op7_simhash_dedup)}
+    return {f.__name__: f for f in (op1_html_extract, op3_substring_dedup, op4_quality_rules, op7_simhash_dedup, op9_token_file)}
 
 
 def oracle_sql() -> dict[str, str]:
