@@ -18,8 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lexnorm.llm.windows import GRAM, SIZE, anchored, first_seen, keyed, remove_covered, window_keys
-from lexnorm.llm.words import slices
+from lexnorm.llm.windows import GRAM, SIZE, WINDOWS, anchored, first_seen, keyed, later_copies, remove_covered, windows_batch, without
+from lexnorm.llm.words import mix, slices
 from lexnorm.sources.store import materialise, ship
 
 ROWS = 2
@@ -51,8 +51,10 @@ def repeated_cells(documents: DataFrame, bits: int, size: int = SIZE, gram: int
         for whole in batches:
             for b in slices(whole, "text"):
                 a = anchored(b.column(b.schema.get_field_index("text")), size, gram)
-                at = a.anchors[np.concatenate([[True], a.anchors[1:] != a.anchors[:-1]])] if len(a.anchors) else a.anchors
-                parts.append(a.grams[np.unique(at)])
+                at = np.unique(a.anchors)
+                # A gram counts once a text: what a text repeats within itself is nobody's copy.
+                _, once = np.unique(a.grams[at] + mix(a.owner(at).astype(np.uint64)), return_index=True)
+                parts.append(a.grams[at[once]])
         keys = np.concatenate(parts) if parts else np.zeros(0, np.uint64)
         cells, counts = np.unique(np.concatenate(_cells(keys, bits)), return_counts=True)
         shard = (cells >> np.uint64(SHARD_BITS)).astype(np.int64)
@@ -86,7 +88,7 @@ def repeated_cells(documents: DataFrame, bits: int, size: int = SIZE, gram: int
 
 
 def candidate_windows(documents: DataFrame, sketch: bytes, bits: int, size: int = SIZE, gram: int = GRAM) -> DataFrame:
-    """Windows whose anchor the sketch estimates at two or more, as (h1, h2, doc_id, text_key, start)."""
+    """Windows whose anchor the sketch estimates at two or more, as (h1, h2, doc_id, place)."""
     shared = documents.sparkSession.sparkContext.broadcast(sketch)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -100,15 +102,9 @@ def candidate_windows(documents: DataFrame, sketch: bytes, bits: int, size: int
                 hit = np.ones(len(keys), dtype=bool)
                 for c in _cells(keys, bits):
                     hit &= (marks[c >> np.uint64(3)] >> (np.uint8(7) - (c & np.uint64(7)).astype(np.uint8)) & 1).astype(bool)
-                starts = a.starts[hit]
-                owner = a.owner(starts)
-                h1, h2 = window_keys(a.hashes, starts, size)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(h1), pa.array(h2), b.column(0).take(pa.array(owner)), b.column(2).take(pa.array(owner)), pa.array((starts - a.words.first[owner]).astype(np.int32))],
-                    names=["h1", "h2", "doc_id", "text_key", "start"],
-                )
+                yield windows_batch(a, a.starts[hit], b.column(0), b.column(2), size)
 
-    return documents.mapInArrow(run, "h1 long, h2 long, doc_id long, text_key long, start int")
+    return documents.mapInArrow(run, WINDOWS)
 
 
 def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, gram: int = GRAM, with_text: bool = True) -> DataFrame:
@@ -120,11 +116,11 @@ def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str =
     repeat id and text get the same result. Other columns are ignored, whatever
     their names. An empty table gives an empty result.
     """
-    spark = documents.sparkSession
-    ship(spark)
+    ship(documents.sparkSession)
     bits = sketch_bits(documents, text_col, gram, size)
     docs = keyed(documents, id_col, text_col)
-    named = docs.where("doc_id is not null")
-    sketch = repeated_cells(named, bits, size, gram)
-    windows = materialise(candidate_windows(named, sketch, bits, size, gram), "windows")
-    return remove_covered(docs, first_seen(windows), size, with_text)
+    copies = later_copies(docs)
+    compared = without(docs.where("doc_id is not null"), copies)
+    sketch = repeated_cells(compared, bits, size, gram)
+    windows = materialise(candidate_windows(compared, sketch, bits, size, gram), "windows")
+    return remove_covered(docs, first_seen(windows), copies, size, with_text)

@@ -63,17 +63,40 @@ def window_keys(h: np.ndarray, starts: np.ndarray, size: int = SIZE) -> tuple[np
     return tuple(r(h, size)[starts].view(np.int64) for r in ROLLING)
 
 
+#: Tables of at most so many rows of two longs (64 MB) are broadcast; larger ones are joined by a shuffle.
+BROADCAST_ROWS = 4_000_000
+#: The start that stands for every window of a text.
+WHOLE = -1
+
+
 def keyed(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The columns the operators need: id, text as bytes, and a hash that tells rows of one id apart."""
+    """The columns the operators need: id, text as bytes, and 32 bits that tell rows of one id apart."""
     return documents.select(
         F.col(id_col).cast("long").alias("doc_id"),
         F.col(text_col).cast("binary").alias("text"),
-        F.xxhash64(F.col(text_col)).alias("text_key"),
+        F.xxhash64(F.col(text_col)).bitwiseAND(0xFFFFFFFF).alias("tag"),
     )
 
 
+def later_copies(documents: DataFrame) -> DataFrame:
+    """``doc_id, tag`` of documents whose whole text also stands in a smaller one.
+
+    All their windows are repeated, so none need be compared; the smallest copy
+    speaks for its group, however large the group is.
+    """
+    keys = documents.where("doc_id is not null and text is not null").select("doc_id", "tag", F.md5("text").alias("text_md5"))
+    lead = materialise(keys.groupBy("text_md5").agg(F.min("doc_id").alias("lead"), F.max("doc_id").alias("last")).where("lead < last").drop("last"), "copies")
+    return materialise(keys.join(lead, "text_md5").where("doc_id > lead").select("doc_id", "tag").distinct(), "copies")
+
+
+def without(documents: DataFrame, copies: DataFrame) -> DataFrame:
+    if copies.count() <= BROADCAST_ROWS:
+        copies = F.broadcast(copies)
+    return documents.join(copies, ["doc_id", "tag"], "left_anti").select("doc_id", "text", "tag")
+
+
 def first_seen(windows: DataFrame) -> DataFrame:
-    """Windows (h1, h2, doc_id, text_key, start) that also start in a smaller ``doc_id``.
+    """``doc_id, tag, start`` of windows (h1, h2, doc_id, place) that also start in a smaller document.
 
     The smallest document of each window is found with partial aggregation, so
     a passage in a third of all documents sends one row a task.
@@ -82,15 +105,27 @@ def first_seen(windows: DataFrame) -> DataFrame:
         windows.groupBy("h1", "h2").agg(F.min("doc_id").alias("lowest"), F.max("doc_id").alias("highest")).where("lowest < highest").drop("highest"),
         "first-windows",
     )
-    return windows.join(first, ["h1", "h2"]).where("doc_id > lowest").select("doc_id", "text_key", "start")
+    later = windows.join(first, ["h1", "h2"]).where("doc_id > lowest")
+    return later.select("doc_id", F.shiftrightunsigned("place", 32).alias("tag"), F.col("place").bitwiseAND(0xFFFFFFFF).cast("int").alias("start"))
+
+
+def windows_batch(a: Anchored, starts: np.ndarray, ids: pa.Array, tags: pa.Array, size: int) -> pa.RecordBatch:
+    """Rows (h1, h2, doc_id, place); ``place`` packs a text's tag and the start within it."""
+    owner = a.owner(starts)
+    h1, h2 = window_keys(a.hashes, starts, size)
+    place = (tags.to_numpy(zero_copy_only=False).astype(np.int64)[owner] << 32) | (starts - a.words.first[owner])
+    return pa.RecordBatch.from_arrays([pa.array(h1), pa.array(h2), ids.take(pa.array(owner)), pa.array(place)], names=["h1", "h2", "doc_id", "place"])
 
 
+WINDOWS = "h1 long, h2 long, doc_id long, place long"
 RESULT = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string"
 
 
 def _kept(words: list[bytes], starts: list[int] | None, size: int) -> list[bytes]:
     if not starts:
         return words
+    if WHOLE in starts:
+        return [] if len(words) >= size else words
     mark = np.zeros(len(words) + 1, dtype=np.int32)
     at = np.asarray(starts)
     np.add.at(mark, at, 1)
@@ -99,10 +134,11 @@ def _kept(words: list[bytes], starts: list[int] | None, size: int) -> list[bytes
     return [w for w, c in zip(words, covered.tolist(), strict=True) if not c]
 
 
-def remove_covered(documents: DataFrame, repeated: DataFrame, size: int, with_text: bool) -> DataFrame:
+def remove_covered(documents: DataFrame, repeated: DataFrame, copies: DataFrame, size: int, with_text: bool) -> DataFrame:
     """Drop the words of ``documents`` (see :func:`keyed`) that a repeated window covers."""
-    starts = repeated.groupBy("doc_id", "text_key").agg(F.collect_set("start").alias("starts"))
-    joined = documents.join(starts, ["doc_id", "text_key"], "left").select("doc_id", "text", "starts")
+    marks = repeated.unionByName(copies.withColumn("start", F.lit(WHOLE)))
+    starts = marks.groupBy("doc_id", "tag").agg(F.collect_set("start").alias("starts"))
+    joined = documents.join(starts, ["doc_id", "tag"], "left").select("doc_id", "text", "starts")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
