@@ -8,6 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from lexnorm.llm.html_extract import extract
+from lexnorm.llm.language_model import score
 from lexnorm.llm.quality import judge
 from lexnorm.llm.simhash_dedup import near_duplicates
 from lexnorm.llm.substring_dedup import remove_repeats
@@ -19,6 +20,10 @@ def op1_html_extract(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract(table(spark, sf_dir, "pages"))
 
 
+def op2_language_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return score(table(spark, sf_dir, "documents"))
+
+
 def op3_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(table(spark, sf_dir, "documents"), with_text=False).drop("kept_text")
 
@@ -36,7 +41,7 @@ def op9_token_file(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_html_extract, op3_substring_dedup, op4_quality_rules, op7_simhash_dedup, op9_token_file)}
+    return {f.__name__: f for f in (op1_html_extract, op2_language_model, op3_substring_dedup, op4_quality_rules, op7_simhash_dedup, op9_token_file)}
 
 
 def oracle_sql() -> dict[str, str]:
