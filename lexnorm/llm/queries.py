@@ -7,6 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
+from lexnorm.llm.decontaminate import scan
 from lexnorm.llm.html_extract import extract
 from lexnorm.llm.language_model import score
 from lexnorm.llm.quality import judge
@@ -38,6 +39,10 @@ def op5_unigram_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"), with_ids=False, rank_scores=True).drop("ids")
 
 
+def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return scan(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op7_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -51,7 +56,7 @@ def op9_token_file(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_html_extract, op2_language_model, op3_substring_dedup, op4_quality_rules, op5_unigram_encoding, op7_simhash_dedup, op8_suffix_dedup, op9_token_file)}
+    return {f.__name__: f for f in (op1_html_extract, op2_language_model, op3_substring_dedup, op4_quality_rules, op5_unigram_encoding, op6_decontamination, op7_simhash_dedup, op8_suffix_dedup, op9_token_file)}
 
 
 def oracle_sql() -> dict[str, str]:
