@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lexnorm.llm.words import slices
+from lexnorm.llm.words import carried, restored, slices
 from lexnorm.sources.store import ship
 
 GRAM = 3
@@ -214,15 +214,17 @@ def _blocks(benchmark: DataFrame, item_id: str, item_text: str) -> Iterator[list
         yield rows
 
 
-def scan(documents: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", threshold: float = THRESHOLD) -> DataFrame:
+def scan(documents: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id: str = "item_id", item_text: str = "text", threshold: float = THRESHOLD, carry: tuple[str, ...] = ()) -> DataFrame:
     """``doc_id, n_aligned, best_item, score, contaminated`` for every row of ``documents``.
 
     Null and empty texts, and items under ``GRAM`` words, match nothing. Null ids
     and repeated rows are scanned like any other. Null and empty items are left
-    out; without items nothing is contaminated. Other columns are ignored.
+    out; without items nothing is contaminated. Columns named in ``carry`` come
+    along, others are ignored.
     """
     ship(documents.sparkSession)
-    docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
+    extra, kinds = carried(documents, carry)
+    docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"), *extra)
     total = docs.count()
     found: list[Items] = []
     for rows in _blocks(benchmark, item_id, item_text):
@@ -247,6 +249,6 @@ def scan(documents: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", tex
                             best, score = i, s
                     rows.append((n, best, score, score >= threshold))
                 n, best, score, dirty = zip(*rows, strict=True) if rows else ((),) * 4
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(best, pa.int64()), pa.array(score, pa.float64()), pa.array(dirty, pa.bool_())], names=["doc_id", "n_aligned", "best_item", "score", "contaminated"])
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(best, pa.int64()), pa.array(score, pa.float64()), pa.array(dirty, pa.bool_()), *b.columns[2:]], names=["doc_id", "n_aligned", "best_item", "score", "contaminated", *b.schema.names[2:]])
 
-    return docs.mapInArrow(run, "doc_id long, n_aligned long, best_item long, score double, contaminated boolean")
+    return restored(docs.mapInArrow(run, "doc_id long, n_aligned long, best_item long, score double, contaminated boolean" + kinds), carry)

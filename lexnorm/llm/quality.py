@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lexnorm.llm.words import ROLLING, Words, mix, slices
+from lexnorm.llm.words import ROLLING, Words, carried, mix, restored, slices
 from lexnorm.sources.store import ship
 
 #: Bound of the labelled sample.
@@ -251,25 +251,26 @@ def _fails(base: dict[str, np.ndarray]) -> np.ndarray:
 RESULT = "doc_id long, " + ", ".join(f"{k} long" for k in BASE) + ", base_failed boolean, score double, kept boolean"
 
 
-def judge(documents: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def judge(documents: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
     """Statistics and verdict of every row.
 
     Columns: ``doc_id``, the five counts, ``base_failed``, the anomaly ``score``
     and ``kept``. A null or empty text has zero counts and fails the base rules.
     Null ids and repeated rows are judged like any other. Without labels nothing
-    is rejected beyond the base rules. Other columns are ignored; an empty table
-    gives an empty result.
+    is rejected beyond the base rules. Columns named in ``carry`` come along, others
+    are ignored; an empty table gives an empty result.
     """
     ship(documents.sparkSession)
-    docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
-    forest, threshold = fit(docs, labels.select(F.col("doc_id").cast("long").alias("doc_id"), "quality"))
+    extra, kinds = carried(documents, carry)
+    docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"), *extra)
+    forest, threshold = fit(docs.select("doc_id", "text"), labels.select(F.col("doc_id").cast("long").alias("doc_id"), "quality"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for b in slices(whole, "text"):
                 base, x = statistics(b.column(1))
                 failed, score = _fails(base), forest.score(x)
-                cols = [b.column(0), *(pa.array(base[k], pa.int64()) for k in BASE), pa.array(failed), pa.array(score), pa.array(~failed & (score < threshold))]
-                yield pa.RecordBatch.from_arrays(cols, names=["doc_id", *BASE, "base_failed", "score", "kept"])
+                cols = [b.column(0), *(pa.array(base[k], pa.int64()) for k in BASE), pa.array(failed), pa.array(score), pa.array(~failed & (score < threshold)), *b.columns[2:]]
+                yield pa.RecordBatch.from_arrays(cols, names=["doc_id", *BASE, "base_failed", "score", "kept", *b.schema.names[2:]])
 
-    return docs.mapInArrow(run, RESULT)
+    return restored(docs.mapInArrow(run, RESULT + kinds), carry)

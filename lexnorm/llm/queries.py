@@ -6,10 +6,12 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from lexnorm.llm.decontaminate import scan
 from lexnorm.llm.html_extract import extract
 from lexnorm.llm.language_model import score
+from lexnorm.llm.license_scan import scan as scan_licences
 from lexnorm.llm.quality import judge
 from lexnorm.llm.simhash_dedup import near_duplicates
 from lexnorm.llm.substring_dedup import remove_repeats
@@ -55,8 +57,13 @@ def op9_token_file(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = scan_licences(table(spark, sf_dir, "documents"))
+    return out.select("doc_id", "n_licences", "n_unknown", F.array_join("families", ",").alias("families"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_html_extract, op2_language_model, op3_substring_dedup, op4_quality_rules, op5_unigram_encoding, op6_decontamination, op7_simhash_dedup, op8_suffix_dedup, op9_token_file)}
+    return {f.__name__: f for f in (op1_html_extract, op2_language_model, op3_substring_dedup, op4_quality_rules, op5_unigram_encoding, op6_decontamination, op7_simhash_dedup, op8_suffix_dedup, op9_token_file, op10_license_scan)}
 
 
 def oracle_sql() -> dict[str, str]:

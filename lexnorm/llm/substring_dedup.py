@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from lexnorm.llm.windows import GRAM, SIZE, WINDOWS, anchored, first_seen, keyed, later_copies, remove_covered, windows_batch, without
-from lexnorm.llm.words import mix, slices
+from lexnorm.llm.words import carried, mix, restored, slices
 from lexnorm.sources.store import materialise, ship
 
 ROWS = 2
@@ -107,20 +107,21 @@ def candidate_windows(documents: DataFrame, sketch: bytes, bits: int, size: int
     return documents.mapInArrow(run, WINDOWS)
 
 
-def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, gram: int = GRAM, with_text: bool = True) -> DataFrame:
+def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, gram: int = GRAM, with_text: bool = True, carry: tuple[str, ...] = ()) -> DataFrame:
     """Remove every word covered by a window that also starts in a smaller document.
 
     Returns ``doc_id, n_words, n_removed, kept_sha256, kept_text`` for each input
     row. Null or empty texts and texts under ``size`` words keep all their words.
     A null id is never smaller than another and its text is kept whole. Rows that
-    repeat id and text get the same result. Other columns are ignored, whatever
-    their names. An empty table gives an empty result.
+    repeat id and text get the same result. Columns named in
+    ``carry`` come along, others are ignored, whatever their names. An empty table gives an empty result.
     """
     ship(documents.sparkSession)
     bits = sketch_bits(documents, text_col, gram, size)
-    docs = keyed(documents, id_col, text_col)
+    extra, kinds = carried(documents, carry)
+    docs = keyed(documents, id_col, text_col, extra)
     copies = later_copies(docs)
     compared = without(docs.where("doc_id is not null"), copies)
     sketch = repeated_cells(compared, bits, size, gram)
     windows = materialise(candidate_windows(compared, sketch, bits, size, gram), "windows")
-    return remove_covered(docs, first_seen(windows), copies, size, with_text)
+    return restored(remove_covered(docs, first_seen(windows), copies, size, with_text, kinds), carry)

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from lexnorm.llm.windows import BROADCAST_ROWS, GRAM, SIZE, WINDOWS, anchored, first_seen, keyed, later_copies, remove_covered, windows_batch, without
-from lexnorm.llm.words import mix, slices
+from lexnorm.llm.words import carried, mix, restored, slices
 from lexnorm.sources.store import materialise, ship
 
 
@@ -92,19 +92,20 @@ def extend(documents: DataFrame, prefixes: DataFrame, size: int = SIZE, gram: in
     return joined.mapInArrow(run, WINDOWS)
 
 
-def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, gram: int = GRAM, with_text: bool = True, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, gram: int = GRAM, with_text: bool = True, broadcast_rows: int = BROADCAST_ROWS, carry: tuple[str, ...] = ()) -> DataFrame:
     """Remove every word inside a match of ``size`` words or more with a smaller document.
 
     Returns ``doc_id, n_words, n_removed, kept_sha256, kept_text`` for each input
     row. Null, empty and short texts keep all their words; a null id is never
     smaller than another and its text is kept whole. Rows that repeat id and text
-    get the same result. Other columns are ignored; an empty table gives an empty
-    result. What a document repeats within itself stays.
+    get the same result. Columns named in ``carry`` come along, others are ignored;
+    an empty table gives an empty result. What a document repeats within itself stays.
     """
     ship(documents.sparkSession)
-    docs = keyed(documents, id_col, text_col)
+    extra, kinds = carried(documents, carry)
+    docs = keyed(documents, id_col, text_col, extra)
     copies = later_copies(docs)
     compared = without(docs.where("doc_id is not null"), copies)
     prefixes = materialise(shared_prefixes(retained_suffixes(compared, size, gram)), "prefixes")
     windows = materialise(extend(compared, prefixes, size, gram, broadcast_rows), "windows")
-    return remove_covered(docs, first_seen(windows), copies, size, with_text)
+    return restored(remove_covered(docs, first_seen(windows), copies, size, with_text, kinds), carry)

@@ -69,12 +69,13 @@ BROADCAST_ROWS = 4_000_000
 WHOLE = -1
 
 
-def keyed(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def keyed(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", extra: list | None = None) -> DataFrame:
     """The columns the operators need: id, text as bytes, and 32 bits that tell rows of one id apart."""
     return documents.select(
         F.col(id_col).cast("long").alias("doc_id"),
         F.col(text_col).cast("binary").alias("text"),
         F.xxhash64(F.col(text_col)).bitwiseAND(0xFFFFFFFF).alias("tag"),
+        *(extra or []),
     )
 
 
@@ -134,11 +135,11 @@ def _kept(words: list[bytes], starts: list[int] | None, size: int) -> list[bytes
     return [w for w, c in zip(words, covered.tolist(), strict=True) if not c]
 
 
-def remove_covered(documents: DataFrame, repeated: DataFrame, copies: DataFrame, size: int, with_text: bool) -> DataFrame:
+def remove_covered(documents: DataFrame, repeated: DataFrame, copies: DataFrame, size: int, with_text: bool, kinds: str = "") -> DataFrame:
     """Drop the words of ``documents`` (see :func:`keyed`) that a repeated window covers."""
     marks = repeated.unionByName(copies.withColumn("start", F.lit(WHOLE)))
     starts = marks.groupBy("doc_id", "tag").agg(F.collect_set("start").alias("starts"))
-    joined = documents.join(starts, ["doc_id", "tag"], "left").select("doc_id", "text", "starts")
+    joined = documents.join(starts, ["doc_id", "tag"], "left").select("doc_id", "text", "starts", *(c for c in documents.columns if c.startswith("carried_")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -151,8 +152,8 @@ def remove_covered(documents: DataFrame, repeated: DataFrame, copies: DataFrame,
                     for c, v in zip(cols, (len(words), len(words) - len(kept), hashlib.sha256(out).hexdigest(), out if with_text else None), strict=True):
                         c.append(v)
                 yield pa.RecordBatch.from_arrays(
-                    [b.column(0), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2]), pa.array(cols[3], pa.binary()).cast(pa.string())],
-                    names=["doc_id", "n_words", "n_removed", "kept_sha256", "kept_text"],
+                    [b.column(0), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2]), pa.array(cols[3], pa.binary()).cast(pa.string()), *b.columns[3:]],
+                    names=["doc_id", "n_words", "n_removed", "kept_sha256", "kept_text", *b.schema.names[3:]],
                 )
 
-    return joined.mapInArrow(run, RESULT)
+    return joined.mapInArrow(run, RESULT + kinds)

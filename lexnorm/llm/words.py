@@ -146,3 +146,19 @@ def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 1 << 21) -> Ite
         j = max(i + 1, int(np.searchsorted(total, total[i] + most_bytes, side="right")) - 1)
         yield batch.slice(i, j - i)
         i = j
+
+
+def carried(documents, carry: tuple[str, ...]) -> tuple[list, str]:
+    """Columns to send along under names that clash with nothing, and their part of a result schema."""
+    from pyspark.sql import functions as F
+
+    kinds = dict(documents.dtypes)
+    columns = [F.col(f"`{c}`").alias(f"carried_{i}") for i, c in enumerate(carry)]
+    return columns, "".join(f", carried_{i} {kinds[c]}" for i, c in enumerate(carry))
+
+
+def restored(frame, carry: tuple[str, ...]):
+    """Give carried columns their own names back."""
+    for i, c in enumerate(carry):
+        frame = frame.withColumnRenamed(f"carried_{i}", c)
+    return frame
