@@ -30,7 +30,10 @@ SEED = 42
 #: The tree is grown on so many distinct fingerprints at most; all are searched.
 SAMPLE = 32768
 SHARD = 4096
-DEEPEST = 10
+#: Shards hold this many times the root of the number of fingerprints, and ``SHARD`` at least: each level of
+#: the tree sends about half as many rows again, so depth grows half as fast as with shards of one size.
+SHARD_GROWTH = 24
+DEEPEST = 12
 BLOCK = 1 << 20
 
 
@@ -195,6 +198,7 @@ def links(distinct: DataFrame, radius: int = RADIUS, sample: int = SAMPLE, shard
     ship(spark)
     total = distinct.count()
     taken = distinct.select("fp").orderBy(F.xxhash64("fp")).limit(sample)
+    shard = max(shard, int(SHARD_GROWTH * total**0.5))
     tree, _ = grow(np.array([r[0] for r in taken.collect()], dtype=np.int64).view(np.uint64), total, shard, radius)
 
     def route(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
