@@ -501,7 +501,7 @@ QUERIES |= {name: _variant(p) for name, p in VARIANTS.items()}
 QUERIES |= {f"perturb_{r}": _noised(r) for r in workloads.RATES}
 QUERIES |= relational.QUERIES | jobs.QUERIES | sqlapi.QUERIES
 
-_V = f"vocab AS ({sql.vocab()})"
+_V = f"vocab AS MATERIALIZED ({sql.vocab()})"
 _SHOWN = f"vocab AS (SELECT word FROM ({sql.vocab()}) WHERE ('0x' || substr(md5(word), 1, 4))::BIGINT % 100 = 0)"
 _IX = f"WITH RECURSIVE {sql.index(P)}"
 _QX = f"WITH RECURSIVE {sql.index(QUALITY)}"
@@ -524,10 +524,10 @@ _COVERS = ", ".join(f"round({_COVER.format(c=c, w=w)}, 8) AS {n}" for c, w, n in
 
 
 def _coverage(source: str, alphas: tuple[str, ...]) -> str:
-    parts, ctes = [], [f"vocab AS ({sql.vocab(source)})", sql.sigs(P), "weighed AS (SELECT a.word AS src, b.word AS dst, count(*) AS weight FROM sigs a JOIN sigs b ON a.rep = b.rep AND a.sig = b.sig AND a.word < b.word GROUP BY ALL)"]
+    parts, ctes = [], [f"vocab AS MATERIALIZED ({sql.vocab(source)})", sql.sigs(P), "weighed AS MATERIALIZED (SELECT a.word AS src, b.word AS dst, count(*) AS weight FROM sigs a JOIN sigs b ON a.rep = b.rep AND a.sig = b.sig AND a.word < b.word GROUP BY ALL HAVING count(*) >= 2)"]
     weights = {a: HashParams(alpha=a).index_min for a in alphas}
     for w in sorted(set(weights.values())):
-        ctes += [f"e{w} AS (SELECT src, dst FROM weighed WHERE weight >= {w})", sql.components(f"e{w}", f"cc{w}"), sql.norm().replace("norm AS", f"norm{w} AS").replace("JOIN cc ON", f"JOIN cc{w} ON")]
+        ctes += [f"e{w} AS (SELECT src, dst FROM weighed WHERE weight >= {w})", sql.components(f"e{w}", f"cc{w}"), sql.norm().replace("norm AS MATERIALIZED", f"norm{w} AS MATERIALIZED").replace("JOIN cc ON", f"JOIN cc{w} ON")]
     for a, w in weights.items():
         parts.append(f"SELECT '{a}' AS alpha, {_COVERS}, count(DISTINCT comp) FILTER (size > 1) AS groups, max(size) AS largest FROM norm{w}")
     return "WITH RECURSIVE " + ", ".join(ctes) + " " + " UNION ALL ".join(parts)

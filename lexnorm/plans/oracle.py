@@ -57,28 +57,28 @@ def sigs(params: HashParams, words: str = "vocab", tag: str = "") -> str:
     chain = "0"
     for k in range(params.bins):
         chain = f"((d{k} + {chain}) % {PRIME} * fa + fb) % {PRIME}"
-    return f"{minima(params, words, tag)}, {dense(params, tag)}, sigs{tag} AS (SELECT word, rep, {chain} AS sig FROM dense{tag})"
+    return f"{minima(params, words, tag)}, {dense(params, tag)}, sigs{tag} AS MATERIALIZED (SELECT word, rep, {chain} AS sig FROM dense{tag})"
 
 
 def edges(params: HashParams, least: int | None = None) -> str:
     """CTEs up to ``edges(src, dst, weight)`` over the vocabulary of documents."""
     w = params.index_min if least is None else least
-    return f"vocab AS ({vocab()}), {sigs(params)}, edges AS (SELECT a.word AS src, b.word AS dst, count(*) AS weight FROM sigs a JOIN sigs b ON a.rep = b.rep AND a.sig = b.sig AND a.word < b.word GROUP BY ALL HAVING count(*) >= {w})"
+    return f"vocab AS MATERIALIZED ({vocab()}), {sigs(params)}, edges AS MATERIALIZED (SELECT a.word AS src, b.word AS dst, count(*) AS weight FROM sigs a JOIN sigs b ON a.rep = b.rep AND a.sig = b.sig AND a.word < b.word GROUP BY ALL HAVING count(*) >= {w})"
 
 
 def components(source: str = "edges", name: str = "cc") -> str:
     """CTE ``cc(node, comp)``: the least word reachable, by spreading minima along links."""
-    both = f"(SELECT src AS u, dst AS v FROM {source} UNION ALL SELECT dst, src FROM {source})"
     return (
+        f"sym_{name} AS MATERIALIZED (SELECT src AS u, dst AS v FROM {source} UNION ALL SELECT dst, src FROM {source}), "
         f"{name}(node, comp) USING KEY (node) AS (SELECT word, word FROM vocab UNION "
-        f"SELECT e.v, min(c.comp) FROM {name} c JOIN {both} e ON c.node = e.u JOIN recurring.{name} r ON r.node = e.v WHERE c.comp < r.comp GROUP BY e.v)"
+        f"SELECT x.v, x.m FROM (SELECT e.v, min(c.comp) AS m FROM {name} c JOIN sym_{name} e ON c.node = e.u GROUP BY e.v) x JOIN recurring.{name} r ON r.node = x.v AND x.m < r.comp)"
     )
 
 
 def norm() -> str:
     """CTE ``norm`` after ``vocab`` and ``cc``."""
     return (
-        "norm AS (SELECT word, freq, comp, first_value(word) OVER w AS rep_word, first_value(freq) OVER w AS rep_freq, count(*) OVER (PARTITION BY comp) AS size "
+        "norm AS MATERIALIZED (SELECT word, freq, comp, first_value(word) OVER w AS rep_word, first_value(freq) OVER w AS rep_freq, count(*) OVER (PARTITION BY comp) AS size "
         "FROM vocab JOIN cc ON node = word WINDOW w AS (PARTITION BY comp ORDER BY freq DESC, word))"
     )
 
