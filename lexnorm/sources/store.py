@@ -14,6 +14,9 @@ from pyspark.sql import DataFrame, SparkSession
 #: Used only where the session names no shared folder (single-machine tests).
 LOCAL_FALLBACK = "/tmp/checkpoints"
 
+#: Rows of one Arrow batch: whole texts travel in it, so it must be small.
+BATCH_ROWS = 1000
+
 _made: dict[str, str] = {}
 _shipped: set[str] = set()
 
@@ -64,7 +67,8 @@ def materialise(df: DataFrame, tag: str) -> DataFrame:
 
 
 def ship(spark: SparkSession) -> None:
-    """Send this package to the executors once for each application."""
+    """Send this package to the executors once for each application, and keep Arrow batches small."""
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     app = spark.sparkContext.applicationId
     if app in _shipped:
         return
