@@ -14,6 +14,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -122,38 +123,65 @@ WINDOWS = "h1 long, h2 long, doc_id long, place long"
 RESULT = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string"
 
 
-def _kept(words: list[bytes], starts: list[int] | None, size: int) -> list[bytes]:
-    if not starts:
+def _kept(words: list[bytes], lows: list[int] | None, highs: list[int] | None, size: int) -> list[bytes]:
+    """Words outside all windows that start from ``low`` to ``high``."""
+    if not lows:
         return words
-    if WHOLE in starts:
+    if WHOLE in lows:
         return [] if len(words) >= size else words
-    mark = np.zeros(len(words) + 1, dtype=np.int32)
-    at = np.asarray(starts)
-    np.add.at(mark, at, 1)
-    np.add.at(mark, at + size, -1)
-    covered = np.cumsum(mark[:-1]) > 0
-    return [w for w, c in zip(words, covered.tolist(), strict=True) if not c]
+    out, at = [], 0
+    for lo, hi in zip(lows, highs or (), strict=True):  # in order
+        if lo > at:
+            out += words[at:lo]
+        at = max(at, hi + size)
+    return out + words[at:]
+
+
+def start_ranges(repeated: DataFrame) -> DataFrame:
+    """``doc_id, tag, lows, highs``: runs of consecutive window starts, in order."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            starts = b.column(2)
+            at = np.asarray(starts.flatten(), dtype=np.int64)
+            first = np.concatenate([[0], np.cumsum(np.asarray(pa.compute.list_value_length(starts), dtype=np.int64))])
+            fresh = np.ones(len(at), dtype=bool)
+            fresh[1:] = at[1:] != at[:-1] + 1
+            fresh[first[:-1][first[:-1] < len(at)]] = True
+            lo = np.flatnonzero(fresh)
+            hi = np.concatenate([lo[1:], [len(at)]])[: len(lo)] - 1
+            offsets = pa.array(np.searchsorted(lo, first).astype(np.int32))
+            lists = [pa.ListArray.from_arrays(offsets, pa.array(at[x].astype(np.int32))) for x in (lo, hi)]
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), *lists], names=["doc_id", "tag", "lows", "highs"])
+
+    grouped = repeated.groupBy("doc_id", "tag").agg(F.array_sort(F.collect_set("start")).alias("starts"))
+    return grouped.mapInArrow(run, "doc_id long, tag long, lows array<int>, highs array<int>")
 
 
 def remove_covered(documents: DataFrame, repeated: DataFrame, copies: DataFrame, size: int, with_text: bool, kinds: str = "") -> DataFrame:
-    """Drop the words of ``documents`` (see :func:`keyed`) that a repeated window covers."""
-    marks = repeated.unionByName(copies.withColumn("start", F.lit(WHOLE)))
-    starts = marks.groupBy("doc_id", "tag").agg(F.collect_set("start").alias("starts"))
-    joined = documents.join(starts, ["doc_id", "tag"], "left").select("doc_id", "text", "starts", *(c for c in documents.columns if c.startswith("carried_")))
+    """Drop the words of ``documents`` (see :func:`keyed`) that a repeated window covers.
+
+    Up to ``BROADCAST_ROWS`` ranges of starts go to every task and no text is
+    moved; more are joined to the texts by document.
+    """
+    marks = materialise(start_ranges(repeated.unionByName(copies.withColumn("start", F.lit(WHOLE)))), "ranges")
+    if (marks.agg(F.sum(F.size("lows"))).first()[0] or 0) <= BROADCAST_ROWS:
+        marks = F.broadcast(marks)
+    joined = documents.join(marks, ["doc_id", "tag"], "left").select("doc_id", "text", "lows", "highs", *(c for c in documents.columns if c.startswith("carried_")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for b in slices(whole, "text", 1 << 23):
                 cols: list[list] = [[], [], [], []]
-                for text, at in zip(b.column(1), b.column(2), strict=True):
+                for text, lows, highs in zip(b.column(1), b.column(2), b.column(3), strict=True):
                     words = (text.as_py() or b"").split()
-                    kept = _kept(words, at.as_py(), size)
+                    kept = _kept(words, lows.as_py(), highs.as_py(), size)
                     out = b" ".join(kept)
                     for c, v in zip(cols, (len(words), len(words) - len(kept), hashlib.sha256(out).hexdigest(), out if with_text else None), strict=True):
                         c.append(v)
                 yield pa.RecordBatch.from_arrays(
-                    [b.column(0), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2]), pa.array(cols[3], pa.binary()).cast(pa.string()), *b.columns[3:]],
-                    names=["doc_id", "n_words", "n_removed", "kept_sha256", "kept_text", *b.schema.names[3:]],
+                    [b.column(0), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2]), pa.array(cols[3], pa.binary()).cast(pa.string()), *b.columns[4:]],
+                    names=["doc_id", "n_words", "n_removed", "kept_sha256", "kept_text", *b.schema.names[4:]],
                 )
 
     return joined.mapInArrow(run, RESULT + kinds)

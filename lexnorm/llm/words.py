@@ -133,7 +133,7 @@ class Rolling:
 ROLLING = tuple(Rolling(b) for b in WINDOW_BASES)
 
 
-def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 1 << 21) -> Iterator[pa.RecordBatch]:
+def slices(batch: pa.RecordBatch, column: str, most_bytes: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """Cut a batch so that each part holds about ``most_bytes`` of ``column`` (one text at least)."""
     n = batch.num_rows
     if not n:
