@@ -233,7 +233,8 @@ def fit(documents: DataFrame, labels: DataFrame, rows: int = FIT_ROWS, seed: int
                 base, x = statistics(b.column(0))
                 yield pa.RecordBatch.from_arrays([b.column(1), pa.array(_fails(base)), pa.array(list(x), pa.list_(pa.float64()))], names=["quality", "failed", "x"])
 
-    taken = documents.join(chosen, "doc_id").select("doc_id", "text", "quality").dropDuplicates(["doc_id"])
+    # At most ``rows`` ids and labels: a bounded broadcast, so no text of other documents moves.
+    taken = documents.join(F.broadcast(chosen), "doc_id").select("doc_id", "text", "quality").dropDuplicates(["doc_id"])
     got = taken.select("text", F.col("quality").cast("int").alias("quality")).mapInArrow(run, "quality int, failed boolean, x array<double>").where("not failed").toArrow()
     x = np.array(got.column("x").to_pylist(), dtype=float).reshape(-1, len(FEATURES))
     good = np.array(got.column("quality").to_pylist(), dtype=int) == 1
