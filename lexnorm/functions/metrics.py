@@ -96,7 +96,7 @@ def edge_quality(edges: DataFrame, truth: DataFrame) -> DataFrame:
     """Precision and recall of edges against true pairs (both ``src, dst``)."""
     both = edges.select("src", "dst").distinct().withColumn("found", F.lit(True)).join(truth.select("src", "dst").distinct().withColumn("true", F.lit(True)), ["src", "dst"], "full")
     hit, found, true = _count(F.col("found") & F.col("true")), _count(F.col("found").isNotNull()), _count(F.col("true").isNotNull())
-    return both.agg(found.alias("found"), true.alias("true"), hit.alias("hit")).select("*", _ratio(F.col("hit").cast("double"), F.col("found").cast("double")).alias("precision"), _ratio(F.col("hit").cast("double"), F.col("true").cast("double")).alias("recall"))
+    return both.agg(found.alias("found"), true.alias("expected"), hit.alias("hit")).select("*", _ratio(F.col("hit").cast("double"), F.col("found").cast("double")).alias("precision"), _ratio(F.col("hit").cast("double"), F.col("expected").cast("double")).alias("recall"))
 
 
 def component_edit_profile(norm: DataFrame) -> DataFrame:

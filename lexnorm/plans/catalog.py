@@ -287,15 +287,15 @@ def exact_jaccard_pairs(spark, d):
 
 
 def _common(spark, d):
-    """Words seen twice or more: the ground truth of pairs is compared on these."""
-    return _vocab(spark, d).where("freq >= 2")
+    """Words seen 20 times or more: the ground truth of all pairs is compared on these."""
+    return _vocab(spark, d).where("freq >= 20")
 
 
 def edge_quality(spark, d):
     ix = index(spark, d)
     common = _common(spark, d).select("word")
     mine = ix.edges.join(common.withColumnRenamed("word", "src"), "src", "left_semi").join(common.withColumnRenamed("word", "dst"), "dst", "left_semi")
-    return metrics.edge_quality(mine, graph.exact_pairs(_common(spark, d), P.char_lens, JACCARD)).select("found", "true", "hit", F.round("precision", 8).alias("precision"), F.round("recall", 8).alias("recall"))
+    return metrics.edge_quality(mine, graph.exact_pairs(_common(spark, d), P.char_lens, JACCARD)).select("found", "expected", "hit", F.round("precision", 8).alias("precision"), F.round("recall", 8).alias("recall"))
 
 
 def collision_curve(spark, d):
@@ -509,7 +509,7 @@ _MS = ", ".join(f"m{k}" for k in range(P.bins))
 _ASK = "SELECT DISTINCT word FROM ({})"
 _ATTACHED = f"{_IX}, " + sql.attach(P, _ASK.format(sql.words_of("conversations")))
 _COLS = "word, matched, weight::BIGINT AS weight, rep_word, status"
-_COMMON = f"common AS (SELECT word, {sql.gram_list('word', P.char_lens)} AS g FROM ({sql.vocab()}) WHERE freq >= 2), cg AS (SELECT word, len(g) AS n, unnest(g) AS g FROM common)"
+_COMMON = f"common AS (SELECT word, {sql.gram_list('word', P.char_lens)} AS g FROM ({sql.vocab()}) WHERE freq >= 20), cg AS (SELECT word, len(g) AS n, unnest(g) AS g FROM common)"
 
 
 def _exact(least: float) -> str:
@@ -565,7 +565,7 @@ def _bounds_sql() -> str:
     fp = lambda x: f"round(CASE WHEN {a} <= q THEN 1 ELSE least(1, {x}) END, 9)"
     fn = lambda n: f"round(CASE WHEN {a} >= p THEN 1 ELSE least(1, exp(-{n} * t * (p - {a}) ** 2 / (2 * p))) END, 9)"
     d = f"({a} / q - 1)"
-    forms = {"fp_printed": fp(f"c * exp(-t * (q - {a}) ** 2 / (3 * q))"), "fp_valid": fp(f"c * exp(-({d}) ** 2 * t * q / (2 + {d}))"), "fp_exact": fp(f"c * {tail('q', up, 't')}"), "fn_printed": fn("c"), "fn_peers": fn("(c - 1)"), "fn_exact": f"round(({tail('p', '0', f'({up} - 1)')}) ** (c - 1), 9)"}
+    forms = {"fp_printed": fp(f"c * exp(-t * (q - {a}) ** 2 / (3 * q))"), "fp_valid": fp(f"c * exp(-(({d}) ** 2) * t * q / (2 + {d}))"), "fp_exact": fp(f"c * {tail('q', up, 't')}"), "fn_printed": fn("c"), "fn_peers": fn("(c - 1)"), "fn_exact": f"round(({tail('p', '0', f'({up} - 1)')}) ** (c - 1), 9)"}
     return f"SELECT c, t, alpha_num, p, q, {', '.join(f'{v} AS {k}' for k, v in forms.items())} FROM (SELECT c, t, p::DOUBLE AS p, q::DOUBLE AS q, alpha_num, alpha_den FROM (VALUES {rows}) g(c, t, p, q, alpha_num, alpha_den))"
 
 
@@ -611,7 +611,7 @@ ORACLES: dict[str, str] = {
     "coverage_conversations": _coverage("conversations", ("0.1", "0.2", "0.3", "0.5")),
     "case_components": f"{_QX}, top AS (SELECT rep_word, sum(CASE WHEN word <> rep_word THEN freq ELSE 0 END) AS moved FROM norm WHERE size > 1 GROUP BY rep_word ORDER BY moved DESC, rep_word LIMIT 20) SELECT rep_word, rep_freq, size, string_agg(word, ' ' ORDER BY freq DESC, word) AS members FROM norm WHERE rep_word IN (SELECT rep_word FROM top) GROUP BY ALL",
     "exact_jaccard_pairs": f"WITH {_exact(JACCARD)} SELECT src, dst, round(jaccard, 8) AS jaccard FROM truth",
-    "edge_quality": f"WITH {sql.edges(P)}, {_exact(JACCARD)}, mine AS (SELECT src, dst FROM edges WHERE src IN (SELECT word FROM common) AND dst IN (SELECT word FROM common)), c AS (SELECT (SELECT count(*) FROM mine) AS found, (SELECT count(*) FROM truth) AS true, (SELECT count(*) FROM mine JOIN truth USING (src, dst)) AS hit) SELECT found, true, hit, round(hit / found, 8) AS precision, round(hit / true, 8) AS recall FROM c",
+    "edge_quality": f"WITH {sql.edges(P)}, {_exact(JACCARD)}, mine AS (SELECT src, dst FROM edges WHERE src IN (SELECT word FROM common) AND dst IN (SELECT word FROM common)), c AS (SELECT (SELECT count(*) FROM mine) AS found, (SELECT count(*) FROM truth) AS expected, (SELECT count(*) FROM mine JOIN truth USING (src, dst)) AS hit) SELECT found, expected, hit, round(coalesce(hit / nullif(found, 0), 0), 8) AS precision, round(coalesce(hit / nullif(expected, 0), 0), 8) AS recall FROM c",
     "collision_curve": f"WITH {_V}, {sql.sigs(P)}, {_exact(0.5)}, r AS (SELECT src, dst, jaccard, sum((a.sig = b.sig)::INT) / {P.repetitions} AS rate FROM truth JOIN sigs a ON a.word = src JOIN sigs b ON b.word = dst AND a.rep = b.rep GROUP BY ALL) SELECT least(floor(jaccard * 10), 9)::BIGINT AS bin, count(*) AS pairs, round(avg(jaccard), 8) AS jaccard, round(avg(rate), 8) AS rate FROM r GROUP BY bin",
     "estimate_pq": f"WITH RECURSIVE {sql.edges(P)}, strong AS (SELECT src, dst FROM edges WHERE weight >= {QUALITY.index_min}), {sql.components('strong')} SELECT a.comp = b.comp AS inside, count(*) AS pairs, round(min(weight / 20), 8) AS least, round(max(weight / 20), 8) AS greatest, round(avg(weight / 20), 8) AS mean FROM edges JOIN cc a ON a.node = src JOIN cc b ON b.node = dst GROUP BY inside",
     "error_bounds": _bounds_sql(),

@@ -18,9 +18,20 @@ def replay(spark: SparkSession, d: str, name: str, files: int = 3, order: str |
     """A given table as a stream of a few files, in order of a column."""
     path = new_folder(spark, f"stream-{name}")
     whole = table(spark, d, name)
-    rows = whole.repartitionByRange(files, order) if order else whole.repartition(files)
-    rows.write.parquet(path)
-    return spark.readStream.schema(whole.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    if order is None:
+        whole.repartition(files).write.parquet(path)
+    else:
+        # One write a file, so that files are listed, and read, in order.
+        place = F.unix_micros(F.col(order).cast("timestamp")) if dict(whole.dtypes)[order].startswith("timestamp") else F.col(order).cast("long")
+        keyed = whole.withColumn("_place", place)
+        cuts = keyed.approxQuantile("_place", [i / files for i in range(1, files)], 0.01)
+        for lo, hi in zip([None, *cuts], [*cuts, None], strict=True):
+            part = keyed.where(F.lit(True) if lo is None else F.col("_place") >= lo).where(F.lit(True) if hi is None else F.col("_place") < hi)
+            part.drop("_place").coalesce(1).write.mode("append").parquet(path)
+    stream = spark.readStream.schema(whole.schema).option("maxFilesPerTrigger", 1).parquet(path)
+    # Watermarks need a timestamp with a zone; the tables' have none and count as the session's.
+    zoneless = [c for c, k in stream.dtypes if k == "timestamp_ntz"]
+    return stream.withColumns({c: F.col(c).cast("timestamp") for c in zoneless}) if zoneless else stream
 
 
 def collected(stream: DataFrame, mode: str = "append") -> DataFrame:
