@@ -21,6 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from lexnorm.llm.memo import Memo
 from lexnorm.sources.store import ship
 
 MARKER = "▁"
@@ -122,7 +123,7 @@ class Pieces:
 class Unigram:
     """Encoder and decoder over a vocabulary."""
 
-    def __init__(self, pieces: Pieces, most: int = 400_000):
+    def __init__(self, pieces: Pieces, most: int = 150_000):
         usable = {i: t for i, t in pieces.text.items() if t.strip(MARKER).find(MARKER) < 0 and (t.startswith(MARKER) or MARKER not in t)}
         if len(usable) != len(pieces.text):
             raise ValueError("a piece holds the space marker after another character")
@@ -135,8 +136,7 @@ class Unigram:
         self.byte_id = np.array([pieces.bytes_.get(b, pieces.unknown) for b in range(256)], dtype=np.int32)
         self.surface = {i: t.encode() for i, t in pieces.text.items()}
         self.surface |= {i: bytes([b]) for b, i in pieces.bytes_.items()}
-        self.known: dict[bytes, bytes] = {}
-        self.most = most
+        self.memo = Memo(self._made, most)
 
     def segment(self, words: list[bytes]) -> list[np.ndarray]:
         """Ids of each word: Viterbi over all words at once, shorter words first done.
@@ -216,21 +216,21 @@ class Unigram:
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         """Ids of each text."""
-        if len(self.known) > self.most:
-            self.known.clear()
-        cut = [self.words(t) for t in texts]
-        fresh = list({w for c in cut for w in c if w not in self.known})
-        fresh.sort(key=len)
+        return [np.frombuffer(x, dtype="<u4") for x in self.memo.joined([self.words(t) for t in texts])]
+
+    def _made(self, fresh: list[bytes]) -> list[bytes]:
+        """Ids of words as bytes; words of like length together, about 4 MB of cells."""
+        order = sorted(range(len(fresh)), key=lambda k: len(fresh[k]))
+        out: list[bytes] = [b""] * len(fresh)
         i = 0
-        while i < len(fresh):  # words of like length together, about 4 MB of cells
+        while i < len(order):
             j = i + 1
-            while j < len(fresh) and (j - i + 1) * (len(fresh[j]) + 1) <= 250_000:
+            while j < len(order) and (j - i + 1) * (len(fresh[order[j]]) + 1) <= 250_000:
                 j += 1
-            for w, ids in zip(fresh[i:j], self.segment(fresh[i:j]), strict=True):
-                self.known[w] = ids.tobytes()
+            for k, ids in zip(order[i:j], self.segment([fresh[k] for k in order[i:j]]), strict=True):
+                out[k] = ids.tobytes()
             i = j
-        known = self.known
-        return [np.frombuffer(b"".join([known[w] for w in c]), dtype="<u4") for c in cut]
+        return out
 
     def decode(self, ids: Iterable[int]) -> str:
         """The text of ids; bytes that form no character become U+FFFD."""
