@@ -28,6 +28,8 @@ FIT_ROWS = 20_000
 TREES = 100
 SUBSAMPLE = 256
 SEED = 17
+#: Scores stay below one; without labels of both kinds no document is rejected by its score.
+ACCEPT_ALL = 2.0
 MIN_WORDS = 20
 MOST_REPEATED = 30  # percent of words in repeated windows
 WINDOW = 8
@@ -207,7 +209,7 @@ def grow_forest(x: np.ndarray, trees: int = TREES, subsample: int = SUBSAMPLE, s
 def calibrate(scores: np.ndarray, good: np.ndarray) -> float:
     """The threshold that best tells good from bad labelled rows, false rejections counting threefold."""
     if not len(scores) or good.all() or not good.any():
-        return float(scores.max()) + 1e-9 if len(scores) else 1.0
+        return ACCEPT_ALL
     order = np.argsort(scores, kind="stable")
     s, g = scores[order], good[order]
     kept_good = np.concatenate([[0], np.cumsum(g)]) / g.sum()
@@ -225,7 +227,7 @@ def fit(documents: DataFrame, labels: DataFrame, rows: int = FIT_ROWS, seed: int
     known = labels.where("doc_id is not null and quality is not null").groupBy("doc_id").agg(F.min("quality").alias("quality"))
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
     if known.count() == 0:
-        return grow_forest(np.zeros((0, len(FEATURES)))), 1.0
+        return grow_forest(np.zeros((0, len(FEATURES)))), ACCEPT_ALL
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
