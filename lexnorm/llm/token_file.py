@@ -21,6 +21,8 @@ reaches will do, and a lost executor repeats just its part.
 
 from __future__ import annotations
 
+import gc
+import os
 import re
 import struct
 import zlib
@@ -32,6 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from lexnorm.llm.memo import Memo
 from lexnorm.sources.store import new_folder, ship
 
 MAGIC = b"TIDSEF01"
@@ -124,67 +127,97 @@ class Block:
         return self.ids[self.bounds.select(k) : self.bounds.select(k + 1)]
 
 
-#: A space next to other white space, or at an end: there a plain split at spaces could part a run.
-#: Python's ``\s`` holds all of Unicode's white space, so a cut never falls inside a run of it.
-_WIDE = re.compile(r"\s | \s|\A | \Z")
+#: White space besides the space itself. Where one stands next to a space, or a space at an end or next
+#: to another, a plain split at spaces could part a run. Beyond ASCII, the first bytes of any will do.
+_BLANKS = "\t\n\x0b\x0c\r\x1c\x1d\x1e\x1f"
+_WIDE_BLANKS = (b"\xc2\x85", b"\xc2\xa0", b"\xe1\x9a\x80", b"\xe2\x80", b"\xe2\x81\x9f", b"\xe3\x80\x80")
 _CUT = re.compile(r"(?<=\S)(?= \S)")
 
 
+def risky(text: str) -> bool:
+    """Whether splitting at spaces might cut inside a run of white space."""
+    if "  " in text or text[:1] == " " or text[-1:] == " ":
+        return True
+    for c in _BLANKS:
+        if c in text and (c + " " in text or " " + c in text):
+            return True
+    if text.isascii():
+        return False
+    raw = text.encode()
+    return any(b in raw for b in _WIDE_BLANKS)
+
+
 class PieceCache:
-    """Encodes texts piece by piece, each distinct piece once.
+    """Encodes texts piece by piece, each distinct piece once while remembered.
 
     A byte-level BPE never merges across the start of " word" where single
     spaces part non-blank runs, so ids of a text are the ids of its pieces in
-    order. Texts that hold the text of an added token, or that the tokenizer
-    would normalise, are encoded whole. The cache is emptied when full.
+    order. Texts that hold the text of an added token, and all texts of
+    tokenizers of another kind, are encoded whole.
     """
 
-    def __init__(self, path: str, most: int = 400_000, width: int = 2):
+    def __init__(self, path: str, most: int = 500_000, width: int = 2):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.kind = f"<u{width}"
-        self.most = most
-        self.known: dict[str, bytes] = {}
-        added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
-        self.whole = re.compile("|".join(map(re.escape, added))) if added else None
+        self.words = Memo(self._words, most)
+        self.others = Memo(self._ids, most // 8)
+        self.added = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
         pre = self.tokenizer.pre_tokenizer
+        self.spaced = np.zeros(self.tokenizer.get_vocab_size(), dtype=bool)
+        self.spaced[[i for t, i in self.tokenizer.get_vocab().items() if t.startswith("\u0120")]] = True
         self.pieces = self.tokenizer.normalizer is None and type(pre).__name__ == "ByteLevel" and not pre.add_prefix_space and pre.use_regex
 
     def _ids(self, texts: list[str]) -> list[bytes]:
         return [np.array(e.ids, dtype=self.kind).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def _words(self, words: list[str]) -> list[bytes]:
+        """Ids of words that follow a space: encoded as one text and cut where a token starts with the space."""
+        out: list[bytes] = []
+        for i in range(0, len(words), 4096):
+            part = words[i : i + 4096]
+            ids = np.array(self.tokenizer.encode_batch_fast([" " + " ".join(part)], add_special_tokens=False)[0].ids)
+            cuts = np.flatnonzero(self.spaced[ids])
+            if len(cuts) != len(part):
+                raise ValueError("a word's tokens don't start with its space")
+            raw, width = ids.astype(self.kind).tobytes(), np.dtype(self.kind).itemsize
+            ends = [*(cuts[1:] * width).tolist(), len(raw)]
+            out += [raw[s:e] for s, e in zip((cuts * width).tolist(), ends, strict=True)]
+        return out
+
     def encode(self, texts: list[str]) -> list[bytes]:
-        cut: list[list[str] | None] = []
-        fresh: set[str] = set()
-        if len(self.known) > self.most:
-            self.known.clear()
-        known = self.known
-        for t in texts:
-            if not self.pieces or (self.whole and self.whole.search(t)):
-                cut.append(None)
-                continue
-            if _WIDE.search(t):
-                parts = _CUT.split(t) if t else []
+        heads: list[list[str]] = []
+        rests: list[list[str]] = []
+        whole: list[int] = []
+        mixed: dict[int, list[str]] = {}
+        for i, t in enumerate(texts):
+            if not self.pieces or any(a in t for a in self.added):
+                whole.append(i)
+                parts = [""]
+            elif risky(t):
+                mixed[i] = _CUT.split(t)
+                parts = [""]
             else:
-                head, *rest = t.split(" ")
-                parts = [head, *map(" ".__add__, rest)] if t else []
-            cut.append(parts)
-            fresh.update(p for p in parts if p not in known)
-        if fresh:
-            new = list(fresh)
-            known.update(zip(new, self._ids(new), strict=True))
-        whole = iter(self._ids([t for t, c in zip(texts, cut, strict=True) if c is None]))
-        return [next(whole) if c is None else b"".join([known[p] for p in c]) for c in cut]
+                parts = t.split(" ")
+            heads.append(parts[:1] if parts[0] else [])
+            del parts[0]
+            rests.append(parts)
+        out = [a + b for a, b in zip(self.others.joined(heads), self.words.joined(rests), strict=True)]
+        out_mixed = self.others.joined(list(mixed.values()))
+        for i, x in zip(mixed, out_mixed, strict=True):
+            out[i] = x
+        for i, x in zip(whole, self._ids([texts[i] for i in whole]), strict=True):
+            out[i] = x
+        return out
 
 
 _caches: dict[tuple[str, int], PieceCache] = {}
 
 
 def _cache(path: str, width: int) -> PieceCache:
-    import os
-
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    gc.set_threshold(200_000, 20, 100)  # pieces are many and form no cycles
     if (path, width) not in _caches:
         _caches[path, width] = PieceCache(path, width=width)
     return _caches[path, width]
@@ -199,7 +232,7 @@ def write(documents: DataFrame, out: str, tokenizer: str, width: int = 2, end_id
     """
     ship(documents.sparkSession)
     rows = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    ordered = rows.repartitionByRange(F.asc_nulls_first("doc_id"), "text").sortWithinPartitions(F.asc_nulls_first("doc_id"), "text")
+    ordered = rows.repartitionByRange(F.asc_nulls_first("doc_id")).sortWithinPartitions(F.asc_nulls_first("doc_id"), "text")
     end = np.array([end_id], dtype=f"<u{width}").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
