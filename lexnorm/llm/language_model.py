@@ -41,6 +41,8 @@ BATCH = 1024
 RATE = 0.08
 #: Documents of the warm start, about; all training documents follow.
 WARM_DOCUMENTS = 1500
+#: Tokens the warm start sees at least, going over its documents again where they hold fewer.
+WARM_TOKENS = 400_000
 SEED = 11
 FOLDS, HELD_OUT = 7, 2
 #: Distinct words a task counts before it sends what it has.
@@ -205,7 +207,7 @@ def word_counts(documents: DataFrame) -> DataFrame:
     return documents.select("text").mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def _trained(documents: DataFrame, words: Vocabulary, share: np.ndarray, start: Model, rate: float) -> Model:
+def _trained(documents: DataFrame, words: Vocabulary, share: np.ndarray, start: Model, rate: float, least: int = 0) -> Model:
     """The average of the models that the tasks train from ``start``."""
     spark = documents.sparkSession
     shared = spark.sparkContext.broadcast((words, share, start.flat()))
@@ -222,7 +224,10 @@ def _trained(documents: DataFrame, words: Vocabulary, share: np.ndarray, start:
                         classes, ends = with_ends(vocabulary.look_up(found)[1], counts)
                         yield contexts(classes, ends), classes
 
-        seen = train(model, stream(), q, rate)
+        parts = list(stream()) if least else stream()  # the warm start's documents are few
+        seen = train(model, iter(parts), q, rate)
+        while 0 < seen < least:
+            seen += train(model, iter(parts), q, rate, SEED + seen)
         if seen:
             x = model.flat()
             yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(x), dtype=np.int32)), pa.array(x * seen), pa.array(np.full(len(x), float(seen)))], names=["at", "value", "weight"])
@@ -268,7 +273,7 @@ def score(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     model = Model.start(share)
     part = max(1, n_docs // WARM_DOCUMENTS)
     warm = learned.where(F.pmod(F.xxhash64("doc_id"), F.lit(part)) == 0).coalesce(1)
-    model = _trained(warm, vocabulary, share, model, RATE)
+    model = _trained(warm, vocabulary, share, model, RATE, WARM_TOKENS)
     model = _trained(learned, vocabulary, share, model, RATE / 4)
     #: log10 of the denominator of a word's share of its class; own classes hold one word.
     within = np.where(np.arange(CLASSES) > OWN_CLASSES, np.log10(np.maximum(size + kinds + 1, 1)), 0.0)
