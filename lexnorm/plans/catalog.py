@@ -626,7 +626,7 @@ ORACLES: dict[str, str] = {
     "edit_distances": f"WITH w AS (SELECT word, left(word, 1) AS c FROM ({sql.vocab()}) WHERE freq >= 50 AND regexp_full_match(word, '[a-z0-9]+')), p AS (SELECT word, lead(word) OVER (PARTITION BY c ORDER BY word) AS next FROM w) SELECT word, next, levenshtein(word, next)::DOUBLE AS lev, damerau_levenshtein(word, next)::DOUBLE AS damerau, round(jaro_winkler_similarity(word, next), 8) AS jaro_winkler FROM p WHERE next IS NOT NULL",
     "stream_word_counts": sql.vocab("conversations"),
     "stream_distinct": "SELECT event_id, user_id FROM events",
-    "stream_interval_join": relational.ORACLES["interval_join_events"].replace("epoch_ms(ts) // 1000 AS s", "epoch_us(ts) AS s").replace("c.s + 3600", "c.s + 3600000000"),
+    "stream_interval_join": relational.ORACLES["interval_join_events"].replace("epoch_us(ts) // 1000000 AS s", "epoch_us(ts) AS s").replace("c.s + 3600", "c.s + 3600000000"),
     "stream_frequent_words": f"SELECT word FROM ({sql.words_of('benchmark')}) GROUP BY word HAVING count(*) >= 5",
     "identity_correction": f"SELECT DISTINCT word, word AS corrected FROM ({sql.words_of('benchmark')})",
     "mips_exact": "SELECT query_id, id, round(score, 6) AS score, rank FROM (SELECT q.vec_id AS query_id, e.vec_id AS id, list_inner_product(q.embedding::DOUBLE[], e.embedding::DOUBLE[]) AS score, row_number() OVER (PARTITION BY q.vec_id ORDER BY list_inner_product(q.embedding::DOUBLE[], e.embedding::DOUBLE[]) DESC, e.vec_id) AS rank FROM embeddings q, embeddings e WHERE q.vec_id % 100 = 0) WHERE rank <= 10",

@@ -241,14 +241,14 @@ ORACLES: dict[str, str] = {
     "zipf_curve": f"WITH f AS (SELECT freq, count(*) AS words FROM ({_FD}) GROUP BY freq) SELECT freq, words, (sum(words) OVER w - words + 1)::BIGINT AS first_rank, dense_rank() OVER (ORDER BY freq DESC) AS class_rank, round(sum(freq * words) OVER w / (SELECT sum(freq * words) FROM f), 8) AS share FROM f WINDOW w AS (ORDER BY freq DESC ROWS UNBOUNDED PRECEDING)",
     "rank_windows": f"WITH f AS (SELECT * FROM ({_FL}) WHERE freq >= 20) SELECT lang, word, freq, rank() OVER w AS rk, dense_rank() OVER w AS dense, ntile(4) OVER (PARTITION BY lang ORDER BY freq DESC, word) AS quarter, round(percent_rank() OVER w, 8) AS pct, round(cume_dist() OVER w, 8) AS cume FROM f WINDOW w AS (PARTITION BY lang ORDER BY freq DESC)",
     "topk_per_lang": f"SELECT lang, word, freq, row_number() OVER (PARTITION BY lang ORDER BY freq DESC, word) AS rk FROM ({_FL}) QUALIFY rk <= 10",
-    "lag_lead_events": "SELECT event_id, s - lag(s) OVER w AS since, lead(s) OVER w - s AS until, first_value(event_id) OVER a AS first_id, last_value(event_id) OVER a AS last_id, nth_value(event_id, 2) OVER a AS second_id FROM (SELECT event_id, user_id, epoch_ms(ts) // 1000 AS s FROM events) WINDOW w AS (PARTITION BY user_id ORDER BY s, event_id), a AS (PARTITION BY user_id ORDER BY s, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)",
-    "range_frame_events": "SELECT event_id, count(*) OVER w AS n, round(sum(value) OVER w, 6) AS total FROM (SELECT event_id, user_id, value, epoch_ms(ts) // 1000 AS s FROM events) WINDOW w AS (PARTITION BY user_id ORDER BY s RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW)",
+    "lag_lead_events": "SELECT event_id, s - lag(s) OVER w AS since, lead(s) OVER w - s AS until, first_value(event_id) OVER a AS first_id, last_value(event_id) OVER a AS last_id, nth_value(event_id, 2) OVER a AS second_id FROM (SELECT event_id, user_id, epoch_us(ts) // 1000000 AS s FROM events) WINDOW w AS (PARTITION BY user_id ORDER BY s, event_id), a AS (PARTITION BY user_id ORDER BY s, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)",
+    "range_frame_events": "SELECT event_id, count(*) OVER w AS n, round(sum(value) OVER w, 6) AS total FROM (SELECT event_id, user_id, value, epoch_us(ts) // 1000000 AS s FROM events) WINDOW w AS (PARTITION BY user_id ORDER BY s RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW)",
     "setops_vocab": f"WITH ta AS ({_DOC}), tb AS ({_CON}), a AS (SELECT DISTINCT word FROM ta), b AS (SELECT DISTINCT word FROM tb) SELECT 'union' AS op, count(*) AS n FROM (SELECT * FROM a UNION SELECT * FROM b) UNION ALL SELECT 'intersect', count(*) FROM (SELECT * FROM a INTERSECT SELECT * FROM b) UNION ALL SELECT 'except', count(*) FROM (SELECT * FROM a EXCEPT SELECT * FROM b) UNION ALL SELECT 'union_all', count(*) FROM (SELECT * FROM ta UNION ALL SELECT * FROM tb) UNION ALL SELECT 'intersect_all', count(*) FROM (SELECT * FROM ta INTERSECT ALL SELECT * FROM tb) UNION ALL SELECT 'except_all', count(*) FROM (SELECT * FROM ta EXCEPT ALL SELECT * FROM tb)",
     "known_semi": f"SELECT * FROM ({_FC}) WHERE word IN (SELECT word FROM ({_DOC}))",
     "unseen_anti": f"SELECT * FROM ({_FC}) WHERE word NOT IN (SELECT word FROM ({_DOC}))",
     "full_outer_vocab": f"SELECT coalesce(a.word, b.word) AS word, coalesce(a.freq, 0) AS in_documents, coalesce(b.freq, 0) AS in_conversations FROM ({_FD}) a FULL JOIN ({_FC}) b ON a.word = b.word",
     "theta_join_lengths": f"WITH f AS (SELECT word FROM ({_FD}) WHERE freq >= 400) SELECT a.word AS left_word, b.word AS right_word FROM f a JOIN f b ON a.word < b.word AND left(a.word, 1) = left(b.word, 1) AND abs(length(a.word) - length(b.word)) <= 1",
-    "interval_join_events": "WITH e AS (SELECT *, epoch_ms(ts) // 1000 AS s FROM events) SELECT c.event_id AS click_id, p.event_id AS purchase_id FROM e c JOIN e p ON c.user_id = p.user_id AND c.event_type = 'click' AND p.event_type = 'purchase' AND p.s BETWEEN c.s AND c.s + 3600",
+    "interval_join_events": "WITH e AS (SELECT *, epoch_us(ts) // 1000000 AS s FROM events) SELECT c.event_id AS click_id, p.event_id AS purchase_id FROM e c JOIN e p ON c.user_id = p.user_id AND c.event_type = 'click' AND p.event_type = 'purchase' AND p.s BETWEEN c.s AND c.s + 3600",
     "asof_events": "SELECT event_id AS purchase_id, click_id FROM (SELECT event_id, event_type, last_value(CASE WHEN event_type = 'click' THEN event_id END IGNORE NULLS) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS click_id FROM events WHERE event_type IN ('click', 'purchase')) WHERE event_type = 'purchase'",
     "star_join_revenue": "SELECT r_name, n_name, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue, count(*) AS items FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY ALL",
     "part_title_vocab": f"WITH s AS (SELECT l_partkey, sum(l_extendedprice * (1 - l_discount)) AS r, count(*) AS n FROM lineitem GROUP BY 1), t AS (SELECT p_partkey, unnest(list_distinct(regexp_extract_all(lower(p_name), '{_W}'))) AS word FROM part) SELECT word, count(*) AS titles, sum(coalesce(n, 0))::BIGINT AS items, round(sum(coalesce(r, 0)), 2) AS revenue FROM t LEFT JOIN s ON p_partkey = l_partkey GROUP BY word",
@@ -256,8 +256,8 @@ ORACLES: dict[str, str] = {
     "json_props": "SELECT event_type, count(k) AS n, sum(k)::BIGINT AS total, min(k) AS least, max(k) AS most FROM (SELECT event_type, (props::JSON ->> 'k')::BIGINT AS k FROM events) GROUP BY event_type",
     "date_buckets": "SELECT date_trunc('month', o_orderdate)::DATE AS month, count(*) AS orders, max(quarter(o_orderdate)) AS quarter, max(date_diff('day', date_trunc('month', o_orderdate), date_trunc('day', o_orderdate))) AS last_day, max((date_trunc('month', o_orderdate) + INTERVAL 1 MONTH)::DATE) AS next_month FROM orders GROUP BY 1",
     "dedup_exact": "SELECT min(doc_id) AS first_id, count(*) AS copies FROM documents GROUP BY text HAVING count(*) > 1",
-    "tumbling_counts": "SELECT epoch_ms(ts) // 3600000 * 3600 AS start_s, event_type, count(*) AS n FROM events GROUP BY ALL",
-    "sliding_counts": "SELECT start_s, count(*) AS n FROM (SELECT unnest([epoch_ms(ts) // 3600000 * 3600, epoch_ms(ts) // 3600000 * 3600 - 3600]) AS start_s FROM events) GROUP BY start_s",
+    "tumbling_counts": "SELECT epoch_us(ts) // 3600000000 * 3600 AS start_s, event_type, count(*) AS n FROM events GROUP BY ALL",
+    "sliding_counts": "SELECT start_s, count(*) AS n FROM (SELECT unnest([epoch_us(ts) // 3600000000 * 3600, epoch_us(ts) // 3600000000 * 3600 - 3600]) AS start_s FROM events) GROUP BY start_s",
     "session_windows": "WITH g AS (SELECT user_id, epoch_us(ts) AS t, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < 14400000000 THEN 0 ELSE 1 END AS fresh FROM events), s AS (SELECT user_id, t, sum(fresh) OVER (PARTITION BY user_id ORDER BY t) AS k FROM g) SELECT user_id, min(t) AS start_us, count(*) AS n FROM s GROUP BY user_id, k",
     "map_functions": f"WITH c AS (SELECT source, lang, count(*) AS n FROM ({_BOTH}) GROUP BY ALL) SELECT source, count(*) FILTER (n >= 1000) AS big, coalesce(max(n) FILTER (lang = 'en'), 0) AS en FROM c GROUP BY source",
     "sampled_documents": "SELECT doc_id, lang FROM documents WHERE ('0x' || substr(md5(doc_id::VARCHAR), 1, 4))::BIGINT % 10 = 0",
