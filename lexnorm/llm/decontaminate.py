@@ -1,12 +1,12 @@
-"""Benchmark decontamination: rare n-gram seeds, then Smith-Waterman alignment.
+"""Benchmark decontamination: n-gram seeds, then Smith-Waterman alignment.
 
 Test items are a query set against all documents, taken in blocks of a bounded
-number of words. Every n-gram of an item is a possible seed; a pass over the
-corpus counts the documents of each, and an item keeps its rare ones (and its
-rarest third in any case, so an item copied everywhere can still be found).
+number of words. Every n-gram of an item is a seed, however many documents hold
+it, so a passage copied everywhere is found like one that was copied once.
 Documents that hold seeds of an item are aligned with it, word by word, around
-each cluster of seeds. The best local score, as a share of the item's own, tells
-copies that were edited or paraphrased.
+each cluster of seeds; stretches that many documents share are aligned once while
+remembered. The best local score, as a share of the item's own, tells copies that
+were edited or paraphrased.
 """
 
 from __future__ import annotations
@@ -25,10 +25,6 @@ from lexnorm.llm.words import carried, restored, slices
 from lexnorm.sources.store import ship
 
 GRAM = 3
-#: A seed is rare if at most this share of documents holds it, or so many documents at most.
-RARE_SHARE, RARE_DOCS = 0.0005, 20
-#: Share of an item's seeds that are kept as its rarest, whatever their counts.
-LEAST_SEEDS = 1 / 3
 #: Seeds of an item that a document must hold to be aligned (all, if the item has fewer).
 HITS = 2
 MATCH, MISMATCH, GAP = 2, -1, -1
@@ -166,41 +162,6 @@ class Aligner:
         return aligned, top[1], top[0]
 
 
-def _counted(docs: DataFrame, items: Items) -> np.ndarray:
-    """Documents that hold each seed."""
-    shared = docs.sparkSession.sparkContext.broadcast(items)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = shared.value
-        total = np.zeros(len(own.codes), dtype=np.int64)
-        for b in batches:
-            for text in b.column(0):
-                total[np.unique(own.find(own.numbers(normalised(text.as_py())))[1])] += 1
-        some = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(total[some])], names=["seed", "n"])
-
-    out = np.zeros(len(items.codes), dtype=np.int64)
-    for r in docs.select("text").mapInArrow(run, "seed long, n long").groupBy("seed").agg(F.sum("n").alias("n")).toLocalIterator():
-        out[r.seed] = r.n
-    return out
-
-
-def _rare(items: Items, counts: np.ndarray, total: int) -> None:
-    most = max(RARE_DOCS, RARE_SHARE * total)
-    of_item: list[list[int]] = [[] for _ in items.ids]
-    for k, own in enumerate(items.owners):
-        for i in {i for i, _ in own}:
-            of_item[i].append(k)
-    keep: set[int] = set()
-    for seeds in of_item:
-        seeds.sort(key=lambda k: (counts[k], k))
-        least = int(np.ceil(LEAST_SEEDS * len(seeds)))
-        keep.update(seeds[:least])
-        keep.update(k for k in seeds[least:] if counts[k] <= most)
-    chosen = sorted(keep)
-    items.keep([int(items.codes[k]) for k in chosen], {int(items.codes[k]): items.owners[k] for k in chosen})
-
-
 def _blocks(benchmark: DataFrame, item_id: str, item_text: str) -> Iterator[list[tuple[int, bytes]]]:
     rows, words = [], 0
     for r in benchmark.select(F.col(item_id).cast("long").alias("i"), F.col(item_text).cast("binary").alias("t")).where("i is not null and t is not null").orderBy("i", "t").toLocalIterator():
@@ -225,14 +186,8 @@ def scan(documents: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", tex
     ship(documents.sparkSession)
     extra, kinds = carried(documents, carry)
     docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"), *extra)
-    total = docs.count()
-    found: list[Items] = []
-    for rows in _blocks(benchmark, item_id, item_text):
-        items = Items.of(rows)
-        _rare(items, _counted(docs, items), total)
-        found.append(items)
     # Blocks are scanned one after another in each task; each is sent once.
-    shared = [docs.sparkSession.sparkContext.broadcast(x) for x in found]
+    shared = [docs.sparkSession.sparkContext.broadcast(Items.of(rows)) for rows in _blocks(benchmark, item_id, item_text)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         aligners = [Aligner(x.value) for x in shared]

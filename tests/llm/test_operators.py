@@ -270,6 +270,15 @@ def test_decontamination(spark, docs):
     assert decontaminate.scan(docs, bench.where("false")).where("contaminated").count() == 0
 
 
+def test_decontamination_finds_an_edited_copy_in_many_documents(spark):
+    item = [f"t{i}" for i in range(60)]
+    edited = " ".join("other" if i % 6 == 5 else w for i, w in enumerate(item))
+    rows = [(i, f"s{i} {edited} e{i}") for i in range(120)] + [(i, f"s{i} e{i}") for i in range(120, 240)]
+    got = decontaminate.scan(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame([(7, " ".join(item))], "item_id long, text string")).collect()
+    assert {r.doc_id for r in got if r.contaminated} == set(range(120))
+    assert {r.best_item for r in got if r.doc_id < 120} == {7}
+
+
 def test_alignment_is_smith_waterman():
     rng = random.Random(1)
 
