@@ -8,6 +8,10 @@ partner within ``radius`` of it can only lie in a shard whose boundary is within
 sides of a boundary, the outer visits the inner). Inside a shard the search goes on splitting by vantage
 points and compares what is left, so all pairs are found, and only a spanning
 forest of them is sent on.
+
+Three bits of 64 can't reach all near copies: ``near_copies`` adds candidates that
+agree in a band of minima over their runs of words, and counts those pairs only
+whose exact similarity is high.
 """
 
 from __future__ import annotations
@@ -21,6 +25,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from lexnorm.llm.windows import BROADCAST_ROWS
+from lexnorm.llm.words import ROLLING, Words, mix, slices
 from lexnorm.operators.components import star_components
 from lexnorm.sources.store import materialise, ship
 
@@ -35,6 +41,10 @@ SHARD = 4096
 SHARD_GROWTH = 24
 DEEPEST = 12
 BLOCK = 1 << 20
+#: Runs of words of ``near_copies`` and the exact similarity of their sets from which texts are copies, as a fraction.
+COPY_SHINGLE, COPY_SHARE = 5, (4, 5)
+#: A pair at that similarity shares one of the bands with probability 1 - (1 - 0.8**5)**24 = 0.9999.
+BANDS, BAND_ROWS = 24, 5
 
 
 def _fingerprint(words: list[bytes], shingle: int) -> int:
@@ -233,3 +243,102 @@ def near_duplicates(documents: DataFrame, id_col: str = "doc_id", text_col: str
     named = materialise(distinct.join(comps, distinct.doc_id == comps.node, "left").select("fp", F.coalesce("comp", "doc_id").alias("component_id")), "named")
     out = prints.join(named, "fp", "left")
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
+
+
+def _run_sets(texts: list[bytes], shingle: int) -> list[np.ndarray]:
+    """The distinct hashed runs of words of each text, sorted; a shorter text is one run."""
+    w = Words(pa.array([x.lower() for x in texts], pa.binary()))
+    h = w.hashes()
+    g = ROLLING[0](h, shingle)
+    out = []
+    for at, n in zip(w.first.tolist(), w.counts.tolist(), strict=False):
+        if 0 < n < shingle:
+            out.append(np.array([xxhash.xxh64_intdigest(h[at : at + n].tobytes(), SEED)], dtype=np.uint64))
+        else:
+            out.append(np.unique(g[at : at + max(0, n - shingle + 1)]).astype(np.uint64))
+    return out
+
+
+def _bands(sets: list[np.ndarray]) -> np.ndarray:
+    """A row of ``BANDS`` hashes for each non-empty set."""
+    flat = np.concatenate(sets)
+    starts = np.cumsum([0] + [len(x) for x in sets[:-1]])
+    rng = np.random.default_rng(SEED)
+    out = np.empty((len(sets), BANDS), dtype=np.uint64)
+    for b in range(BANDS):
+        held = np.full(len(sets), b + 1, dtype=np.uint64)
+        for _ in range(BAND_ROWS):
+            add, times = rng.integers(0, 1 << 63, 2, dtype=np.uint64)
+            low = np.minimum.reduceat((flat ^ add) * (times | np.uint64(1)), starts)
+            held = mix(held ^ low)
+        out[:, b] = held
+    return out
+
+
+def marked(documents: DataFrame, shingle: int = COPY_SHINGLE) -> DataFrame:
+    """``doc_id, fp, same, bands`` for every row: fingerprint, key of the set of runs, and bands (none for empty texts)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in slices(whole, "text"):
+                texts = [x.as_py() or b"" for x in b.column(1)]
+                sets = _run_sets(texts, shingle)
+                fps = np.array([_fingerprint(t.lower().split(), shingle) for t in texts], dtype=np.uint64).view(np.int64)
+                full = [x for x in sets if len(x)]
+                bands = iter(_bands(full).view(np.int64).tolist() if full else ())
+                rows = [next(bands) if len(x) else [] for x in sets]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps), pa.array([xxhash.xxh128_digest(x.tobytes()) for x in sets], pa.binary()), pa.array(rows, pa.list_(pa.int64()))], names=["doc_id", "fp", "same", "bands"])
+
+    return documents.mapInArrow(run, "doc_id long, fp long, same binary, bands array<long>")
+
+
+def run_sets(documents: DataFrame, shingle: int = COPY_SHINGLE) -> DataFrame:
+    """``doc_id, runs`` with the hashed runs of words of each text."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in slices(whole, "text"):
+                sets = _run_sets([x.as_py() or b"" for x in b.column(1)], shingle)
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x.view(np.int64) for x in sets], pa.list_(pa.int64()))], names=["doc_id", "runs"])
+
+    return documents.mapInArrow(run, "doc_id long, runs array<long>")
+
+
+def _small(frame: DataFrame) -> DataFrame:
+    return F.broadcast(frame) if frame.count() <= BROADCAST_ROWS else frame
+
+
+def _candidates(distinct: DataFrame, radius: int) -> DataFrame:
+    """Edges ``src, dst`` to try: each row with its like by fingerprint, and with the least and greatest row of each of its bands."""
+    by_print = materialise(distinct.groupBy("fp").agg(F.min("doc_id").alias("doc_id")).select("doc_id", "fp"), "by_print")
+    equal = distinct.join(by_print.withColumnRenamed("doc_id", "head"), "fp").select(F.col("doc_id").alias("src"), F.col("head").alias("dst"))
+    banded = distinct.select("doc_id", F.explode("bands").alias("band"))
+    heads = materialise(banded.groupBy("band").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high")).where("low != high"), "heads")
+    shared = banded.join(_small(heads), "band").select(F.col("doc_id").alias("src"), F.explode(F.array("low", "high")).alias("dst"))
+    pairs = equal.unionByName(links(by_print, radius)).unionByName(shared).where("src != dst")
+    return pairs.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()
+
+
+def near_copies(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS, shingle: int = COPY_SHINGLE) -> DataFrame:
+    """``doc_id, component_id`` for every row; linked are texts whose sets of runs of words have a Jaccard similarity of ``COPY_SHARE`` or more.
+
+    Every linked pair is verified exactly. A bucket of a band tries its rows with two
+    of them, not all pairs, so that groups of any size stay linear. Null and empty
+    texts are copies of each other. Rows with a null id get a null component and link
+    nothing. Repeated rows are kept, other columns are ignored.
+    """
+    ship(documents.sparkSession)
+    docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
+    marks = materialise(marked(docs, shingle), "marks")
+    distinct = materialise(marks.where("doc_id is not null").groupBy("same").agg(F.min("doc_id").alias("doc_id"), F.min("fp").alias("fp"), F.first("bands").alias("bands")), "distinct")
+    tried = materialise(_candidates(distinct, radius), "tried")
+    wanted = materialise(tried.select(F.explode(F.array("src", "dst")).alias("doc_id")).distinct(), "wanted")
+    sets = materialise(run_sets(docs.join(_small(wanted), "doc_id", "left_semi"), shingle), "sets")
+    a, b = (sets.select(F.col("doc_id").alias(name), F.col("runs").alias(name + "_runs")) for name in ("src", "dst"))
+    top, bottom = COPY_SHARE
+    both, total = F.size(F.array_intersect("src_runs", "dst_runs")), F.size("src_runs") + F.size("dst_runs")
+    alike = bottom * F.least(F.size("src_runs"), F.size("dst_runs")) >= top * F.greatest(F.size("src_runs"), F.size("dst_runs"))
+    linked = materialise(tried.join(a, "src").join(b, "dst").where(F.when(alike, bottom * both >= top * (total - both))).select("src", "dst"), "linked")
+    comps = star_components(linked)
+    named = materialise(distinct.join(comps, distinct.doc_id == comps.node, "left").select("same", F.coalesce("comp", "doc_id").alias("component_id")), "named")
+    return marks.join(named, "same", "left").select("doc_id", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))

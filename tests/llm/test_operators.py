@@ -324,6 +324,26 @@ def test_html(spark):
     assert got[1] == (want, len(want)) and got[2] == got[3] == ("", 0) and len(got) == 5
 
 
+def test_pipeline_drops_near_copies_of_jaccard_080(spark):
+    import corpus_pipeline as cp
+
+    rng = random.Random(8)
+    text = lambda k: [f"v{rng.randrange(5000)}" for _ in range(k)]
+    runs = lambda w: {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+    rows, drop = [], set()
+    for i in range(60):
+        one, edits = text(150), rng.choice((1, 3, 5, 8))
+        two = list(one)
+        for at in rng.sample(range(150), edits):
+            two[at] = "edited"
+        rows += [(2 * i, " ".join(one)), (2 * i + 1, " ".join(two))]
+        if len(runs(one) & runs(two)) / len(runs(one) | runs(two)) >= 0.8:
+            drop.add(2 * i + 1)
+    assert 15 < len(drop) < 50
+    d = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long").repartition(3)
+    assert {r.doc_id for r in cp.simhash_near_dedup(spark, d, "").collect()} == set(range(120)) - drop
+
+
 def test_pipeline(spark, docs):
     import corpus_pipeline as cp
 
