@@ -67,8 +67,6 @@ class Rules:
     density_low: float = 0.12
     density_high: float = 0.25
     most_links: float = 0.35
-    #: Undecided blocks look so many blocks away for a decided neighbour.
-    reach: int = 200
 
 
 @dataclass
@@ -203,29 +201,31 @@ def main_text(page: str | None, rules: Rules = Rules()) -> str:
         decided = [(i, "good" if label == "near" else label) for i, label in enumerate(first) if label in ("near", "bad")]
         labels = ["good" if label == "near" else label for label in labels]
 
-    def neighbour(i: int, step: int) -> str | None:
-        for j in range(i + step, i + step * (rules.reach + 1), step):
-            if not 0 <= j < len(found):
-                return None
-            if found[j].in_article != found[i].in_article:
-                return "bad"  # another part of the page
-            if known[j] in ("good", "bad"):
-                return known[j]
-        return None
-
     known = dict.fromkeys(range(len(found)))
     known.update(decided)
+
+    def nearest(step: int) -> list[str | None]:
+        """The label of the nearest decided block on one side of each; another part of the page counts as bad."""
+        seen: list[str | None] = [None] * len(found)
+        order = range(len(found)) if step < 0 else range(len(found) - 1, -1, -1)
+        for i in order:
+            j = i + step
+            if 0 <= j < len(found):
+                seen[i] = "bad" if found[j].in_article != found[i].in_article else known[j] or seen[j]
+        return seen
+
+    before, after = nearest(-1), nearest(1)
     out = []
     for i, b in enumerate(found):
         label = labels[i]
         if label in ("near", "short"):
-            sides = {neighbour(i, -1), neighbour(i, 1)} - {None}
+            sides = {before[i], after[i]} - {None}
             if b.in_article:
                 label = "bad" if sides == {"bad"} and label == "short" and any(s == "good" and found[k].in_article for k, s in enumerate(labels)) and b.linked else "good"
             elif label == "near":
                 label = "bad" if sides == {"bad"} and has_article else "good"
             else:
-                label = "good" if sides == {"good"} or (b.heading and neighbour(i, 1) == "good") else "bad"
+                label = "good" if sides == {"good"} or (b.heading and after[i] == "good") else "bad"
             if has_article and not b.in_article:
                 label = "bad"
         elif label == "good" and has_article and not b.in_article:

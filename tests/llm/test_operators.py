@@ -324,6 +324,13 @@ def test_html(spark):
     assert got[1] == (want, len(want)) and got[2] == got[3] == ("", 0) and len(got) == 5
 
 
+def test_html_keeps_long_runs_of_short_lines():
+    good = "<p>" + "It is the first of the things that we have to say about the work and all of it is for the reader. " * 3 + "</p>"
+    lines = [f"line {i}" for i in range(500)]
+    text = html_extract.main_text(good + "".join(f"<p>{x}</p>" for x in lines) + good)
+    assert all(f" {x} " in text for x in lines)
+
+
 def test_pipeline_drops_near_copies_of_jaccard_080(spark):
     import corpus_pipeline as cp
 
