@@ -39,10 +39,10 @@ CONTEXT = 4
 NOISE = 32
 BATCH = 1024
 RATE = 0.08
-#: Documents of the warm start, about; all training documents follow.
-WARM_DOCUMENTS = 1500
-#: Tokens the warm start sees at least, going over its documents again where they hold fewer.
-WARM_TOKENS = 400_000
+#: Rounds over all training documents, whatever their number; the tasks' models are averaged after each.
+ROUNDS = 2
+#: Tokens a task sees at least in a round, going over its documents again where they hold fewer.
+TASK_TOKENS = 400_000
 SEED = 11
 FOLDS, HELD_OUT = 7, 2
 #: Distinct words a task counts before it sends what it has.
@@ -207,7 +207,7 @@ def word_counts(documents: DataFrame) -> DataFrame:
     return documents.select("text").mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def _trained(documents: DataFrame, words: Vocabulary, share: np.ndarray, start: Model, rate: float, least: int = 0) -> Model:
+def _trained(documents: DataFrame, words: Vocabulary, share: np.ndarray, start: Model, rate: float, least: int) -> Model:
     """The average of the models that the tasks train from ``start``."""
     spark = documents.sparkSession
     shared = spark.sparkContext.broadcast((words, share, start.flat()))
@@ -224,8 +224,20 @@ def _trained(documents: DataFrame, words: Vocabulary, share: np.ndarray, start:
                         classes, ends = with_ends(vocabulary.look_up(found)[1], counts)
                         yield contexts(classes, ends), classes
 
-        parts = list(stream()) if least else stream()  # the warm start's documents are few
-        seen = train(model, iter(parts), q, rate)
+        parts: list[tuple[np.ndarray, np.ndarray]] = []
+
+        def kept() -> Iterator[tuple[np.ndarray, np.ndarray]]:
+            """The task's documents, held as long as they are few enough to be gone over again."""
+            held = 0
+            for part in stream():
+                held += len(part[1])
+                if held < least:
+                    parts.append(part)
+                else:
+                    parts.clear()
+                yield part
+
+        seen = train(model, kept(), q, rate)
         while 0 < seen < least:
             seen += train(model, iter(parts), q, rate, SEED + seen)
         if seen:
@@ -271,10 +283,8 @@ def score(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     size[0] = n_docs
     share = (size + 1) / (size + 1).sum()
     model = Model.start(share)
-    part = max(1, n_docs // WARM_DOCUMENTS)
-    warm = learned.where(F.pmod(F.xxhash64("doc_id"), F.lit(part)) == 0).coalesce(1)
-    model = _trained(warm, vocabulary, share, model, RATE, WARM_TOKENS)
-    model = _trained(learned, vocabulary, share, model, RATE / 4)
+    for _ in range(ROUNDS):
+        model = _trained(learned, vocabulary, share, model, RATE, TASK_TOKENS)
     #: log10 of the denominator of a word's share of its class; own classes hold one word.
     within = np.where(np.arange(CLASSES) > OWN_CLASSES, np.log10(np.maximum(size + kinds + 1, 1)), 0.0)
     shared = spark.sparkContext.broadcast((vocabulary, model.flat(), within))

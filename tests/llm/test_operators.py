@@ -196,6 +196,16 @@ def test_language_model(spark):
     assert sum(got[i].score for i in out) > sum(got[i].base_score for i in out)
 
 
+def test_language_model_trains_on_all_documents_in_every_round(spark, monkeypatch):
+    seen, trained = [], language_model._trained
+    monkeypatch.setattr(language_model, "_trained", lambda documents, *rest: seen.append((documents.count(), rest[3])) or trained(documents, *rest))
+    for n in (400, 4000):
+        seen.clear()
+        df = spark.createDataFrame([(i, f"a{i % 7} b{i % 5} c") for i in range(n)], "doc_id long, text string")
+        out = language_model.score(df).where("not held_out").count()
+        assert seen == [(out, language_model.RATE)] * 2
+
+
 def test_model_is_normalised():
     m = language_model.Model.start(np.full(language_model.CLASSES, 1 / language_model.CLASSES))
     before = np.zeros((language_model.CLASSES, language_model.CONTEXT), dtype=np.int32)
