@@ -84,6 +84,11 @@ def _repeat_words(w: Words, hashes: np.ndarray) -> np.ndarray:
     order = np.argsort(keys, kind="stable")
     k = keys[order]
     same = k[1:] == k[:-1]
+    first, second = starts[order[:-1]][same], starts[order[1:]][same]
+    alike = owner[first] == owner[second]
+    for i in range(WINDOW):  # equal hashes of windows count only if their words agree
+        alike &= hashes[first + i] == hashes[second + i]
+    same[same] = alike
     again = np.zeros(len(k), dtype=bool)
     again[1:] |= same
     again[:-1] |= same

@@ -4,9 +4,13 @@ Two passes over the texts. The first adds the anchors of all windows to a
 count-min sketch: each task sends only the cells it touched, and the cells are
 merged by shard. A merged cell never undercounts, so a window whose anchor is
 estimated to occur once occurs in one place only. The second pass sends just the
-windows whose estimate is two or more to an exact grouping on 128-bit window
-hashes, which decides. A sketch that is too small for the corpus sends more
+windows whose estimate is two or more to an exact grouping on 128 bits of BLAKE2b
+of their words, which decides. A sketch that is too small for the corpus sends more
 windows to the grouping; it never loses one.
+
+A sketch of up to 2**MOST_BITS cells goes to every task. Beyond that the cells stay
+where they were merged, one for each 64-bit hash that occurs, and the anchors of
+repeated cells are joined back to their texts.
 """
 
 from __future__ import annotations
@@ -18,21 +22,21 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lexnorm.llm.windows import GRAM, SIZE, WINDOWS, anchored, first_seen, keyed, later_copies, remove_covered, windows_batch, without
+from lexnorm.llm.windows import GRAM, SIZE, WINDOWS, anchored, extend, first_seen, keyed, later_copies, remove_covered, retained, windows_batch, without
 from lexnorm.llm.words import carried, mix, restored, slices
 from lexnorm.sources.store import materialise, ship
 
 ROWS = 2
 SHARD_BITS = 16
-#: Bits of the broadcast sketch: between 8 KB and 256 MB, whatever the corpus.
-LEAST_BITS, MOST_BITS = 17, 31
+#: Bits of a broadcast sketch: between 16 KB and 64 MB, whatever the corpus.
+LEAST_BITS, MOST_BITS = 17, 29
 
 
 def sketch_bits(documents: DataFrame, text_col: str, gram: int, size: int) -> int:
-    """log2 of the cells: about four for each anchor of the corpus, within the bounds."""
+    """log2 of the cells: about four for each anchor of the corpus and row of the sketch."""
     total = documents.agg(F.sum(F.octet_length(F.col(text_col)))).first()[0] or 0
     anchors = total / 6.5 * 2 / (size - gram + 2)
-    return int(min(MOST_BITS, max(LEAST_BITS, np.ceil(np.log2(8 * anchors + 1)))))
+    return int(max(LEAST_BITS, np.ceil(np.log2(8 * anchors + 1))))
 
 
 def _cells(keys: np.ndarray, bits: int) -> tuple[np.ndarray, ...]:
@@ -107,7 +111,7 @@ def candidate_windows(documents: DataFrame, sketch: bytes, bits: int, size: int
     return documents.mapInArrow(run, WINDOWS)
 
 
-def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, gram: int = GRAM, with_text: bool = True, carry: tuple[str, ...] = ()) -> DataFrame:
+def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, gram: int = GRAM, with_text: bool = True, carry: tuple[str, ...] = (), most_bits: int = MOST_BITS) -> DataFrame:
     """Remove every word covered by a window that also starts in a smaller document.
 
     Returns ``doc_id, n_words, n_removed, kept_sha256, kept_text`` for each input
@@ -122,6 +126,10 @@ def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str =
     docs = keyed(documents, id_col, text_col, extra)
     copies = later_copies(docs)
     compared = without(docs.where("doc_id is not null"), copies)
-    sketch = repeated_cells(compared, bits, size, gram)
-    windows = materialise(candidate_windows(compared, sketch, bits, size, gram), "windows")
+    if bits <= most_bits:
+        found = candidate_windows(compared, repeated_cells(compared, bits, size, gram), bits, size, gram)
+    else:
+        cells = retained(compared, size, gram).groupBy("prefix").agg(F.count("*").alias("n")).where("n > 1")
+        found = extend(compared, materialise(cells.select("prefix"), "cells"), size, gram)
+    windows = materialise(found, "windows")
     return restored(remove_covered(docs, first_seen(windows), copies, size, with_text, kinds), carry)

@@ -10,88 +10,27 @@ rest to its right, for some ``l``: for each ``l`` the extended suffixes are
 ordered and neighbours compared again, so every match of ``size`` words is found
 and a longer one is the union of these.
 
-Order and comparison run as hash aggregation of 64 and 128-bit hashes of the words: a class of
-equal prefixes needs just its smallest document, and partial aggregation bounds
-what a passage that many documents share sends to one task.
+Order and comparison run as aggregation over hashes of the words: a class of equal
+prefixes needs just its smallest document, and partial aggregation bounds what a
+passage that many documents share sends to one task. Equal hashes of prefixes only
+nominate matches; the extended ones are compared by BLAKE2b of their words.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
-
-import numpy as np
-import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lexnorm.llm.windows import BROADCAST_ROWS, GRAM, SIZE, WINDOWS, anchored, first_seen, keyed, later_copies, remove_covered, windows_batch, without
-from lexnorm.llm.words import carried, mix, restored, slices
+from lexnorm.llm.windows import BROADCAST_ROWS, GRAM, SIZE, extend, first_seen, keyed, later_copies, remove_covered, retained, without
+from lexnorm.llm.words import carried, restored
 from lexnorm.sources.store import materialise, ship
 
 
-def retained_suffixes(documents: DataFrame, size: int = SIZE, gram: int = GRAM) -> DataFrame:
-    """``prefix, doc_id, place`` of the suffixes at minimiser positions; a text gives equal prefixes once."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for b in slices(whole, "text"):
-                a = anchored(b.column(1), size, gram)
-                at = np.unique(a.anchors)
-                owner = a.owner(at)
-                _, once = np.unique(a.grams[at] + mix(owner.astype(np.uint64)), return_index=True)
-                at, owner = at[once], owner[once]
-                place = (b.column(2).to_numpy(zero_copy_only=False)[owner] << 32) | (at - a.words.first[owner])
-                yield pa.RecordBatch.from_arrays([pa.array(a.grams[at].view(np.int64)), b.column(0).take(pa.array(owner)), pa.array(place)], names=["prefix", "doc_id", "place"])
-
-    return documents.mapInArrow(run, "prefix long, doc_id long, place long")
-
-
 def shared_prefixes(suffixes: DataFrame) -> DataFrame:
     """Prefixes that suffixes of two documents or more have."""
     return suffixes.groupBy("prefix").agg(F.min("doc_id").alias("lowest"), F.max("doc_id").alias("highest")).where("lowest < highest").select("prefix")
 
 
-def _extended(size: int, gram: int, wanted: Callable[[], np.ndarray]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """Extensions to ``size`` words, left and right, of the suffixes whose prefix is wanted."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        keys = wanted()
-        for whole in batches:
-            for b in slices(whole, "text"):
-                a = anchored(b.column(1), size, gram)
-                if not len(a.starts) or not len(keys):
-                    continue
-                mine = a.grams[a.anchors]
-                hit = keys[np.minimum(np.searchsorted(keys, mine), len(keys) - 1)] == mine
-                yield windows_batch(a, a.starts[hit], b.column(0), b.column(2), size)
-
-    return run
-
-
-def extend(documents: DataFrame, prefixes: DataFrame, size: int = SIZE, gram: int = GRAM, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
-    """Extended matches as windows (h1, h2, doc_id, place).
-
-    Up to ``broadcast_rows`` shared prefixes go to every task; more are joined to
-    the suffixes and then to the texts by document.
-    """
-    if prefixes.count() <= broadcast_rows:
-        found = prefixes.toArrow().column("prefix").to_numpy()
-        shared = documents.sparkSession.sparkContext.broadcast(np.sort(found.view(np.uint64)))
-        return documents.mapInArrow(_extended(size, gram, lambda: shared.value), WINDOWS)
-    suffixes = retained_suffixes(documents, size, gram).join(prefixes, "prefix")
-    mine = suffixes.groupBy("doc_id", F.shiftrightunsigned("place", 32).alias("tag")).agg(F.collect_set("prefix").alias("prefixes"))
-    joined = documents.join(mine, ["doc_id", "tag"]).select("doc_id", "text", "tag", "prefixes")
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for i in range(b.num_rows):
-                one = b.slice(i, 1)
-                keys = np.sort(np.asarray(one.column(3)[0].as_py(), dtype=np.int64).view(np.uint64))
-                yield from _extended(size, gram, lambda keys=keys: keys)(iter([one.select(["doc_id", "text", "tag"])]))
-
-    return joined.mapInArrow(run, WINDOWS)
-
-
 def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SIZE, gram: int = GRAM, with_text: bool = True, broadcast_rows: int = BROADCAST_ROWS, carry: tuple[str, ...] = ()) -> DataFrame:
     """Remove every word inside a match of ``size`` words or more with a smaller document.
 
@@ -106,6 +45,6 @@ def remove_repeats(documents: DataFrame, id_col: str = "doc_id", text_col: str =
     docs = keyed(documents, id_col, text_col, extra)
     copies = later_copies(docs)
     compared = without(docs.where("doc_id is not null"), copies)
-    prefixes = materialise(shared_prefixes(retained_suffixes(compared, size, gram)), "prefixes")
+    prefixes = materialise(shared_prefixes(retained(compared, size, gram)), "prefixes")
     windows = materialise(extend(compared, prefixes, size, gram, broadcast_rows), "windows")
     return restored(remove_covered(docs, first_seen(windows), copies, size, with_text, kinds), carry)

@@ -3,13 +3,15 @@
 Shared by both substring de-duplicators. A window of ``size`` words has one
 *anchor*: the leftmost smallest hash among its runs of ``gram`` words. Equal
 windows have equal anchors, so an anchor that occurs in one document only
-clears every window it stands for.
+clears every window it stands for. Anchors are compared by fast hashes, which can
+only let too many windows through; windows themselves are told apart by BLAKE2b
+of their words.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -18,7 +20,7 @@ import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lexnorm.llm.words import ROLLING, Words, slices
+from lexnorm.llm.words import ROLLING, Words, mix, slices
 from lexnorm.sources.store import materialise
 
 SIZE = 50
@@ -33,7 +35,6 @@ class Anchored:
     starts: np.ndarray  # word index of each window
     anchors: np.ndarray  # word index of its anchor
     grams: np.ndarray  # hash of the gram at each word index
-    hashes: np.ndarray  # word hashes
 
     def owner(self, at: np.ndarray) -> np.ndarray:
         """The text each word index belongs to."""
@@ -47,7 +48,7 @@ def anchored(texts: pa.Array, size: int = SIZE, gram: int = GRAM) -> Anchored:
     n = len(h) - size + 1
     none = np.zeros(0, dtype=np.int64)
     if n <= 0:
-        return Anchored(w, none, none, g, h)
+        return Anchored(w, none, none, g)
     ends = np.repeat(w.first[1:], w.counts)[:n]
     starts = np.flatnonzero(np.arange(n) + size <= ends)
     span = size - gram + 1
@@ -56,16 +57,20 @@ def anchored(texts: pa.Array, size: int = SIZE, gram: int = GRAM) -> Anchored:
     step = 1 << 16
     for i in range(0, n, step):
         offsets[i : i + step] = view[i : i + step].argmin(axis=1)
-    return Anchored(w, starts, starts + offsets[starts], g, h)
+    return Anchored(w, starts, starts + offsets[starts], g)
 
 
-def window_keys(h: np.ndarray, starts: np.ndarray, size: int = SIZE) -> tuple[np.ndarray, np.ndarray]:
-    """128 bits for each window, as two signed 64-bit columns."""
-    return tuple(r(h, size)[starts].view(np.int64) for r in ROLLING)
+def window_keys(w: Words, starts: np.ndarray, size: int = SIZE) -> tuple[np.ndarray, np.ndarray]:
+    """128 bits of BLAKE2b over the words of each window, joined by spaces, as two signed 64-bit columns."""
+    text, begin, end = w.spaced()
+    whole, digest = memoryview(text), hashlib.blake2b
+    raw = b"".join([digest(whole[s:e], digest_size=16).digest() for s, e in zip(begin[starts].tolist(), end[starts + size - 1].tolist(), strict=True)])
+    both = np.frombuffer(raw, dtype="<i8").reshape(-1, 2)
+    return both[:, 0].copy(), both[:, 1].copy()
 
 
-#: Tables of at most so many rows of two longs (64 MB) are broadcast; larger ones are joined by a shuffle.
-BROADCAST_ROWS = 4_000_000
+#: Tables of at most so many rows of two longs (16 MB) are broadcast; larger ones are joined by a shuffle.
+BROADCAST_ROWS = 1_000_000
 #: The start that stands for every window of a text.
 WHOLE = -1
 
@@ -86,9 +91,9 @@ def later_copies(documents: DataFrame) -> DataFrame:
     All their windows are repeated, so none need be compared; the smallest copy
     speaks for its group, however large the group is.
     """
-    keys = documents.where("doc_id is not null and text is not null").select("doc_id", "tag", F.md5("text").alias("text_md5"))
-    lead = materialise(keys.groupBy("text_md5").agg(F.min("doc_id").alias("lead"), F.max("doc_id").alias("last")).where("lead < last").drop("last"), "copies")
-    return materialise(keys.join(lead, "text_md5").where("doc_id > lead").select("doc_id", "tag").distinct(), "copies")
+    keys = documents.where("doc_id is not null and text is not null").select("doc_id", "tag", F.unhex(F.sha2("text", 256)).alias("digest"))
+    lead = materialise(keys.groupBy("digest").agg(F.min("doc_id").alias("lead"), F.max("doc_id").alias("last")).where("lead < last").drop("last"), "copies")
+    return materialise(keys.join(lead, "digest").where("doc_id > lead").select("doc_id", "tag").distinct(), "copies")
 
 
 def without(documents: DataFrame, copies: DataFrame) -> DataFrame:
@@ -114,12 +119,72 @@ def first_seen(windows: DataFrame) -> DataFrame:
 def windows_batch(a: Anchored, starts: np.ndarray, ids: pa.Array, tags: pa.Array, size: int) -> pa.RecordBatch:
     """Rows (h1, h2, doc_id, place); ``place`` packs a text's tag and the start within it."""
     owner = a.owner(starts)
-    h1, h2 = window_keys(a.hashes, starts, size)
+    h1, h2 = window_keys(a.words, starts, size)
     place = (tags.to_numpy(zero_copy_only=False).astype(np.int64)[owner] << 32) | (starts - a.words.first[owner])
     return pa.RecordBatch.from_arrays([pa.array(h1), pa.array(h2), ids.take(pa.array(owner)), pa.array(place)], names=["h1", "h2", "doc_id", "place"])
 
 
 WINDOWS = "h1 long, h2 long, doc_id long, place long"
+
+
+def retained(documents: DataFrame, size: int = SIZE, gram: int = GRAM) -> DataFrame:
+    """``prefix, doc_id, place`` of the suffixes at anchors; a text gives equal prefixes once."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in slices(whole, "text"):
+                a = anchored(b.column(1), size, gram)
+                at = np.unique(a.anchors)
+                owner = a.owner(at)
+                _, once = np.unique(a.grams[at] + mix(owner.astype(np.uint64)), return_index=True)
+                at, owner = at[once], owner[once]
+                place = (b.column(2).to_numpy(zero_copy_only=False)[owner] << 32) | (at - a.words.first[owner])
+                yield pa.RecordBatch.from_arrays([pa.array(a.grams[at].view(np.int64)), b.column(0).take(pa.array(owner)), pa.array(place)], names=["prefix", "doc_id", "place"])
+
+    return documents.mapInArrow(run, "prefix long, doc_id long, place long")
+
+
+def _extended(size: int, gram: int, wanted: Callable[[], np.ndarray]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Windows of ``size`` words around the anchors whose prefix is wanted: its extensions left and right."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys = wanted()
+        for whole in batches:
+            for b in slices(whole, "text"):
+                a = anchored(b.column(1), size, gram)
+                if not len(a.starts) or not len(keys):
+                    continue
+                mine = a.grams[a.anchors]
+                hit = keys[np.minimum(np.searchsorted(keys, mine), len(keys) - 1)] == mine
+                yield windows_batch(a, a.starts[hit], b.column(0), b.column(2), size)
+
+    return run
+
+
+def extend(documents: DataFrame, prefixes: DataFrame, size: int = SIZE, gram: int = GRAM, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
+    """All windows whose anchor has one of ``prefixes``, as (h1, h2, doc_id, place).
+
+    Up to ``broadcast_rows`` prefixes go to every task; more are joined to
+    the suffixes and then to the texts by document.
+    """
+    if prefixes.count() <= broadcast_rows:
+        found = prefixes.toArrow().column("prefix").to_numpy()
+        shared = documents.sparkSession.sparkContext.broadcast(np.sort(found.view(np.uint64)))
+        return documents.mapInArrow(_extended(size, gram, lambda: shared.value), WINDOWS)
+    suffixes = retained(documents, size, gram).join(prefixes, "prefix")
+    mine = suffixes.groupBy("doc_id", F.shiftrightunsigned("place", 32).alias("tag")).agg(F.collect_set("prefix").alias("prefixes"))
+    joined = documents.join(mine, ["doc_id", "tag"]).select("doc_id", "text", "tag", "prefixes")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i in range(b.num_rows):
+                one = b.slice(i, 1)
+                keys = np.sort(np.asarray(one.column(3)[0].as_py(), dtype=np.int64).view(np.uint64))
+                yield from _extended(size, gram, lambda keys=keys: keys)(iter([one.select(["doc_id", "text", "tag"])]))
+
+    return joined.mapInArrow(run, WINDOWS)
+
+
 RESULT = "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string"
 
 

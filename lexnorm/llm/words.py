@@ -12,6 +12,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute
+import xxhash
 
 SPACE = np.zeros(256, dtype=bool)
 SPACE[[9, 10, 11, 12, 13, 32]] = True
@@ -19,11 +20,13 @@ LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
 _U = np.uint64
-#: Odd multipliers of the rolling hashes (fixed values; any odd numbers serve).
-BYTE_BASE = 0x9E3779B97F4A7C15
+#: Odd multipliers (fixed values; any odd numbers serve).
+LANE = 0x9E3779B97F4A7C15
 WINDOW_BASES = (0xD6E8FEB86659FD93, 0xA0761D6478BD642F)
 _MASK = (1 << 64) - 1
-_CHUNK = 1 << 19
+#: Words of more eight-byte lanes are hashed by XXH3 one by one.
+MOST_LANES = 16
+_LANE_MASK = np.array([(1 << (8 * k)) - 1 for k in range(8)] + [_MASK], dtype=np.uint64)
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -56,9 +59,6 @@ class Powers:
         return self.up[:n], self.down[:n]
 
 
-_BYTES = Powers(BYTE_BASE)
-
-
 class Words:
     """Byte bounds of the words of a batch of texts."""
 
@@ -94,20 +94,35 @@ class Words:
         return len(self.off) - 1
 
     def hashes(self) -> np.ndarray:
-        """A 64-bit hash of every word; bounded scratch space, however long a text is."""
-        out = np.empty(len(self.starts), dtype=_U)
-        i = 0
-        while i < len(out):
-            lo = self.starts[i]
-            j = max(i + 1, int(np.searchsorted(self.ends, lo + _CHUNK, side="right")))
-            part = self.data[lo : self.ends[j - 1]]
-            up, down = _BYTES.get(len(part) + 1)
-            total = np.zeros(len(part) + 1, dtype=_U)
-            np.cumsum((part.astype(_U) + _U(1)) * up[:-1], out=total[1:])
-            s, e = self.starts[i:j] - lo, self.ends[i:j] - lo
-            out[i:j] = (total[e] - total[s]) * down[s] + (e - s).astype(_U)
-            i = j
-        return mix(out)
+        """A 64-bit hash of every word: eight bytes at a time, each mixed into what came before.
+
+        Mixing is no polynomial in the bytes, so no arrangement of two letters cancels out.
+        """
+        size = self.ends - self.starts
+        out = mix(size.astype(_U) * _U(LANE))
+        padded = np.zeros(len(self.data) + 8, dtype=np.uint8)
+        padded[: len(self.data)] = self.data
+        lanes = np.ndarray((len(self.data) + 1,), "<u8", padded, strides=(1,))
+        live = np.flatnonzero(size <= 8 * MOST_LANES)
+        for k in range(MOST_LANES):
+            live = live[size[live] > 8 * k]
+            if not len(live):
+                break
+            lane = lanes[self.starts[live] + 8 * k] & _LANE_MASK[np.minimum(size[live] - 8 * k, 8)]
+            out[live] = mix((out[live] ^ lane) * _U(LANE) + _U(k + 1))
+        for i in np.flatnonzero(size > 8 * MOST_LANES).tolist():
+            out[i] = xxhash.xxh3_64_intdigest(self.data[self.starts[i] : self.ends[i]], 1)
+        return out
+
+    def spaced(self) -> tuple[bytes, np.ndarray, np.ndarray]:
+        """All words with one space after each, and where each starts and ends there."""
+        keep = self.solid.copy()
+        inner = self.ends[self.ends < len(self.data)]
+        keep[inner[~self.solid[inner]]] = True
+        out = np.where(self.solid, self.data, np.uint8(32))[keep]
+        at = np.cumsum(keep)
+        starts = at[self.starts] - 1 if len(self.starts) else self.starts
+        return out.tobytes(), starts, starts + (self.ends - self.starts)
 
     def joined(self, lo: int, hi: int) -> bytes:
         """Words ``lo`` to ``hi`` of the batch, joined by one space."""
@@ -115,7 +130,10 @@ class Words:
 
 
 class Rolling:
-    """Hashes of all runs of ``size`` consecutive values."""
+    """Hashes of all runs of ``size`` consecutive values.
+
+    Unlike runs may share a hash: what decides compares the words themselves.
+    """
 
     def __init__(self, base: int):
         self.powers = Powers(base)

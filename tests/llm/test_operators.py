@@ -86,12 +86,53 @@ def test_substring_removal(spark, docs, module, monkeypatch):
     assert got.pop(None)[1] == 0 and got == want
     carried = module.remove_repeats(docs, carry=("lang", "tag")).where("doc_id = 2").first()
     assert (carried.lang, carried.tag) == ("en", "clash")
-    if module is suffix_dedup:
-        assert run(docs, broadcast_rows=0) == want
+    assert run(docs, **({"broadcast_rows": 0} if module is suffix_dedup else {"most_bits": 0})) == want
     monkeypatch.setattr(windows, "BROADCAST_ROWS", 0)
     assert run(docs) == want
 
 
+def thue_morse(n, a="a", b="b"):
+    """Two letters arranged so that sums of powers of any odd number agree for the two exchanges."""
+    return "".join((a, b)[bin(i).count("1") & 1] for i in range(n))
+
+
+@pytest.mark.parametrize("module", [substring_dedup, suffix_dedup])
+def test_unlike_long_words_stay(spark, module):
+    one, two = thue_morse(1024), thue_morse(1024, "b", "a")
+    long = ["x" * n + "y" for n in (127, 128, 129, 5000)]
+    rows = [(1, " ".join([one] * 50)), (2, " ".join([two] * 50)), (3, " ".join(long * 13)), (4, " ".join(long * 13) + " z"), (4, "other text of one id")]
+    out = {(r.doc_id, r.n_words): r.n_removed for r in module.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert out == {(1, 50): 0, (2, 50): 0, (3, 52): 0, (4, 53): 52, (4, 5): 0}
+
+
+@pytest.mark.parametrize("module", [substring_dedup, suffix_dedup])
+@pytest.mark.parametrize("seed", [1, 2])
+def test_substring_removal_of_random_texts(spark, module, seed):
+    """Few words and short windows, so that repeats abound, against brute force."""
+    rng = random.Random(seed)
+    words = [thue_morse(64), thue_morse(64, "b", "a"), "a", "b"]
+    data = [(i, " ".join(rng.choices(words, k=rng.randint(0, 40)))) for i in range(40)]
+    size, gram = 8, 4
+    first, want = {}, {}
+    for i, t in data:
+        w = t.split()
+        for k in range(len(w) - size + 1):
+            first.setdefault(tuple(w[k : k + size]), i)
+    for i, t in data:
+        w = t.split()
+        gone = {j for k in range(len(w) - size + 1) if first[tuple(w[k : k + size])] < i for j in range(k, k + size)}
+        want[i] = (len(gone), " ".join(x for j, x in enumerate(w) if j not in gone))
+    got = module.remove_repeats(spark.createDataFrame(data, "doc_id long, text string"), size=size, gram=gram)
+    assert {r.doc_id: (r.n_removed, r.kept_text) for r in got.collect()} == want
+
+
+def test_unlike_windows_are_no_repeats(spark):
+    """The words of eight-word windows decide, not their hashes."""
+    one, two = thue_morse(1024), thue_morse(1024, "b", "a")
+    texts = pa.array([" ".join([one] * 8 + ["x"] + [two] * 8).encode(), " ".join([one] * 9).encode()], pa.binary())
+    assert quality.statistics(texts)[0]["n_repeat_words"].tolist() == [0, 9]
+
+
 def test_simhash(spark, docs):
     def fingerprint(text):
         w = (text or "").encode().lower().split()
