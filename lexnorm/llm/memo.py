@@ -17,29 +17,26 @@ class Memo:
         self.young: dict[str | bytes, bytes] = {}
         self.old: dict[str | bytes, bytes] = {}
 
-    def joined(self, texts: list[list]) -> list[bytes]:
-        """The bytes of each text's pieces, joined."""
+    def _know(self, pieces: set) -> dict:
+        """The younger generation, once it holds all of ``pieces``."""
         if len(self.young) > self.most:
             self.old, self.young = self.young, {}
-        young, old = self.young, self.old
-        found = [list(map(young.get, t)) for t in texts]
-        fresh: dict[str | bytes, None] = {}
-        gaps = []
-        for t, f in zip(texts, found, strict=True):
-            if None not in f:
-                continue
-            for i, v in enumerate(f):
-                if v is None:
-                    piece = t[i]
-                    v = old.get(piece)
-                    if v is None:
-                        fresh[piece] = None
-                        gaps.append((f, i, piece))
-                    else:
-                        young[piece] = f[i] = v
-        if fresh:
-            new = list(fresh)
-            young.update(zip(new, self.make(new), strict=True))
-            for f, i, piece in gaps:
-                f[i] = young[piece]
-        return [b"".join(f) for f in found]
+        missing = pieces.difference(self.young)
+        if self.old and missing:
+            old = self.old
+            kept = {p: old[p] for p in missing if p in old}
+            self.young.update(kept)
+            missing = missing.difference(kept)
+        if missing:
+            fresh = list(missing)
+            self.young.update(zip(fresh, self.make(fresh), strict=True))
+        return self.young
+
+    def each(self, pieces: list) -> list[bytes]:
+        """The bytes of each piece."""
+        return list(map(self._know(set(pieces)).__getitem__, pieces))
+
+    def joined(self, texts: list[list]) -> list[bytes]:
+        """The bytes of each text's pieces, joined."""
+        known = self._know(set().union(*texts))
+        return [b"".join(map(known.__getitem__, t)) for t in texts]

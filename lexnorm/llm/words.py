@@ -59,6 +59,27 @@ class Powers:
         return self.up[:n], self.down[:n]
 
 
+def span_hashes(data: np.ndarray, starts: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of each span of bytes: eight at a time, each mixed into what came before.
+
+    Mixing is no polynomial in the bytes, so no arrangement of two letters cancels out.
+    """
+    out = mix(size.astype(_U) * _U(LANE))
+    padded = np.zeros(len(data) + 8, dtype=np.uint8)
+    padded[: len(data)] = data
+    lanes = np.ndarray((len(data) + 1,), "<u8", padded, strides=(1,))
+    live = np.flatnonzero(size <= 8 * MOST_LANES)
+    for k in range(MOST_LANES):
+        live = live[size[live] > 8 * k]
+        if not len(live):
+            break
+        lane = lanes[starts[live] + 8 * k] & _LANE_MASK[np.minimum(size[live] - 8 * k, 8)]
+        out[live] = mix((out[live] ^ lane) * _U(LANE) + _U(k + 1))
+    for i in np.flatnonzero(size > 8 * MOST_LANES).tolist():
+        out[i] = xxhash.xxh3_64_intdigest(data[starts[i] : starts[i] + size[i]], 1)
+    return out
+
+
 class Words:
     """Byte bounds of the words of a batch of texts."""
 
@@ -94,25 +115,8 @@ class Words:
         return len(self.off) - 1
 
     def hashes(self) -> np.ndarray:
-        """A 64-bit hash of every word: eight bytes at a time, each mixed into what came before.
-
-        Mixing is no polynomial in the bytes, so no arrangement of two letters cancels out.
-        """
-        size = self.ends - self.starts
-        out = mix(size.astype(_U) * _U(LANE))
-        padded = np.zeros(len(self.data) + 8, dtype=np.uint8)
-        padded[: len(self.data)] = self.data
-        lanes = np.ndarray((len(self.data) + 1,), "<u8", padded, strides=(1,))
-        live = np.flatnonzero(size <= 8 * MOST_LANES)
-        for k in range(MOST_LANES):
-            live = live[size[live] > 8 * k]
-            if not len(live):
-                break
-            lane = lanes[self.starts[live] + 8 * k] & _LANE_MASK[np.minimum(size[live] - 8 * k, 8)]
-            out[live] = mix((out[live] ^ lane) * _U(LANE) + _U(k + 1))
-        for i in np.flatnonzero(size > 8 * MOST_LANES).tolist():
-            out[i] = xxhash.xxh3_64_intdigest(self.data[self.starts[i] : self.ends[i]], 1)
-        return out
+        """A 64-bit hash of every word."""
+        return span_hashes(self.data, self.starts, self.ends - self.starts)
 
     def spaced(self) -> tuple[bytes, np.ndarray, np.ndarray]:
         """All words with one space after each, and where each starts and ends there."""

@@ -270,6 +270,41 @@ def test_token_file(spark, docs):
     assert token_file.round_trip(without(docs), path).count() == 0
 
 
+def test_token_file_of_odd_rows_and_single_documents(spark):
+    from tokenizers import Tokenizer
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    t = Tokenizer.from_file(path)
+    data = [(None, "no id"), (4, "b twice"), (4, "a twice"), (None, None), (2, "word " * 3000), (9, "")]
+    df = spark.createDataFrame([(i, x, 7, 8) for i, x in data], "doc_id long, text string, part int, start int")
+    rows = token_file.round_trip(df, path).orderBy("start").collect()
+    ordered = sorted(data, key=lambda r: (r[0] is not None, r[0] or 0, r[1] or ""))
+    ids = [[*t.encode(x or "", add_special_tokens=False).ids, 0] for _, x in ordered]
+    assert [r.doc_id for r in rows] == [i for i, _ in ordered]
+    assert [r.n_tokens for r in rows] == list(map(len, ids))
+    assert [r.start for r in rows] == [sum(map(len, ids[:k])) for k in range(len(ids))]
+    out = token_file.new_folder(spark, "token-file")
+    token_file.write(df, out, path)
+    got = {r.doc_id: (r.start, r.ids) for r in token_file.fetch(spark, out, [2, 9, 77]).collect()}
+    assert got == {i: (sum(map(len, ids[:k])), ids[k]) for k, (i, _) in enumerate(ordered) if i in (2, 9)}
+
+
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_encoder_equals_the_library(name):
+    from tokenizers import Tokenizer
+
+    rng = random.Random(3)
+    path = public_tokenizers.path(name)
+    t = Tokenizer.from_file(path)
+    signs = ["a", "B", "word", "é", "ß", "ǃ", "×", "ɏ", "ɐ", "日", "1", "42", "½", ".", ",", "'", "'s", "$$", "_", " ", "  ", "\n", "\n\n", "\t", "\r\n", "\u00a0", "\u2003", "\x00", "\x7f", "😀", "<|endoftext|>", "İ"]
+    plain = ["a", "Bcd", "é", "9", "...", ".", ",", '"', " ", "\n"]
+    texts = ["".join(rng.choices(some, k=rng.randint(0, 12))) for some in (signs, plain) for _ in range(1500)]
+    enc = token_file.PieceEncoder(path, most=50)
+    got = [x for i in range(0, len(texts), 100) for x in enc.encode(texts[i : i + 100])]
+    want = [np.array(t.encode(x, add_special_tokens=False).ids, dtype="<u2").tobytes() for x in texts]
+    assert [x for x, g, w in zip(texts, got, want) if g != w] == []
+
+
 @pytest.mark.parametrize("gaps", [[0], [0, 0, 0], [0, 5, 1, 900, 0, 0, 3] * 60, list(range(300)), [0] + [100_000] * 130])
 def test_elias_fano(gaps):
     values = np.cumsum(gaps)
