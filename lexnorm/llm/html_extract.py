@@ -1,10 +1,12 @@
 """Main text of web pages by two-pass block rules.
 
 A page is cut into blocks at block-level tags. Pass one classifies each block by
-its stop-word density, length and link density; blocks inside elements that
-never hold an article (navigation, footers, forms, adverts, comments and the
-like, told by tag, role or class words) are boilerplate outright. Pass two gives
-every undecided block the label of its nearest decided neighbours.
+its stop-word density, length and link density. Tags, roles and class words move
+the thresholds only: a block inside an article needs half as much, one inside an
+element marked as navigation, footer, advert, comment or the like a multiple. Pass two
+gives every undecided block the label of its nearest decided neighbours, found by
+one sweep from either end. A heading opens a section: neighbours are looked for in
+the block's own section first.
 """
 
 from __future__ import annotations
@@ -33,7 +35,7 @@ STOP_WORDS = frozenset(
 )
 #: Elements whose content is never text.
 SILENT = frozenset(("script", "style", "noscript", "template", "svg", "math", "iframe", "object", "canvas", "audio", "video", "head", "title", "textarea", "select", "option", "datalist"))
-#: Elements that never hold an article.
+#: Elements that seldom hold an article.
 OUTSIDE = frozenset(("nav", "footer", "aside", "form", "button", "menu", "dialog", "fieldset", "label", "legend"))
 #: ``header`` is a site banner unless an article holds it.
 BANNER = "header"
@@ -45,13 +47,14 @@ BREAKS = frozenset(
 ROLES = frozenset(("navigation", "banner", "contentinfo", "complementary", "search", "dialog", "alertdialog", "form", "menu", "menubar", "toolbar", "alert"))
 #: Words of class and id names that mark boilerplate; a name is cut at non-letters and at capitals.
 MARKS = frozenset(
-    "ad ads adv advert adverts advertisement advertising sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices newsletter subscribe subscription popup modal overlay sidebar side rail widget widgets related recommended recommendations share sharing social breadcrumb breadcrumbs nav navbar navigation menu footer masthead comment comments disqus reply replies respond pagination pager login signup search toolbar copyright legal disclaimer".split()
+    "ad ads adv advert adverts advertisement advertising sponsor sponsored promo promotion banner cookie cookies consent gdpr notice notices newsletter subscribe subscription popup modal overlay sidebar side rail card teaser widget widgets related recommended recommendations share sharing social breadcrumb breadcrumbs nav navbar navigation menu footer masthead comment comments disqus reply replies respond pagination pager login signup search toolbar copyright legal disclaimer".split()
 )
 #: Words that clear a name of the above: the body of an article may be called so.
 CLEARS = frozenset(("article", "content", "post", "entry", "story", "main", "body"))
 
-TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([A-Za-z][A-Za-z0-9:-]*)((?:[^<>\"']|\"[^\"]*\"|'[^']*'|[\"'<])*?)(?:>|\Z)", re.S)
-ATTR = re.compile(r"([A-Za-z_:][-\w:.]*)(?:\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s\"'>]+))?")
+#: A quote opens a quoted value right after "=" only; elsewhere it is a character like any other.
+TAG = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([A-Za-z][A-Za-z0-9:-]*)((?:[^>=]++|=\s*+(?:\"[^\"]*+\"|'[^']*+')|=)*+)(?:>|\Z)", re.S)
+ATTR = re.compile(r"([A-Za-z_:][-\w:.]*)(?:\s*=\s*(\"[^\"]*\"|'[^']*'|[^\s>]+))?")
 RAW_END = {t: re.compile(rf"</{t}\s*(?:>|\Z)", re.I) for t in ("script", "style", "textarea", "title", "noscript", "template", "iframe")}
 NAME_PART = re.compile(r"[A-Z]?[a-z]+|[A-Z]+(?![a-z])")
 WORD = re.compile(r"[^\W\d_]+")
@@ -60,58 +63,64 @@ SPACES = re.compile(r"\s+")
 
 @dataclass(frozen=True)
 class Rules:
-    """Thresholds of the first pass, in characters and shares of words."""
+    """Thresholds of the first pass, in characters and shares of words.
+
+    ``article_ease`` multiplies them inside an article, ``marked_need`` the length
+    inside an element marked as boilerplate.
+    """
 
     length_low: int = 70
     length_high: int = 200
     density_low: float = 0.12
     density_high: float = 0.25
     most_links: float = 0.35
+    article_ease: float = 0.5
+    marked_need: float = 4.0
 
 
 @dataclass
 class Block:
     text: str
-    linked: int
-    outside: bool
-    in_article: bool
-    heading: bool
+    linked: int = 0
+    marked: bool = False
+    in_article: bool = False
+    heading: bool = False
 
 
-def _hidden(attrs: str) -> bool:
-    """Whether an element's attributes mark it as no part of an article."""
+def _mark(attrs: str) -> tuple[bool, bool]:
+    """Whether an element's attributes mark it as boilerplate, and as not shown at all."""
+    marked = False
     if not attrs.strip():
-        return False
+        return False, False
     for m in ATTR.finditer(attrs):
         name, value = m[1].lower(), (m[2] or "").strip("\"'")
-        if name == "hidden" or (name == "aria-hidden" and value.lower() == "true"):
-            return True
-        if name == "role" and value.lower() in ROLES:
-            return True
-        if name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I):
-            return True
+        if name == "hidden" or (name == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I)):
+            return True, True
+        if (name == "aria-hidden" and value.lower() == "true") or (name == "role" and value.lower() in ROLES):
+            marked = True
         if name in ("class", "id"):
             for one in value.split():
                 parts = {p.lower() for p in NAME_PART.findall(one)}
                 if parts & MARKS and not (parts & CLEARS and not parts & {"ad", "ads", "comment", "comments", "sidebar", "related"}):
-                    return True
-    return False
+                    marked = True
+    return marked, False
 
 
 def blocks(page: str) -> list[Block]:
     """Blocks of text in page order; tolerant of unclosed, stray and truncated tags."""
     out: list[Block] = []
-    stack: list[tuple[str, bool, bool]] = []  # tag, outside from here on, in an article
+    stack: list[tuple[str, bool, bool, bool]] = []  # tag, marked, in an article, not shown
     parts: list[str] = []
     linked = links = 0
     heading = False
+    bottom = ("", False, False, False)
 
     def flush() -> None:
-        nonlocal linked, heading
-        text = SPACES.sub(" ", entities.unescape("".join(parts))).strip()
+        nonlocal linked
+        _, marked, article, silent = stack[-1] if stack else bottom
+        text = "" if silent else SPACES.sub(" ", entities.unescape("".join(parts))).strip()
         if text:
-            top = stack[-1] if stack else ("", False, False)
-            out.append(Block(text, min(linked, len(text)), top[1], top[2], heading))
+            out.append(Block(text, min(linked, len(text)), marked, article, heading))
         parts.clear()
         linked = 0
 
@@ -152,7 +161,7 @@ def blocks(page: str) -> list[Block]:
         if closing:
             for i in range(len(stack) - 1, -1, -1):
                 if stack[i][0] == tag:
-                    if tag not in BREAKS and any(s[1] for s in stack[i:]):
+                    if tag not in BREAKS:
                         flush()
                     del stack[i:]
                     break
@@ -160,79 +169,104 @@ def blocks(page: str) -> list[Block]:
             if tag == "p" or tag == "li":  # these end at the next of their kind
                 while stack and stack[-1][0] == tag:
                     stack.pop()
-            above = stack[-1] if stack else ("", False, False)
-            article = above[2] or tag in ARTICLE
-            outside = above[1] or tag in SILENT or tag in OUTSIDE or (tag == BANNER and not above[2]) or (tag not in ("body", "html") and _hidden(m[3]))
-            stack.append((tag, outside, article))
-        elif m[3] and _hidden(m[3]):
+            above = stack[-1] if stack else bottom
+            marked, unseen = _mark(m[3]) if tag not in ("body", "html") else (False, False)
+            marked = marked or tag in OUTSIDE or (tag == BANNER and not above[2])
+            stack.append((tag, above[1] or marked, above[2] or tag in ARTICLE, above[3] or unseen or tag in SILENT))
+        elif m[3] and any(mark := _mark(m[3])):
             flush()
-            above = stack[-1] if stack else ("", False, False)
-            stack.append((tag, True, above[2]))
+            above = stack[-1] if stack else bottom
+            stack.append((tag, above[1] or mark[0], above[2], above[3] or mark[1]))
     flush()
     return out
 
 
-def _first_pass(b: Block, rules: Rules) -> str:
-    """good, bad, near (good if no neighbour objects) or short."""
-    if b.outside:
-        return "bad"
-    n = len(b.text)
+GOOD, BAD, NEAR, SHORT = "good", "bad", "near", "short"
+
+
+def density(text: str) -> float:
+    """Share of stop words."""
+    words = WORD.findall(text.lower())
+    return sum(w in STOP_WORDS for w in words) / len(words) if words else 0.0
+
+
+def first_pass(b: Block, rules: Rules = Rules(), marks: bool = True) -> str:
+    """``good`` or ``bad`` if the block's own numbers decide, else ``near`` (text like an article's, if not much) or ``short`` (little text, or few stop words)."""
+    n, share = len(b.text), density(b.text)
     if b.linked > rules.most_links * n:
-        return "bad"
-    if n < rules.length_low:
-        return "short" if not b.linked or b.in_article else "bad"
-    words = WORD.findall(b.text.lower())
-    density = sum(w in STOP_WORDS for w in words) / len(words) if words else 0.0
-    if density >= rules.density_high:
-        return "good" if n >= rules.length_high else "near"
-    if density >= rules.density_low:
-        return "near"
-    return "near" if b.in_article else "bad"
+        return BAD
+    if marks and b.marked:
+        return NEAR if n >= rules.marked_need * rules.length_high and share >= rules.density_high else BAD
+    ease = rules.article_ease if b.in_article else 1.0
+    if n < ease * rules.length_low:
+        return SHORT if not b.linked or b.in_article else BAD
+    if share >= ease * rules.density_high and n >= ease * rules.length_high:
+        return GOOD
+    return NEAR if share >= ease * rules.density_low or b.in_article else SHORT
+
+
+def neighbours(found: list[Block], labels: list[str], step: int, sections: bool) -> list[str | None]:
+    """The nearest decided label before (``step`` -1) or after (1) each block, by one sweep.
+
+    The page's ends, and an article's, count as bad; what is marked as boilerplate
+    tells nothing of the text around it. With ``sections`` the sweep
+    forgets what it saw at every heading: nothing is decided beyond it.
+    """
+    out: list[str | None] = [None] * len(found)
+    last: str | None = BAD
+    order = range(len(found)) if step < 0 else range(len(found) - 1, -1, -1)
+    before = None
+    for i in order:
+        if before is not None and found[before].in_article != found[i].in_article:
+            last = BAD
+        if sections and found[i].heading and step < 0:
+            last = None
+        out[i] = last
+        if labels[i] in (GOOD, BAD) and not found[i].marked:
+            last = labels[i]
+        if sections and found[i].heading and step > 0:
+            last = None
+        before = i
+    return out
+
+
+def inherit(b: Block, label: str, sides: tuple[str | None, str | None], wide: tuple[str | None, str | None]) -> str:
+    """The label of an undecided block from its neighbours' in its section, or in the page if its section has none."""
+    left, right = sides if any(sides) else wide
+    if b.marked and label == NEAR:
+        return GOOD if left == right == GOOD else BAD
+    if BAD not in (left, right):
+        return GOOD
+    if GOOD not in (left, right):
+        return BAD
+    return GOOD if left == GOOD or label == NEAR or b.in_article or b.heading else BAD
+
+
+def second_pass(found: list[Block], first: list[str]) -> list[str]:
+    """All labels decided."""
+    sides = [list(zip(neighbours(found, first, -1, s), neighbours(found, first, 1, s), strict=True)) for s in (True, False)]
+    return [x if x in (GOOD, BAD) else inherit(b, x, near, wide) for b, x, near, wide in zip(found, first, *sides, strict=True)]
 
 
 def main_text(page: str | None, rules: Rules = Rules()) -> str:
-    """The article of one page; empty for null, empty or text-free pages."""
+    """The article of one page; empty for null, empty or text-free pages.
+
+    Where nothing outside marked elements looks like an article, the marks are
+    taken to be wrong and left aside. Where no block is good by its own numbers,
+    the longest undecided one is, first of those in an article.
+    """
     found = blocks(page or "")
-    first = [_first_pass(b, rules) for b in found]
-    decided = [(i, label) for i, label in enumerate(first) if label in ("good", "bad")]
-    labels = list(first)
-    has_article = any(b.in_article and not b.outside for b in found)
-    if not any(label == "good" for label in first) and any(label == "near" for label in first):
-        decided = [(i, "good" if label == "near" else label) for i, label in enumerate(first) if label in ("near", "bad")]
-        labels = ["good" if label == "near" else label for label in labels]
-
-    known = dict.fromkeys(range(len(found)))
-    known.update(decided)
-
-    def nearest(step: int) -> list[str | None]:
-        """The label of the nearest decided block on one side of each; another part of the page counts as bad."""
-        seen: list[str | None] = [None] * len(found)
-        order = range(len(found)) if step < 0 else range(len(found) - 1, -1, -1)
-        for i in order:
-            j = i + step
-            if 0 <= j < len(found):
-                seen[i] = "bad" if found[j].in_article != found[i].in_article else known[j] or seen[j]
-        return seen
-
-    before, after = nearest(-1), nearest(1)
-    out = []
-    for i, b in enumerate(found):
-        label = labels[i]
-        if label in ("near", "short"):
-            sides = {before[i], after[i]} - {None}
-            if b.in_article:
-                label = "bad" if sides == {"bad"} and label == "short" and any(s == "good" and found[k].in_article for k, s in enumerate(labels)) and b.linked else "good"
-            elif label == "near":
-                label = "bad" if sides == {"bad"} and has_article else "good"
-            else:
-                label = "good" if sides == {"good"} or (b.heading and after[i] == "good") else "bad"
-            if has_article and not b.in_article:
-                label = "bad"
-        elif label == "good" and has_article and not b.in_article:
-            label = "bad"
-        if label == "good":
-            out.append(b.text)
-    return " ".join(out)
+    first = [first_pass(b, rules) for b in found]
+    if GOOD not in first and NEAR not in first:
+        bare = [first_pass(b, rules, False) for b in found]
+        if GOOD in bare:
+            first = bare
+    if GOOD not in first:
+        open_ = [i for i, x in enumerate(first) if x != BAD and not found[i].heading]
+        if open_:
+            best = max(open_, key=lambda i: (found[i].in_article, len(found[i].text), density(found[i].text), -i))
+            first[best] = GOOD
+    return " ".join(b.text for b, x in zip(found, second_pass(found, first), strict=True) if x == GOOD)
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", rules: Rules = Rules()) -> DataFrame:

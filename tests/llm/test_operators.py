@@ -417,6 +417,67 @@ def test_html_keeps_long_runs_of_short_lines():
     assert all(f" {x} " in text for x in lines)
 
 
+LONG = "It is the first of the things that we have to say about the work and all of it is for the reader. " * 2 + "That is all of it."
+
+
+def test_html_of_hard_pages():
+    assert html_extract.main_text(f"<p class=it's>{LONG}</p><p>{LONG} again</p>") == f"{LONG} {LONG} again"
+    story = "".join(f"<div>{LONG} {i}</div>" for i in range(4))
+    teaser = "<article class=card><h3>Read this</h3><p>A teaser for it.</p></article>"
+    assert html_extract.main_text(f"<nav><a href=/>Home</a></nav>{teaser}<h1>Story</h1>{story}") == "Story " + " ".join(f"{LONG} {i}" for i in range(4))
+    wrapped = f"<div class=sidebar-page><p>{LONG}</p><footer>The imprint of the site</footer></div>"
+    assert html_extract.main_text(wrapped) == LONG
+    assert html_extract.main_text(f"<div class=comments><p>{LONG}</p></div><p>{LONG}x</p><aside>{LONG}</aside>") == f"{LONG}x"
+    assert html_extract.main_text("<div>" * 20_000 + LONG) == LONG
+    assert html_extract.main_text(f"<p hidden>{LONG}</p><p style='display:none'>{LONG}</p><template>{LONG}</template>") == ""
+
+
+def test_html_rules_decide():
+    """Without tags, roles and class words, numbers and neighbours tell text from the rest."""
+    links = "".join(f"<div><a href=/{i}>Section number {i} of the site and more</a></div>" for i in range(6))
+    short = "<div>A short line of it.</div>"
+    page = f"{links}{short}<div>{LONG}</div>{short}<div>{LONG}</div>{links}{short}"
+    line = "A short line of it."
+    assert html_extract.main_text(page) == f"{LONG} {line} {LONG}"
+    assert "Section" in html_extract.main_text(page, html_extract.Rules(most_links=1.0, density_high=0.0, length_high=0, length_low=0))
+
+
+@pytest.mark.parametrize("seed", range(5))
+def test_html_second_pass_equals_a_search_outwards(seed):
+    rng = random.Random(seed)
+    for _ in range(200):
+        n = rng.randint(0, 12)
+        found = [html_extract.Block("x", 0, rng.random() < 0.2, rng.random() < 0.5, rng.random() < 0.2) for _ in range(n)]
+        first = [rng.choice(("good", "bad", "near", "short", "short")) for _ in range(n)]
+
+        def look(i, step, sections):
+            j = i
+            while True:
+                if sections and step < 0 and found[j].heading:
+                    return None
+                j += step
+                if not 0 <= j < n or found[j].in_article != found[j - step].in_article:
+                    return "bad"
+                if sections and step > 0 and found[j].heading:
+                    return None
+                if first[j] in ("good", "bad") and not found[j].marked:
+                    return first[j]
+
+        want = []
+        for i, x in enumerate(first):
+            near, wide = ((look(i, -1, s), look(i, 1, s)) for s in (True, False))
+            want.append(x if x in ("good", "bad") else html_extract.inherit(found[i], x, near, wide))
+        assert html_extract.second_pass(found, first) == want
+
+
+def test_html_of_odd_rows(spark):
+    df = spark.createDataFrame([(None, None, f"<p>{LONG}</p>", "a"), (1, "u", f"<p>{LONG}</p>", "b"), (1, "u", f"<p>{LONG}</p>", "b"), (2, "v", f"<p>{LONG}</p>" * 3000, "c")], "page_id long, url string, html string, text string")
+    got = sorted(((r.page_id or 0, r.url, r.n_chars) for r in html_extract.extract(df).collect()), key=str)
+    n = len(LONG)
+    assert got == [(0, None, n), (1, "u", n), (1, "u", n), (2, "v", 3000 * n + 2999)]
+    assert html_extract.extract(df.where("false")).count() == 0
+
+
 def test_pipeline_drops_near_copies_of_jaccard_080(spark):
     import corpus_pipeline as cp
 
