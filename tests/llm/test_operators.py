@@ -512,3 +512,43 @@ def test_pipeline(spark, docs):
     short = {r.doc_id: r.text for r in cp.suffix_array_dedup(spark, d, "").collect()}
     assert len(short[7].split()) == 30 and 10 not in short
     assert cp.unigram_encoding(spark, d, "").where("decoded").count() == d.count()
+
+
+#: Wordings that stand nowhere in the module.
+HELD_OUT = {
+    "mit": ["Distributed under the MIT licence, see LICENSE.txt", "Dieses Programm wird unter der MIT-Lizenz angeboten", "Code is MIT licensed", "We ship it under the MIT license.", "It is MIT License software"],
+    "gpl": ["GPLv2 only", "under the terms of the GNU LGPL version 3", "It may be copied under the terms of the GNU GPL", "You can use it according to the GNU General Public License v3", "This file falls under the LGPL 2.1", "Freigegeben unter der GNU GPL, Version 3"],
+    "apache": ["The code is under Apache 2", "This module is offered under an Apache 2.0 license", "Use permitted by the Apache License 2.0", "The sources come with the Apache License, v2", "Diese Bibliothek unterliegt der Apache-Lizenz 2.0"],
+    "creative_commons": ["Published under Creative Commons Attribution-ShareAlike 3.0", "Text is available under CC BY-SA 3.0", "Photos: CC-BY-4.0", "Image used under a Creative Commons licence", "Except where noted, content is CC BY 4.0"],
+    "bsd": ["It is offered under the two-clause BSD licence", "BSD licensed, see COPYING", "This tool carries a BSD license", "Code under BSD-3-Clause"],
+    "mpl": ["Files here fall under the MPL 2.0", "The engine is offered under the Mozilla Public License", "Covered by MPL-1.1"],
+    "public_domain": ["This text has been placed in the public domain", "Data is dedicated under CC0", "The maps are in the public domain"],
+    "proprietary": ["Copyright 2021 Some Company, all rights reserved", "No part of this book may be reproduced without permission in writing from the publisher", "All rights reserved worldwide"],
+}
+
+
+def test_license_recall_on_unseen_wordings():
+    asked = [(f, w) for f, ws in HELD_OUT.items() for w in ws]
+    hits = [f in license_scan.classify(f"some words of the text\n{w}\nmore words here") for f, w in asked]
+    assert sum(hits) >= 0.9 * len(hits)
+    for w in ("Licensed under the Q Public License", "This is under the Eiffel Forum License", "Released under the Sleepycat License, see file", "Distributed under the Zope Public License 2.1"):
+        assert license_scan.classify(w) == ["unknown"]
+    for w in ("The general public has rights reserved to few.", "Commons are creative places.", "A copy of this letter is in the file.", "The apache tribe moved on.", "The software was sold.", "", "\n\n", "."):
+        assert license_scan.classify(w) == []
+
+
+def test_license_training_halves_share_no_source():
+    a, b = ({t for t, _ in license_scan.training_rows(5, held)} for held in (False, True))
+    from lexnorm.llm.license_templates import SENTENCES
+
+    sentences = {x for texts in SENTENCES.values() for x in texts}
+    assert not a & b & sentences and sentences <= a | b
+
+
+def test_license_scan_of_odd_rows(spark, docs):
+    long = "the river is green and the day is long " * 20_000 + "\nReleased under the MIT License.\n" + "word " * 20_000
+    rows = [(None, "All rights reserved."), (1, "Licensed under CC BY-NC 4.0."), (1, "Licensed under CC BY-NC 4.0."), (2, long), (3, None), (4, "")]
+    df = spark.createDataFrame([(i, t, 5) for i, t in rows], "doc_id long, text string, line int")
+    got = sorted(((r.doc_id or 0, r.families, [x.line for x in r.found]) for r in license_scan.scan(df).collect()), key=str)
+    assert got == [(0, ["proprietary"], [0]), (1, ["creative_commons"], [0]), (1, ["creative_commons"], [0]), (2, ["mit"], [1]), (3, [], []), (4, [], [])]
+    assert license_scan.scan(without(docs)).count() == 0
