@@ -1,81 +1,114 @@
 """Language-model scores: a log-bilinear model trained with noise-contrastive estimation.
 
-Word counts come from every training document. The model predicts the *class* of
-the next token from the classes of the tokens before it: the most frequent words
-are classes of their own, all others share classes by their last two bytes. In a
-class a word has its smoothed share of the class's count, and each class keeps
-the share of one unseen word, so the probabilities of all outcomes sum to one.
-
-Training is data-parallel: every task runs NCE over all its training tokens from
-one common start, and parameters are averaged by tokens seen. Scoring normalises
-over all classes with one matrix product for a batch of tokens. Counts of frequent words are
-broadcast (``HOT_WORDS`` at most); those of rarer words are joined.
+Word counts come from every training document. The most frequent words are outcomes
+of their own, in groups by rank; all others share classes by their last two bytes, the
+most frequent endings having a class each. A token's probability is that of its group
+or class after the tokens before it, times, in a group, that of the word in it after
+the same tokens, and in a class the word's smoothed share of the class's count. Each
+class keeps the share of one unseen word, so all outcomes sum to one.
+
+Both levels share one prediction from the context and are trained together by NCE.
+Training documents fall into shards by a hash of their id and text. Each shard trains
+from a common start in one task, and parameters are averaged by tokens seen, in
+``ROUNDS`` rounds: the result depends on the documents alone, not on partitions.
+Counts of frequent words are broadcast (``HOT_WORDS`` at most); those of rarer words
+are joined.
 """
 
 from __future__ import annotations
 
-import zlib
+import math
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
-from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lexnorm.llm.words import slices
+from lexnorm.llm.words import Words, slices
 from lexnorm.sources.store import materialise, ship
 
 #: Frequent words whose counts are broadcast; the bound holds whatever the corpus.
 HOT_WORDS = 200_000
-#: Class 0 is the end of a document, then come frequent words, then shared classes.
-OWN_CLASSES = 127
-SHARED_CLASSES = 128
-CLASSES = 1 + OWN_CLASSES + SHARED_CLASSES
+#: Code 0 is the end of a document, then come own words by rank, then classes by ending, the last for all other endings.
+GROUP, GROUPS, ENDINGS = 64, 64, 128
+OWN = GROUP * GROUPS
+CODES = 1 + OWN + ENDINGS
+TOP = 1 + GROUPS + ENDINGS
 DIM = 16
 CONTEXT = 4
-NOISE = 32
-BATCH = 1024
-RATE = 0.08
-#: Rounds over all training documents, whatever their number; the tasks' models are averaged after each.
+#: Noise words of a batch at either level.
+NOISE_TOP, NOISE_OWN = 24, 48
+#: Tokens of a step: a 256th of a shard's, within these bounds.
+LEAST_BATCH, MOST_BATCH = 64, 1024
+RATE = 0.1
+#: Passes over all training documents, whatever their number; the shards' models are averaged after each.
 ROUNDS = 2
-#: Tokens a task sees at least in a round, going over its documents again where they hold fewer.
-TASK_TOKENS = 400_000
+#: Shards grow in number and size with the root of the corpus: the tokens of one shard of one.
+SHARD_TOKENS = 250_000
 SEED = 11
 FOLDS, HELD_OUT = 7, 2
 #: Distinct words a task counts before it sends what it has.
-FLUSH = 200_000
+FLUSH = 400_000
+NEVER = np.float32(-1e9)
 
 
-def shared_class(word: bytes) -> int:
-    return 1 + OWN_CLASSES + zlib.crc32(word[-2:]) % SHARED_CLASSES
+@dataclass
+class Shares:
+    """Unigram shares of the outcomes of both levels; an outcome without words has none."""
+
+    top: np.ndarray
+    own: np.ndarray
+
+    @staticmethod
+    def of(ends: int, own: np.ndarray, classes: np.ndarray) -> Shares:
+        counts = np.zeros(OWN)
+        counts[: len(own)] = own
+        top = np.concatenate([[ends + 1.0], counts.reshape(GROUPS, GROUP).sum(axis=1), classes + 1.0])
+        return Shares(top / top.sum(), counts / max(counts.sum(), 1))
+
+
+def _log(x: np.ndarray) -> np.ndarray:
+    return np.where(x > 0, np.log(np.maximum(x, 1e-300)), NEVER).astype(np.float32)
+
+
+def top_of(codes: np.ndarray) -> np.ndarray:
+    """The first-level outcome of each code."""
+    return np.where(codes > OWN, codes - OWN + GROUPS, (codes + GROUP - 1) // GROUP)
 
 
 @dataclass
 class Model:
-    """Vectors of context and target classes, weights by context position, and biases."""
+    """Vectors of context codes, weights by context position, vectors and biases of the outcomes of both levels."""
 
     context: np.ndarray
-    target: np.ndarray
     position: np.ndarray
-    bias: np.ndarray
+    top: np.ndarray
+    own: np.ndarray
+    top_bias: np.ndarray
+    own_bias: np.ndarray
+
+    SHAPES = ((CODES, DIM), (CONTEXT, DIM), (TOP, DIM), (OWN, DIM), (TOP,), (OWN,))
 
     @staticmethod
-    def start(share: np.ndarray, seed: int = SEED) -> Model:
+    def start(shares: Shares, seed: int = SEED) -> Model:
         rng = np.random.default_rng(seed)
         draw = lambda *s: rng.normal(0, 0.1, s).astype(np.float32)
-        return Model(draw(CLASSES, DIM), draw(CLASSES, DIM), np.full((CONTEXT, DIM), 1 / CONTEXT, np.float32), np.log(share).astype(np.float32))
+        return Model(draw(CODES, DIM), np.full((CONTEXT, DIM), 1 / CONTEXT, np.float32), draw(TOP, DIM), draw(OWN, DIM), _log(shares.top), _log(shares.own))
+
+    def parts(self) -> tuple[np.ndarray, ...]:
+        return self.context, self.position, self.top, self.own, self.top_bias, self.own_bias
 
     def flat(self) -> np.ndarray:
-        return np.concatenate([x.ravel() for x in (self.context, self.target, self.position, self.bias)]).astype(np.float64)
+        return np.concatenate([x.ravel() for x in self.parts()]).astype(np.float32)
 
     @staticmethod
     def of(flat: np.ndarray) -> Model:
-        shapes = ((CLASSES, DIM), (CLASSES, DIM), (CONTEXT, DIM), (CLASSES,))
-        cuts = np.cumsum([int(np.prod(s)) for s in shapes])[:-1]
-        return Model(*(x.reshape(s).astype(np.float32) for x, s in zip(np.split(flat, cuts), shapes, strict=True)))
+        cuts = np.cumsum([math.prod(s) for s in Model.SHAPES])[:-1]
+        return Model(*(x.reshape(s).astype(np.float32) for x, s in zip(np.split(flat, cuts), Model.SHAPES, strict=True)))
 
     def predicted(self, before: np.ndarray) -> np.ndarray:
         out = self.context[before[:, 0]] * self.position[0]
@@ -83,107 +116,128 @@ class Model:
             out += self.context[before[:, i]] * self.position[i]
         return out
 
-    def log10(self, before: np.ndarray, classes: np.ndarray) -> np.ndarray:
-        """Normalised log10 probability of each class after its context."""
-        out = np.empty(len(classes))
-        for i in range(0, len(classes), 4096):
-            b, c = before[i : i + 4096], classes[i : i + 4096]
-            s = self.predicted(b) @ self.target.T
-            s += self.bias
-            top = s.max(axis=1)
-            own = s[np.arange(len(c)), c] - top
-            s -= top[:, None]
-            np.exp(s, out=s)
-            out[i : i + 4096] = (own - np.log(s.sum(axis=1))) / np.log(10)
-        return out
-
-
-def contexts(classes: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """The classes of the tokens before each, nearest first; before a document's start stands class 0."""
-    n = len(classes)
+    def log10(self, before: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """Normalised log10 probability of each code after its context; a class counts as one outcome."""
+        out = np.empty(len(codes))
+        for i in range(0, len(codes), 8192):
+            p, c = self.predicted(before[i : i + 8192]), codes[i : i + 8192]
+            got = _normalised(p @ self.top.T + self.top_bias, top_of(c))
+            group = np.where((c > 0) & (c <= OWN), (c - 1) // GROUP, GROUPS)
+            order = np.argsort(group, kind="stable")
+            cuts = np.searchsorted(group[order], np.arange(GROUPS + 1))
+            for g in np.flatnonzero(np.diff(cuts)).tolist():
+                rows, part = order[cuts[g] : cuts[g + 1]], slice(g * GROUP, (g + 1) * GROUP)
+                got[rows] += _normalised(p[rows] @ self.own[part].T + self.own_bias[part], c[rows] - 1 - g * GROUP)
+            out[i : i + 8192] = got
+        return out / np.log(10)
+
+
+def _normalised(s: np.ndarray, chosen: np.ndarray) -> np.ndarray:
+    """Log probability of the chosen outcome of each row of scores."""
+    top = s.max(axis=1)
+    own = s[np.arange(len(chosen)), chosen] - top
+    s -= top[:, None]
+    np.exp(s, out=s)
+    return own - np.log(s.sum(axis=1))
+
+
+def contexts(codes: np.ndarray) -> np.ndarray:
+    """The codes of the tokens before each, nearest first; before a document's start stand ends."""
+    n = len(codes)
     first = np.zeros(n, dtype=np.int64)
-    starts = np.concatenate([[0], ends[:-1] + 1]).astype(np.int64)
+    starts = np.flatnonzero(codes[:-1] == 0) + 1
     first[starts] = starts
     first = np.maximum.accumulate(first)
     at = np.arange(n)
     out = np.zeros((n, CONTEXT), dtype=np.int32)
     for i in range(CONTEXT):
-        out[i + 1 :, i] = classes[: max(0, n - i - 1)]
+        out[i + 1 :, i] = codes[: max(0, n - i - 1)]
         out[at - i - 1 < first, i] = 0
     return out
 
 
-def train(model: Model, stream: Iterator[tuple[np.ndarray, np.ndarray]], share: np.ndarray, rate: float = RATE, seed: int = SEED) -> int:
-    """NCE over a stream of (contexts, classes); Adagrad steps; returns tokens seen."""
+def train(model: Model, stream: Iterator[np.ndarray], shares: Shares, batch: int = MOST_BATCH, rate: float = RATE, seed: int = SEED) -> int:
+    """NCE over a stream of codes (whole documents, ends included); Adagrad steps; returns tokens seen."""
     rng = np.random.default_rng(seed)
-    cdf = np.cumsum(share)
-    logq = np.log(share * NOISE).astype(np.float32)
-    parts = (model.context, model.target, model.position, model.bias)
-    square = [np.full(x.shape, 1e-2, np.float32) for x in parts]
+    levels = []
+    for share, k in ((shares.top, NOISE_TOP), (shares.own, NOISE_OWN)):
+        levels.append((np.cumsum(share), k, _log(share * k)))
+    parts = model.parts()
+    square = [np.ones(x.shape, np.float32) for x in parts]
     span = np.arange(DIM)
-    seen = 0
     sigma = lambda x: 1 / (1 + np.exp(-np.clip(x, -30, 30)))
 
-    def spread(rows: np.ndarray, values: np.ndarray) -> np.ndarray:
-        return np.bincount((rows[:, None] * DIM + span).ravel(), values.ravel(), CLASSES * DIM).reshape(CLASSES, DIM)
+    def spread(rows: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
+        return np.bincount((rows[:, None] * DIM + span).ravel(), values.ravel(), n * DIM).reshape(n, DIM).astype(np.float32)
+
+    def contrast(p: np.ndarray, c: np.ndarray, level: int, vectors: np.ndarray, bias: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Gradients of predictions, vectors and biases."""
+        cdf, k, logq = levels[level]
+        noise = np.minimum(np.searchsorted(cdf, rng.random(k) * cdf[-1], side="right"), len(cdf) - 1)
+        q, qn = vectors[c], vectors[noise]
+        right = 1 - sigma((p * q).sum(axis=1) + bias[c] - logq[c])
+        wrong = -sigma(p @ qn.T + bias[noise] - logq[noise])
+        rows = np.concatenate([c, noise])
+        dv = spread(rows, np.concatenate([right[:, None] * p, wrong.T @ p]), len(vectors))
+        db = np.bincount(rows, np.concatenate([right, wrong.sum(axis=0)]), len(vectors)).astype(np.float32)
+        return right[:, None] * q + wrong @ qn, dv, db
 
-    for before, classes in stream:
-        for i in range(0, len(classes), BATCH):
-            b, c = before[i : i + BATCH], classes[i : i + BATCH]
-            n = len(c)
-            seen += n
-            noise = np.minimum(np.searchsorted(cdf, rng.random(NOISE) * cdf[-1]), CLASSES - 1)
+    seen = 0
+    for codes in stream:
+        before, tops = contexts(codes), top_of(codes)
+        for i in range(0, len(codes), batch):
+            b, c, t = before[i : i + batch], codes[i : i + batch], tops[i : i + batch]
+            seen += len(c)
             vectors = [model.context[b[:, k]] for k in range(CONTEXT)]
             p = sum(v * w for v, w in zip(vectors, model.position, strict=True))
-            q, qn = model.target[c], model.target[noise]
-            right = 1 - sigma((p * q).sum(axis=1) + model.bias[c] - logq[c])
-            wrong = -sigma(p @ qn.T + model.bias[noise] - logq[noise])
-            dp = right[:, None] * q + wrong @ qn
-            dt = spread(c, right[:, None] * p)
-            np.add.at(dt, noise, wrong.T @ p)
-            db = np.bincount(c, right, CLASSES)
-            np.add.at(db, noise, wrong.sum(axis=0))
+            dp, dt, dtb = contrast(p, t, 0, model.top, model.top_bias)
+            mine = np.flatnonzero((c > 0) & (c <= OWN))
+            dpo, do, dob = contrast(p[mine], c[mine] - 1, 1, model.own, model.own_bias) if len(mine) else (0, 0, 0)
+            dp[mine] += dpo
             dw = np.stack([(dp * v).sum(axis=0) for v in vectors])
-            dc = sum(spread(b[:, k], dp * model.position[k]) for k in range(CONTEXT))
-            for x, g, s in zip(parts, (dc, dt, dw, db), square, strict=True):
-                g = (g / n).astype(np.float32)
+            dc = spread(b.T.ravel(), np.concatenate([dp * w for w in model.position]), CODES)
+            for x, g, s in zip(parts, (dc, dw, dt, do, dtb, dob), square, strict=True):
                 s += g * g
                 x += rate * g / np.sqrt(s)
     return seen
 
 
 class Vocabulary:
-    """Classes and counts of frequent words."""
-
-    def __init__(self, words: list[bytes], counts: np.ndarray):
-        self.index = {w: i for i, w in enumerate(words)}
-        self.classes = np.array([1 + i if i < OWN_CLASSES else shared_class(w) for i, w in enumerate(words)], dtype=np.int32)
-        self.log_counts = np.log10(counts.astype(float) + 1)
-
-    def look_up(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Index (-1 for rarer words), class, and positions of rarer words."""
-        at = np.fromiter(map(self.index.get, words, repeat(-1)), dtype=np.int32, count=len(words))
-        rare = np.flatnonzero(at < 0)
-        classes = self.classes[at] if len(self.classes) else np.zeros(len(words), np.int32)
-        if len(rare):
-            classes[rare] = [shared_class(words[i]) for i in rare]
-        return at, classes, rare
-
-
-def tokens(texts: pa.Array) -> tuple[list[bytes], np.ndarray]:
-    """Words of all texts (A-Z in lower case), and the words of each."""
-    each = [(x.as_py() or b"").lower().split() for x in texts]
-    return [w for e in each for w in e], np.fromiter(map(len, each), dtype=np.int64, count=len(each))
-
-
-def with_ends(classes: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Add class 0 after each document; also the positions of these."""
+    """Codes and counts of frequent words, found by hash."""
+
+    def __init__(self, words: list[bytes], counts: np.ndarray, endings: list[bytes]):
+        order = np.argsort(h := Words(pa.array([b" ".join(words)], pa.binary())).hashes())
+        self.keys, self.rank = h[order], order.astype(np.int32)
+        self.counts = counts.astype(np.float64)
+        self.endings = np.full(1 << 16, ENDINGS - 1, dtype=np.int16)
+        for i, e in enumerate(endings):
+            self.endings[e[0] | e[1] << 8 if len(e) > 1 else e[0]] = i
+        # A word of one byte has no byte before it: its ending is that byte and a zero.
+
+    def look_up(self, w: Words) -> tuple[np.ndarray, np.ndarray]:
+        """Rank (-1 for rarer words) and code of every word."""
+        h = w.hashes()
+        rank = np.full(len(h), -1, dtype=np.int32)
+        if len(self.keys):
+            at = np.minimum(np.searchsorted(self.keys, h), len(self.keys) - 1)
+            hit = self.keys[at] == h
+            rank[hit] = self.rank[at[hit]]
+        if not len(h):
+            return rank, np.zeros(0, np.int32)
+        last = w.data[w.ends - 1].astype(np.int64)
+        long = w.ends - w.starts > 1
+        ending = np.where(long, w.data[w.ends - 2] | last << 8, last)
+        return rank, np.where((rank >= 0) & (rank < OWN), rank + 1, OWN + 1 + self.endings[ending]).astype(np.int32)
+
+
+def with_ends(codes: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Add code 0 after each document."""
     ends = np.cumsum(counts + 1) - 1
-    out = np.zeros(len(classes) + len(counts), dtype=np.int32)
+    out = np.zeros(len(codes) + len(counts), dtype=np.int32)
     keep = np.ones(len(out), dtype=bool)
     keep[ends] = False
-    out[keep] = classes
-    return out, ends
+    out[keep] = codes
+    return out
 
 
 def word_counts(documents: DataFrame) -> DataFrame:
@@ -198,8 +252,13 @@ def word_counts(documents: DataFrame) -> DataFrame:
             return b
 
         for whole in batches:
-            for b in slices(whole, "text"):
-                total.update(tokens(b.column(0))[0])
+            for b in slices(whole, "text", 1 << 22):
+                w = Words(b.column(0), lower=True)
+                _, first, n = np.unique(w.hashes(), return_index=True, return_counts=True)
+                raw = w.data.tobytes()
+                words = [raw[s:e] for s, e in zip(w.starts[first].tolist(), w.ends[first].tolist())]
+                for x, k in zip(words, n.tolist()):
+                    total[x] += k
                 if len(total) > FLUSH:
                     yield out()
         yield out()
@@ -207,49 +266,63 @@ def word_counts(documents: DataFrame) -> DataFrame:
     return documents.select("text").mapInArrow(run, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
-def _trained(documents: DataFrame, words: Vocabulary, share: np.ndarray, start: Model, rate: float, least: int) -> Model:
-    """The average of the models that the tasks train from ``start``."""
-    spark = documents.sparkSession
-    shared = spark.sparkContext.broadcast((words, share, start.flat()))
+def shards_of(tokens: int) -> int:
+    return max(1, math.ceil(math.sqrt(tokens / SHARD_TOKENS)))
+
+
+def _trained(coded: DataFrame, shares: Shares, start: Model, shards: int, batch: int) -> Model:
+    """The average, by tokens, of the models that the shards train from ``start``."""
+    shared = coded.sparkSession.sparkContext.broadcast((shares, start.flat()))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary, q, flat = shared.value
-        model = Model.of(flat)
-
-        def stream() -> Iterator[tuple[np.ndarray, np.ndarray]]:
-            for whole in batches:
-                for b in slices(whole, "text"):
-                    found, counts = tokens(b.column(0))
-                    if len(counts):
-                        classes, ends = with_ends(vocabulary.look_up(found)[1], counts)
-                        yield contexts(classes, ends), classes
-
-        parts: list[tuple[np.ndarray, np.ndarray]] = []
-
-        def kept() -> Iterator[tuple[np.ndarray, np.ndarray]]:
-            """The task's documents, held as long as they are few enough to be gone over again."""
-            held = 0
-            for part in stream():
-                held += len(part[1])
-                if held < least:
-                    parts.append(part)
-                else:
-                    parts.clear()
-                yield part
-
-        seen = train(model, kept(), q, rate)
-        while 0 < seen < least:
-            seen += train(model, iter(parts), q, rate, SEED + seen)
-        if seen:
-            x = model.flat()
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(x), dtype=np.int32)), pa.array(x * seen), pa.array(np.full(len(x), float(seen)))], names=["at", "value", "weight"])
-
-    rows = documents.select("text").mapInArrow(run, "at int, value double, weight double").groupBy("at").agg((F.sum("value") / F.sum("weight")).alias("x")).toArrow()
-    if not rows.num_rows:
-        return start
-    flat = np.empty(rows.num_rows)
-    flat[rows.column("at").to_numpy()] = rows.column("x").to_numpy()
-    return Model.of(flat)
+        q, flat = shared.value
+
+        def stream(first: pa.RecordBatch, left: list[pa.RecordBatch]) -> Iterator[np.ndarray]:
+            """The shard's documents, some at a time; what follows it stays in ``left``."""
+            shard, b = first.column(0)[0].as_py(), first
+            held: list[bytes] = []
+            size = 0
+            while b is not None:
+                mine = pa.compute.sum(pa.compute.equal(b.column(0), shard)).as_py() or 0
+                for x in b.column(1).slice(0, mine):
+                    held.append(x.as_py())
+                    size += len(held[-1])
+                    if size > 1 << 19:
+                        yield np.frombuffer(b"".join(held), "<i2").astype(np.int32)
+                        held, size = [], 0
+                if mine < b.num_rows:
+                    left.append(b.slice(mine))
+                    break
+                b = next((x for x in batches if x.num_rows), None)
+            if held:
+                yield np.frombuffer(b"".join(held), "<i2").astype(np.int32)
+
+        now = next((x for x in batches if x.num_rows), None)
+        while now is not None:
+            model, left = Model.of(flat), []
+            seen = train(model, stream(now, left), q, batch)
+            yield pa.RecordBatch.from_arrays([pa.array([float(seen)]), pa.array([model.flat().tobytes()], pa.binary())], names=["weight", "flat"])
+            now = left[0] if left else None
+
+    def summed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Models of one task, added up: one row of fixed size goes on."""
+        total = weight = 0.0
+        for b in batches:
+            for w, x in zip(b.column(0).to_pylist(), b.column(1), strict=True):
+                total = total + w * np.frombuffer(x.as_py(), np.float32).astype(np.float64)
+                weight += w
+        if weight:
+            yield pa.RecordBatch.from_arrays([pa.array([weight]), pa.array([(total / weight).astype(np.float32).tobytes()], pa.binary())], names=["weight", "flat"])
+
+    kind = "weight double, flat binary"
+    placed = coded.select("shard", "codes", "doc_id", "tag").repartitionById(shards, F.col("shard")).sortWithinPartitions("shard", "doc_id", "tag")
+    models = materialise(placed.select("shard", "codes").mapInArrow(run, kind), "models")
+    rows = models.orderBy("weight", "flat").toLocalIterator() if shards <= 64 else models.repartition(64).mapInArrow(summed, kind).toLocalIterator()
+    total = weight = 0.0
+    for r in rows:
+        total = total + r.weight * np.frombuffer(bytes(r.flat), np.float32).astype(np.float64)
+        weight += r.weight
+    return Model.of((total / weight).astype(np.float32)) if weight else start
 
 
 def score(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -271,54 +344,74 @@ def score(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     total, types = n_words + n_docs, distinct + (n_docs > 0)
     hot = counts.orderBy(F.desc("n"), "word").limit(HOT_WORDS).toArrow()
     words, ns = [bytes(w) for w in hot.column("word").to_pylist()], hot.column("n").to_numpy()
-    vocabulary = Vocabulary(words, ns)
-    bucket = (F.crc32(F.expr("substring(word, -2, 2)")) % SHARED_CLASSES).cast("int")
-    size, kinds = np.zeros(CLASSES), np.zeros(CLASSES)
-    for k, n, v in counts.groupBy(bucket.alias("k")).agg(F.sum("n"), F.count("*")).collect():
-        size[1 + OWN_CLASSES + k], kinds[1 + OWN_CLASSES + k] = n, v
-    for i, w in enumerate(words[:OWN_CLASSES]):
-        size[shared_class(w)] -= ns[i]
-        kinds[shared_class(w)] -= 1
-        size[1 + i] = ns[i]
-    size[0] = n_docs
-    share = (size + 1) / (size + 1).sum()
-    model = Model.start(share)
-    for _ in range(ROUNDS):
-        model = _trained(learned, vocabulary, share, model, RATE, TASK_TOKENS)
-    #: log10 of the denominator of a word's share of its class; own classes hold one word.
-    within = np.where(np.arange(CLASSES) > OWN_CLASSES, np.log10(np.maximum(size + kinds + 1, 1)), 0.0)
-    shared = spark.sparkContext.broadcast((vocabulary, model.flat(), within))
+    # Counts and words by ending, at most 65,536 rows; own words are taken off.
+    by_end = {bytes(e): [n, v] for e, n, v in counts.groupBy(F.expr("substring(word, -2, 2)")).agg(F.sum("n"), F.count("*")).collect()}
+    for w, n in zip(words[:OWN], ns[:OWN].tolist()):
+        by_end[w[-2:]][0] -= n
+        by_end[w[-2:]][1] -= 1
+    endings = sorted((e for e in by_end if by_end[e][1]), key=lambda e: (-by_end[e][0], e))[: ENDINGS - 1]
+    place = {e: i for i, e in enumerate(endings)}
+    size, kinds = np.zeros(ENDINGS), np.zeros(ENDINGS)
+    for e, (n, v) in by_end.items():
+        size[place.get(e, ENDINGS - 1)] += n
+        kinds[place.get(e, ENDINGS - 1)] += v
+    vocabulary = Vocabulary(words, ns, endings)
+    shares = Shares.of(n_docs, ns[:OWN], size)
+    #: log10 of the denominator of a word's share of its class.
+    within = np.log10(size + kinds + 1)
+    shared = spark.sparkContext.broadcast((vocabulary, within))
     log_ends = float(np.log10(n_docs + 1))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, flat, bottoms = shared.value
-        lm = Model.of(flat)
+    def code(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known, bottoms = shared.value
+        log_counts = np.log10(known.counts + 1)
         for whole in batches:
-            for b in slices(whole, "text", 1 << 20):
-                found, n = tokens(b.column(1))
-                at, word_classes, rare = known.look_up(found)
-                classes, ends = with_ends(word_classes, n)
+            for b in slices(whole, "text", 1 << 21):
+                w = Words(b.column(1), lower=True)
+                rank, codes = known.look_up(w)
+                n = w.counts
                 owner = np.repeat(np.arange(len(n)), n)
-                add = lambda v, o: np.bincount(o, v, len(n))
-                logs = np.where(at >= 0, known.log_counts[at] if len(known.log_counts) else 0.0, 0.0)
-                base = add(logs, owner) + log_ends
-                part = add(np.where(word_classes > OWN_CLASSES, logs - bottoms[word_classes], 0.0), owner)
-                chain = add(lm.log10(contexts(classes, ends), classes), np.repeat(np.arange(len(n)), n + 1))
-                seen = add((at >= 0).astype(float), owner)
+                add = lambda v, o: np.bincount(o, v, len(n)).astype(float)
+                logs = np.where(rank >= 0, log_counts[rank] if len(log_counts) else 0.0, 0.0)
+                classed = np.flatnonzero(codes > OWN)
+                part = add(logs[classed] - bottoms[codes[classed] - OWN - 1], owner[classed])
+                rare = np.flatnonzero(rank < 0)
                 cuts = np.searchsorted(owner[rare], np.arange(len(n) + 1)).astype(np.int32)
-                tail = pa.ListArray.from_arrays(pa.array(cuts), pa.array([found[i] for i in rare], pa.binary()))
+                raw = w.data.tobytes()
+                tail = pa.ListArray.from_arrays(pa.array(cuts), pa.array([raw[s:e] for s, e in zip(w.starts[rare].tolist(), w.ends[rare].tolist())], pa.binary()))
+                stream = with_ends(codes, n).astype("<i2").tobytes()
+                ends = (np.cumsum(n + 1) * 2).tolist()
                 yield pa.RecordBatch.from_arrays(
-                    [b.column(0), b.column(2), pa.array(n + 1), pa.array(seen.astype(np.int64)), pa.array(base), pa.array(chain + part), tail],
-                    names=["doc_id", "held_out", "n_tokens", "n_hot", "base", "chain", "tail"],
+                    [b.column(0), b.column(2), pa.array(n + 1), pa.array(add((rank >= 0).astype(float), owner).astype(np.int64)), pa.array(add(logs, owner) + log_ends), pa.array(part), tail, pa.array([stream[s:e] for s, e in zip([0, *ends], ends)], pa.binary())],
+                    names=["doc_id", "held_out", "n_tokens", "n_hot", "base", "part", "tail", "codes"],
                 )
 
-    scored = docs.select("doc_id", "text", "held_out").mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_hot long, base double, chain double, tail array<binary>")
-    scored = materialise(scored.withColumn("row", F.monotonically_increasing_id()), "scored")
+    kind = "doc_id long, held_out boolean, n_tokens long, n_hot long, base double, part double, tail array<binary>, codes binary"
+    shards = shards_of(total)
+    batch = min(MOST_BATCH, max(LEAST_BATCH, total // shards // 256))
+    tag = F.xxhash64("doc_id", "codes")
+    coded = docs.select("doc_id", "text", "held_out").mapInArrow(code, kind).withColumn("row", F.monotonically_increasing_id()).withColumn("tag", tag)
+    coded = materialise(coded.withColumn("shard", F.pmod("tag", F.lit(shards)).cast("int")), "coded")
+    model = Model.start(shares)
+    for _ in range(ROUNDS if n_docs else 0):
+        model = _trained(coded.where("not held_out"), shares, model, shards, batch)
+    fitted = spark.sparkContext.broadcast(model.flat())
+
+    def chain(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lm = Model.of(fitted.value)
+        for whole in batches:
+            for b in slices(whole, "codes", 1 << 20):
+                codes = np.frombuffer(b"".join(x.as_py() for x in b.column(0)), "<i2").astype(np.int32)
+                n = b.column(1).to_numpy()
+                logs = lm.log10(contexts(codes), codes)
+                yield pa.RecordBatch.from_arrays([pa.array(np.bincount(np.repeat(np.arange(len(n)), n), logs, len(n)).astype(float)), *b.columns[1:]], names=["chain", *b.schema.names[1:]])
+
     # Rarer words get their counts by a join on the word; no word in it is frequent.
-    tail = scored.select("row", F.explode("tail").alias("word"))
+    tail = coded.select("row", F.explode("tail").alias("word"))
     found = tail.join(counts, "word").groupBy("row").agg(F.count("*").alias("more"), F.sum(F.log10(F.col("n") + 1)).alias("logs"))
     log_all = float(np.log10(total + types + 1))
-    out = scored.drop("tail").join(found, "row", "left").na.fill({"more": 0, "logs": 0.0})
+    scored = coded.select("codes", "n_tokens", "row", "doc_id", "held_out", "n_hot", "base", "part").mapInArrow(chain, "chain double, n_tokens long, row long, doc_id long, held_out boolean, n_hot long, base double, part double")
+    out = scored.join(found, "row", "left").na.fill({"more": 0, "logs": 0.0})
     return out.select(
         "doc_id",
         "held_out",
@@ -326,5 +419,5 @@ def score(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text")
         (F.col("n_hot") + F.col("more") + F.lit(int(n_docs > 0))).alias("n_known"),
         F.lit(total).cast("long").alias("train_tokens"),
         (F.col("base") + F.col("logs") - F.col("n_tokens") * F.lit(log_all)).alias("base_score"),
-        (F.col("chain") + F.col("logs")).alias("score"),
+        (F.col("chain") + F.col("part") + F.col("logs")).alias("score"),
     )

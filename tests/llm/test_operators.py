@@ -237,20 +237,74 @@ def test_language_model(spark):
     assert sum(got[i].score for i in out) > sum(got[i].base_score for i in out)
 
 
-def test_language_model_trains_on_all_documents_in_every_round(spark, monkeypatch):
-    seen, trained = [], language_model._trained
-    monkeypatch.setattr(language_model, "_trained", lambda documents, *rest: seen.append((documents.count(), rest[3])) or trained(documents, *rest))
-    for n in (400, 4000):
-        seen.clear()
-        df = spark.createDataFrame([(i, f"a{i % 7} b{i % 5} c") for i in range(n)], "doc_id long, text string")
-        out = language_model.score(df).where("not held_out").count()
-        assert seen == [(out, language_model.RATE)] * 2
-
-
-def test_model_is_normalised():
-    m = language_model.Model.start(np.full(language_model.CLASSES, 1 / language_model.CLASSES))
-    before = np.zeros((language_model.CLASSES, language_model.CONTEXT), dtype=np.int32)
-    assert (10 ** m.log10(before, np.arange(language_model.CLASSES))).sum() == pytest.approx(1, abs=1e-5)
+def softmax(x):
+    e = np.exp(x - x.max())
+    return e / e.sum()
+
+
+def test_language_model_score_equals_a_plain_reading_of_the_trained_model(spark, monkeypatch):
+    """Every probability by whole softmaxes; all outcomes, and one unseen word for each class, sum to one."""
+    lm = language_model
+    models, trained = [], lm._trained
+    monkeypatch.setattr(lm, "_trained", lambda *a: models.append(trained(*a)) or models[-1])
+    rng = random.Random(5)
+    vocab = [f"{x}{i}" for i in range(1500) for x in ("p", "q", "é", "Z")]
+    data = [(i, " ".join(rng.choices(vocab, k=rng.randint(0, 60)))) for i in range(400)] + [(1000, "neverseen p1"), (1001, None), (None, "p1 p2"), (None, "p1 p2"), (2, "q3"), (1002, "x " * 30_000)]
+    df = spark.createDataFrame([(i, t, "c", 0.0) for i, t in data], "doc_id long, text string, codes string, base double")
+    rows = lm.score(df).collect()
+    assert len(models) == lm.ROUNDS and len(rows) == len(data)
+    m = models[-1]
+    words = lambda t: (t or "").encode().lower().split()
+    count = collections.Counter(w for i, t in data if i is None or zlib.crc32(str(i).encode()) % 7 != 2 for w in words(t))
+    ranked = sorted(count, key=lambda w: (-count[w], w))
+    own = {w: k for k, w in enumerate(ranked[: lm.OWN])}
+    mass = collections.Counter()
+    for w in ranked[lm.OWN :]:
+        mass[w[-2:]] += count[w]
+    ends = {e: k for k, e in enumerate(sorted(mass, key=lambda e: (-mass[e], e))[: lm.ENDINGS - 1])}
+    of = lambda w: ends.get(w[-2:], lm.ENDINGS - 1)
+    size, kinds = collections.Counter(), collections.Counter()
+    for w in ranked[lm.OWN :]:
+        size[of(w)] += count[w]
+        kinds[of(w)] += 1
+    code = lambda w: own[w] + 1 if w in own else lm.OWN + 1 + of(w)
+
+    def spread(before):
+        """Probabilities of all codes."""
+        p = sum(m.context[c] * m.position[k] for k, c in enumerate(before))
+        top = softmax(m.top @ p + m.top_bias)
+        inner = np.concatenate([softmax((m.own @ p + m.own_bias)[g * lm.GROUP : (g + 1) * lm.GROUP]) for g in range(lm.GROUPS)])
+        return np.concatenate([top[:1], np.repeat(top[1 : lm.GROUPS + 1], lm.GROUP) * inner, top[lm.GROUPS + 1 :]])
+
+    share = lambda w: 1.0 if w in own else (count[w] + 1) / (size[of(w)] + kinds[of(w)] + 1)
+    every = spread([1, 5, 0, 0])
+    unseen = sum(every[lm.OWN + 1 + e] / (size[e] + kinds[e] + 1) for e in range(lm.ENDINGS))
+    assert every[0] + sum(every[code(w)] * share(w) for w in ranked) + unseen == pytest.approx(1, abs=1e-5)
+    memo = {}
+
+    def score(t):
+        codes = [code(w) for w in words(t)] + [0]
+        out = 0.0
+        for k, c in enumerate(codes):
+            before = tuple(([*codes[:k][::-1], 0, 0, 0, 0])[: lm.CONTEXT])
+            if before not in memo:
+                memo[before] = spread(before)
+            out += math.log10(memo[before][c])
+        return out + sum(math.log10(share(w)) for w in words(t))
+
+    asked = {i for i, _ in data[-60:]}
+    want = sorted(score(t) for i, t in data if i in asked)
+    got = sorted(r.score for r in rows if r.doc_id in asked)
+    assert got == pytest.approx(want, rel=1e-4, abs=1e-3)
+
+
+def test_language_model_does_not_depend_on_partitions(spark):
+    rng = random.Random(7)
+    data = [(i, " ".join(rng.choices([f"w{k}" for k in range(60)], k=40))) for i in range(300)]
+    df = spark.createDataFrame(data, "doc_id long, text string")
+    a, b = ({r.doc_id: r.score for r in language_model.score(df.repartition(n)).collect()} for n in (1, 7))
+    assert a == pytest.approx(b, rel=1e-6)
+    assert language_model.score(df.where("false")).count() == 0
 
 
 def test_token_file(spark, docs):
