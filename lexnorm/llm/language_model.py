@@ -34,17 +34,17 @@ from lexnorm.sources.store import materialise, ship
 #: Frequent words whose counts are broadcast; the bound holds whatever the corpus.
 HOT_WORDS = 200_000
 #: Code 0 is the end of a document, then come own words by rank, then classes by ending, the last for all other endings.
-GROUP, GROUPS, ENDINGS = 64, 64, 128
+GROUP, GROUPS, ENDINGS = 64, 64, 96
 OWN = GROUP * GROUPS
 CODES = 1 + OWN + ENDINGS
 TOP = 1 + GROUPS + ENDINGS
 DIM = 16
 CONTEXT = 4
 #: Noise words of a batch at either level.
-NOISE_TOP, NOISE_OWN = 24, 48
+NOISE_TOP, NOISE_OWN = 24, 24
 #: Tokens of a step: a 256th of a shard's, within these bounds.
-LEAST_BATCH, MOST_BATCH = 64, 1024
-RATE = 0.1
+LEAST_BATCH, MOST_BATCH = 64, 2048
+RATE = 0.035
 #: Passes over all training documents, whatever their number; the shards' models are averaged after each.
 ROUNDS = 2
 #: Shards grow in number and size with the root of the corpus: the tokens of one shard of one.
@@ -121,7 +121,7 @@ class Model:
         out = np.empty(len(codes))
         for i in range(0, len(codes), 8192):
             p, c = self.predicted(before[i : i + 8192]), codes[i : i + 8192]
-            got = _normalised(p @ self.top.T + self.top_bias, top_of(c))
+            got = _normalised(np.add(s := p @ self.top.T, self.top_bias, out=s), top_of(c))
             group = np.where((c > 0) & (c <= OWN), (c - 1) // GROUP, GROUPS)
             order = np.argsort(group, kind="stable")
             cuts = np.searchsorted(group[order], np.arange(GROUPS + 1))
@@ -133,12 +133,15 @@ class Model:
 
 
 def _normalised(s: np.ndarray, chosen: np.ndarray) -> np.ndarray:
-    """Log probability of the chosen outcome of each row of scores."""
-    top = s.max(axis=1)
-    own = s[np.arange(len(chosen)), chosen] - top
-    s -= top[:, None]
-    np.exp(s, out=s)
-    return own - np.log(s.sum(axis=1))
+    """Log probability of the chosen outcome of each row of scores; rows too large for plain sums are shifted first."""
+    own = s[np.arange(len(chosen)), chosen]
+    with np.errstate(over="ignore", divide="ignore"):
+        out = own - np.log(np.exp(s).sum(axis=1))
+    odd = np.flatnonzero(~np.isfinite(out))
+    if len(odd):
+        top = s[odd].max(axis=1)
+        out[odd] = own[odd] - top - np.log(np.exp(s[odd] - top[:, None]).sum(axis=1))
+    return out
 
 
 def contexts(codes: np.ndarray) -> np.ndarray:
@@ -165,7 +168,14 @@ def train(model: Model, stream: Iterator[np.ndarray], shares: Shares, batch: int
     parts = model.parts()
     square = [np.ones(x.shape, np.float32) for x in parts]
     span = np.arange(DIM)
-    sigma = lambda x: 1 / (1 + np.exp(-np.clip(x, -30, 30)))
+
+    def sigma(x: np.ndarray) -> np.ndarray:
+        """The logistic function, in place; an overflow gives zero, as it should."""
+        np.negative(x, out=x)
+        with np.errstate(over="ignore"):
+            np.exp(x, out=x)
+        x += 1
+        return np.reciprocal(x, out=x)
 
     def spread(rows: np.ndarray, values: np.ndarray, n: int) -> np.ndarray:
         return np.bincount((rows[:, None] * DIM + span).ravel(), values.ravel(), n * DIM).reshape(n, DIM).astype(np.float32)
@@ -175,8 +185,10 @@ def train(model: Model, stream: Iterator[np.ndarray], shares: Shares, batch: int
         cdf, k, logq = levels[level]
         noise = np.minimum(np.searchsorted(cdf, rng.random(k) * cdf[-1], side="right"), len(cdf) - 1)
         q, qn = vectors[c], vectors[noise]
-        right = 1 - sigma((p * q).sum(axis=1) + bias[c] - logq[c])
-        wrong = -sigma(p @ qn.T + bias[noise] - logq[noise])
+        right = 1 - sigma(np.einsum("ij,ij->i", p, q) + (bias - logq)[c])
+        wrong = p @ qn.T
+        wrong += bias[noise] - logq[noise]
+        np.negative(sigma(wrong), out=wrong)
         rows = np.concatenate([c, noise])
         dv = spread(rows, np.concatenate([right[:, None] * p, wrong.T @ p]), len(vectors))
         db = np.bincount(rows, np.concatenate([right, wrong.sum(axis=0)]), len(vectors)).astype(np.float32)
