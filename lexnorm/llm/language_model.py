@@ -110,25 +110,27 @@ class Model:
         cuts = np.cumsum([math.prod(s) for s in Model.SHAPES])[:-1]
         return Model(*(x.reshape(s).astype(np.float32) for x, s in zip(np.split(flat, cuts), Model.SHAPES, strict=True)))
 
-    def predicted(self, before: np.ndarray) -> np.ndarray:
-        out = self.context[before[:, 0]] * self.position[0]
-        for i in range(1, CONTEXT):
-            out += self.context[before[:, i]] * self.position[i]
-        return out
-
-    def log10(self, before: np.ndarray, codes: np.ndarray) -> np.ndarray:
-        """Normalised log10 probability of each code after its context; a class counts as one outcome."""
+    def log10(self, codes: np.ndarray) -> np.ndarray:
+        """Normalised log10 probability of each code of whole documents after its context; a class counts as one outcome."""
         out = np.empty(len(codes))
-        for i in range(0, len(codes), 8192):
-            p, c = self.predicted(before[i : i + 8192]), codes[i : i + 8192]
-            got = _normalised(np.add(s := p @ self.top.T, self.top_bias, out=s), top_of(c))
+        within = first_of(codes)
+        padded = np.concatenate([np.zeros(CONTEXT, codes.dtype), codes])
+        for i in range(0, len(codes), 1 << 16):
+            c = codes[i : i + (1 << 16)]
+            p = sum(v * w for v, w in zip(shifted(self.context, padded, within, i, len(c))[0], self.position, strict=True))
+            got, tops = np.empty(len(c)), top_of(c)
+            for j in range(0, len(c), 4096):
+                part = slice(j, j + 4096)
+                got[part] = _normalised(np.add(s := p[part] @ self.top.T, self.top_bias, out=s), tops[part])
             group = np.where((c > 0) & (c <= OWN), (c - 1) // GROUP, GROUPS)
             order = np.argsort(group, kind="stable")
             cuts = np.searchsorted(group[order], np.arange(GROUPS + 1))
             for g in np.flatnonzero(np.diff(cuts)).tolist():
                 rows, part = order[cuts[g] : cuts[g + 1]], slice(g * GROUP, (g + 1) * GROUP)
-                got[rows] += _normalised(p[rows] @ self.own[part].T + self.own_bias[part], c[rows] - 1 - g * GROUP)
-            out[i : i + 8192] = got
+                s = p[rows] @ self.own[part].T
+                s += self.own_bias[part]
+                got[rows] += _normalised(s, c[rows] - 1 - g * GROUP)
+            out[i : i + len(c)] = got
         return out / np.log(10)
 
 
@@ -144,19 +146,31 @@ def _normalised(s: np.ndarray, chosen: np.ndarray) -> np.ndarray:
     return out
 
 
-def contexts(codes: np.ndarray) -> np.ndarray:
-    """The codes of the tokens before each, nearest first; before a document's start stand ends."""
+def first_of(codes: np.ndarray) -> np.ndarray:
+    """How many codes stand before each in its document."""
     n = len(codes)
     first = np.zeros(n, dtype=np.int64)
     starts = np.flatnonzero(codes[:-1] == 0) + 1
     first[starts] = starts
-    first = np.maximum.accumulate(first)
-    at = np.arange(n)
-    out = np.zeros((n, CONTEXT), dtype=np.int32)
-    for i in range(CONTEXT):
-        out[i + 1 :, i] = codes[: max(0, n - i - 1)]
-        out[at - i - 1 < first, i] = 0
-    return out
+    return np.arange(n) - np.maximum.accumulate(first)
+
+
+def shifted(context: np.ndarray, padded: np.ndarray, within: np.ndarray, at: int, n: int) -> tuple[list[np.ndarray], list[np.ndarray]]:
+    """Vectors of the tokens before each of ``n``, nearest first, from one look-up; before a document's start stand ends.
+
+    Also the rows, by distance, where it is such an end.
+    """
+    rows = context[padded[at : at + n + CONTEXT]]
+    vectors, outside = [], []
+    for k in range(CONTEXT):
+        out = np.flatnonzero(within[at : at + n] <= k)
+        v = rows[CONTEXT - 1 - k : CONTEXT - 1 - k + n]
+        if len(out):
+            v = v.copy()
+            v[out] = context[0]
+        vectors.append(v)
+        outside.append(out)
+    return vectors, outside
 
 
 def train(model: Model, stream: Iterator[np.ndarray], shares: Shares, batch: int = MOST_BATCH, rate: float = RATE, seed: int = SEED) -> int:
@@ -196,18 +210,28 @@ def train(model: Model, stream: Iterator[np.ndarray], shares: Shares, batch: int
 
     seen = 0
     for codes in stream:
-        before, tops = contexts(codes), top_of(codes)
+        within, tops = first_of(codes), top_of(codes)
+        padded = np.concatenate([np.zeros(CONTEXT, codes.dtype), codes])
         for i in range(0, len(codes), batch):
-            b, c, t = before[i : i + batch], codes[i : i + batch], tops[i : i + batch]
-            seen += len(c)
-            vectors = [model.context[b[:, k]] for k in range(CONTEXT)]
+            c, t = codes[i : i + batch], tops[i : i + batch]
+            n = len(c)
+            seen += n
+            vectors, outside = shifted(model.context, padded, within, i, n)
             p = sum(v * w for v, w in zip(vectors, model.position, strict=True))
             dp, dt, dtb = contrast(p, t, 0, model.top, model.top_bias)
             mine = np.flatnonzero((c > 0) & (c <= OWN))
             dpo, do, dob = contrast(p[mine], c[mine] - 1, 1, model.own, model.own_bias) if len(mine) else (0, 0, 0)
             dp[mine] += dpo
             dw = np.stack([(dp * v).sum(axis=0) for v in vectors])
-            dc = spread(b.T.ravel(), np.concatenate([dp * w for w in model.position]), CODES)
+            each, start = np.zeros((n + CONTEXT, DIM), np.float32), np.zeros(DIM, np.float32)
+            for k, (w, out) in enumerate(zip(model.position, outside, strict=True)):
+                g = dp * w
+                if len(out):
+                    start += g[out].sum(axis=0)
+                    g[out] = 0
+                each[CONTEXT - 1 - k : CONTEXT - 1 - k + n] += g
+            dc = spread(padded[i : i + n + CONTEXT], each, CODES)
+            dc[0] += start
             for x, g, s in zip(parts, (dc, dw, dt, do, dtb, dob), square, strict=True):
                 s += g * g
                 x += rate * g / np.sqrt(s)
@@ -415,7 +439,7 @@ def score(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text")
             for b in slices(whole, "codes", 1 << 20):
                 codes = np.frombuffer(b"".join(x.as_py() for x in b.column(0)), "<i2").astype(np.int32)
                 n = b.column(1).to_numpy()
-                logs = lm.log10(contexts(codes), codes)
+                logs = lm.log10(codes)
                 yield pa.RecordBatch.from_arrays([pa.array(np.bincount(np.repeat(np.arange(len(n)), n), logs, len(n)).astype(float)), *b.columns[1:]], names=["chain", *b.schema.names[1:]])
 
     # Rarer words get their counts by a join on the word; no word in it is frequent.
