@@ -6,8 +6,10 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Letters an edit may insert or put in place (fixed values).
+#: Letters an edit may insert or put in place, unless others are given (fixed values).
 ALPHABET = "abcdefghijklmnopqrstuvwxyz0123456789"
+#: Distinct letters that a dictionary may have for enumeration.
+MOST_LETTERS = 4096
 #: Rows of a keyboard, for the cost of substituting neighbours (fixed values).
 KEY_ROWS = ("1234567890", "qwertyuiop", "asdfghjkl", "zxcvbnm")
 NEIGHBOURS = frozenset(
@@ -154,14 +156,25 @@ def edits(word: Column, alphabet: str = ALPHABET) -> Column:
     return F.array_distinct(F.concat(F.array(word), drop, swap, put, add))
 
 
-def enumerate_edits(words: DataFrame, dictionary: DataFrame, k: int = 2, alphabet: str = ALPHABET) -> DataFrame:
+def letters_of(dictionary: DataFrame) -> str:
+    """All characters of a dictionary's words, in order: at most ``MOST_LETTERS``."""
+    rows = dictionary.select(F.explode(F.split("word", "")).alias("c")).where("c != ''").distinct().orderBy("c").limit(MOST_LETTERS + 1).collect()
+    if len(rows) > MOST_LETTERS:
+        raise ValueError(f"the dictionary has over {MOST_LETTERS} letters: give an alphabet")
+    return "".join(r.c for r in rows)
+
+
+def enumerate_edits(words: DataFrame, dictionary: DataFrame, k: int = 2, alphabet: str | None = None) -> DataFrame:
     """Second baseline: ``word, corrected, distance``; a known word wins, then one edit, then two, then the highest score.
 
     One edit: the word's neighbours are looked up. Two: every edit can be undone
     by one, so two words two edits apart share a neighbour of both; enumerating
     one step on either side replaces the square of the alphabet by a join.
-    Exact if the alphabet holds all letters of both sides.
+    Exact if the alphabet holds all letters of the dictionary, as it does unless another is given.
+    For two edits those of the words are added.
     """
+    if alphabet is None:
+        alphabet = letters_of(dictionary if k < 2 else dictionary.select("word").unionByName(words.select("word").where("word is not null")))
     known, asked = _known(words, dictionary)
     near = asked.select("word", F.explode(edits(F.col("word"), alphabet)).alias("key"))
     one = near.join(dictionary.select(F.col("word").alias("key"), "score"), "key").select("word", F.col("key").alias("candidate"), "score", F.lit(1).alias("distance"))

@@ -105,7 +105,9 @@ def component_edit_profile(norm: DataFrame) -> DataFrame:
 
 
 def link_patterns(norm: DataFrame) -> DataFrame:
-    """How links look: repeated letters, one letter added at an end, a final s, one letter changed, letters beyond ASCII."""
+    """How links look: repeated letters, one letter added at an end, a final s, one letter changed (to its neighbour on a keyboard), letters beyond ASCII."""
+    from lexnorm.baselines.edit import NEIGHBOURS
+
     w, r = F.col("word"), F.col("rep_word")
     squeeze = lambda x: F.regexp_replace(x, r"(.)\1+", "$1")
     long, short = F.when(F.length(w) > F.length(r), w).otherwise(r), F.when(F.length(w) > F.length(r), r).otherwise(w)
@@ -115,6 +117,7 @@ def link_patterns(norm: DataFrame) -> DataFrame:
         "one_letter_suffix": (F.length(long) == F.length(short) + 1) & F.startswith(long, short),
         "final_s": long == F.concat(short, F.lit("s")),
         "one_letter_changed": (F.length(w) == F.length(r)) & (F.levenshtein(w, r) == 1),
+        "keyboard_neighbour": (F.length(w) == F.length(r)) & (F.levenshtein(w, r) == 1) & F.arrays_overlap(F.zip_with(F.split(w, ""), F.split(r, ""), lambda x, y: F.when(x != y, F.concat(x, y)).otherwise("")), F.array(*(F.lit(a + b) for a, b in sorted(NEIGHBOURS)))),
         "beyond_ascii": F.regexp_replace(w, r"[^\x00-\x7f]", "") == F.regexp_replace(r, r"[^\x00-\x7f]", ""),
     }
     return norm.where("word != rep_word").agg(F.count("*").alias("links"), *(_count(v).alias(k) for k, v in flags.items()))

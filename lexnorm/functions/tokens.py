@@ -2,6 +2,12 @@
 
 from __future__ import annotations
 
+import math
+import struct
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -48,3 +54,50 @@ def sketch_counts(df: DataFrame, text_col: str = "text", eps: float = 0.001, con
     """A count-min sketch of word counts (binary), mergeable and of fixed size."""
     tokens = df.select(*(by or []), F.explode(words(F.col(text_col))).alias("word"))
     return tokens.groupBy(*(by or [])).agg(F.count_min_sketch("word", F.lit(eps), F.lit(confidence), F.lit(seed)).alias("sketch"))
+
+
+def _murmur(raw: bytes, seed: int) -> int:
+    """The 32-bit hash that Spark's sketch uses: MurmurHash3 over four bytes at a time, then over single signed bytes."""
+    mask = 0xFFFFFFFF
+    h, n = seed & mask, len(raw) & ~3
+    units = [int.from_bytes(raw[i : i + 4], "little") for i in range(0, n, 4)] + [b - 256 if b > 127 else b for b in raw[n:]]
+    for k in units:
+        k = (k * 0xCC9E2D51) & mask
+        k = (((k << 15) | (k >> 17)) & mask) * 0x1B873593 & mask
+        h ^= k
+        h = (((h << 13) | (h >> 19)) & mask) * 5 + 0xE6546B64 & mask
+    h ^= len(raw)
+    h = (h ^ (h >> 16)) * 0x85EBCA6B & mask
+    h = (h ^ (h >> 13)) * 0xC2B2AE35 & mask
+    h ^= h >> 16
+    return h - (1 << 32) if h >> 31 else h
+
+
+def sketch_estimates(df: DataFrame, sketches: DataFrame, by: list[str], text_col: str = "text") -> DataFrame:
+    """``by, word, freq, estimate``: what each group's sketch says of its words, beside their counts.
+
+    Estimates are read in Arrow batches from the sketch's serial form: version, total,
+    depth, width, a multiplier for each row, counters.
+    """
+    counted = vocabulary(df, text_col, by=by).join(F.broadcast(sketches), by).select(*by, "word", "freq", "sketch")
+    schema = counted.drop("sketch").schema.add("estimate", "long")
+    at = len(by)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        read: dict[int, tuple[int, int, np.ndarray]] = {}
+        for b in batches:
+            out = []
+            for word, sketch in zip(b.column(at).to_pylist(), b.column(at + 2)):
+                raw = sketch.as_py()
+                key = hash(raw)
+                if key not in read:
+                    depth, width = struct.unpack_from(">ii", raw, 12)
+                    read[key] = depth, width, np.frombuffer(raw, ">i8", depth * width, 20 + 8 * depth).reshape(depth, width)
+                depth, width, table = read[key]
+                one = _murmur(word.encode(), 0)
+                two = _murmur(word.encode(), one)
+                cells = [(one + i * two + (1 << 31)) % (1 << 32) - (1 << 31) for i in range(depth)]
+                out.append(min(int(table[i, abs(int(math.fmod(c, width)))]) for i, c in enumerate(cells)))
+            yield pa.RecordBatch.from_arrays([*b.columns[: at + 2], pa.array(out, pa.int64())], names=[*b.schema.names[: at + 2], "estimate"])
+
+    return counted.mapInArrow(run, schema)

@@ -96,7 +96,7 @@ def exact_pairs(vocab: DataFrame, char_lens, least: float) -> DataFrame:
     flat = grams.select("word", F.size("grams").alias("n"), F.explode("grams").alias("gram"))
     counts = flat.groupBy("gram").agg(F.count("*").alias("df"))
     ranked = flat.join(counts, "gram").groupBy("word", "n").agg(F.array_sort(F.collect_list(F.struct("df", "gram"))).alias("ordered"))
-    kept = ranked.select("word", "n", F.explode(F.slice("ordered", F.lit(1), F.col("n") - F.ceil(F.col("n") * least).cast("int") + 1)).alias("g")).select("word", "n", F.col("g.gram").alias("gram"))
+    kept = ranked.select("word", "n", F.explode(F.slice("ordered", F.lit(1), F.col("n") - F.ceil(F.col("n") * least - 1e-6).cast("int") + 1)).alias("g")).select("word", "n", F.col("g.gram").alias("gram"))
     a, b = kept.select(F.col("word").alias("src"), F.col("n").alias("na"), "gram"), kept.select(F.col("word").alias("dst"), F.col("n").alias("nb"), "gram")
     pairs = a.join(b, "gram").where((F.col("src") < F.col("dst")) & (F.least("na", "nb") >= F.lit(least) * F.greatest("na", "nb"))).select("src", "dst").distinct()
     ga, gb = grams.select(F.col("word").alias("src"), F.col("grams").alias("ga")), grams.select(F.col("word").alias("dst"), F.col("grams").alias("gb"))

@@ -60,24 +60,19 @@ def fingerprints(spark, d):
     return g.select("gram", hashing.fingerprint(F.col("gram")).alias("x"))
 
 
-#: Stage-by-stage queries show one word in a hundred by hash of its text: their rows are bins by repetition.
-def _shown(frame):
-    return frame.where(F.conv(F.substring(F.md5("word"), 1, 4), 16, 10).cast("long") % 100 == 0)
-
-
 def bin_minima(spark, d):
-    return hashing.bin_minima(_shown(_vocab(spark, d)), FAMILY).select("word", F.col("rep").cast("long").alias("rep"), *(f"m{k}" for k in range(P.bins)))
+    return hashing.bin_minima(_vocab(spark, d), FAMILY).select("word", F.col("rep").cast("long").alias("rep"), *(f"m{k}" for k in range(P.bins)))
 
 
 UNIVERSE = HashParams(bin_space="universe")
 
 
 def bin_minima_universe(spark, d):
-    return hashing.bin_minima(_shown(_vocab(spark, d)), hashing.Family.draw(UNIVERSE)).select("word", F.col("rep").cast("long").alias("rep"), *(f"m{k}" for k in range(P.bins)))
+    return hashing.bin_minima(_vocab(spark, d), hashing.Family.draw(UNIVERSE)).select("word", F.col("rep").cast("long").alias("rep"), *(f"m{k}" for k in range(P.bins)))
 
 
 def densified(spark, d):
-    return hashing.densified(hashing.bin_minima(_shown(_vocab(spark, d)), FAMILY), FAMILY).select("word", F.col("rep").cast("long").alias("rep"), *(f"d{k}" for k in range(P.bins)))
+    return hashing.densified(hashing.bin_minima(_vocab(spark, d), FAMILY), FAMILY).select("word", F.col("rep").cast("long").alias("rep"), *(f"d{k}" for k in range(P.bins)))
 
 
 def _joined_sigs(sigs):
@@ -181,6 +176,12 @@ def index_conversations(spark, d):
     return workloads.index_corpus(spark, d, "conversations").norm.select("word", "rep_word", "size")
 
 
+def index_both(spark, d):
+    """One index over both corpora."""
+    both = table(spark, d, "documents").select("text").unionByName(table(spark, d, "conversations").select("text"))
+    return build_index(tokens.vocabulary(both)).norm.select("word", "rep_word", "size")
+
+
 def index_counters(spark, d):
     return index(spark, d).stats()
 
@@ -283,23 +284,16 @@ def case_components(spark, d):
 
 
 def exact_jaccard_pairs(spark, d):
-    return graph.exact_pairs(_common(spark, d), P.char_lens, JACCARD).select("src", "dst", F.round("jaccard", 8).alias("jaccard"))
-
-
-def _common(spark, d):
-    """Words seen 20 times or more: the ground truth of all pairs is compared on these."""
-    return _vocab(spark, d).where("freq >= 20")
+    return graph.exact_pairs(_vocab(spark, d), P.char_lens, JACCARD).select("src", "dst", F.round("jaccard", 8).alias("jaccard"))
 
 
 def edge_quality(spark, d):
-    ix = index(spark, d)
-    common = _common(spark, d).select("word")
-    mine = ix.edges.join(common.withColumnRenamed("word", "src"), "src", "left_semi").join(common.withColumnRenamed("word", "dst"), "dst", "left_semi")
-    return metrics.edge_quality(mine, graph.exact_pairs(_common(spark, d), P.char_lens, JACCARD)).select("found", "expected", "hit", F.round("precision", 8).alias("precision"), F.round("recall", 8).alias("recall"))
+    truth = graph.exact_pairs(_vocab(spark, d), P.char_lens, JACCARD)
+    return metrics.edge_quality(index(spark, d).edges, truth).select("found", "expected", "hit", F.round("precision", 8).alias("precision"), F.round("recall", 8).alias("recall"))
 
 
 def collision_curve(spark, d):
-    pairs = graph.exact_pairs(_common(spark, d), P.char_lens, 0.5)
+    pairs = graph.exact_pairs(_vocab(spark, d), P.char_lens, 0.5)
     out = theory.collision_curve(index(spark, d).sigs, pairs, P.repetitions)
     return out.select(F.col("bin").cast("long").alias("bin"), "pairs", F.round("jaccard", 8).alias("jaccard"), F.round("rate", 8).alias("rate"))
 
@@ -332,7 +326,11 @@ def link_patterns(spark, d):
 
 
 def sketch_counts(spark, d):
-    return tokens.sketch_counts(table(spark, d, "documents"), by=["lang"]).select("lang", F.length("sketch").alias("bytes"))
+    """Count-min estimates beside true counts, by language: no estimate is below its count, and few are far above."""
+    docs = table(spark, d, "documents")
+    estimated = tokens.sketch_estimates(docs, tokens.sketch_counts(docs, by=["lang"]), ["lang"])
+    over = F.col("estimate") - F.col("freq")
+    return estimated.groupBy("lang").agg(F.count("*").alias("words"), F.min(over).alias("least_over"), F.max(over).alias("most_over"), F.avg(over).alias("mean_over"), (F.sum("freq") * 0.001).alias("bound"))
 
 
 def same_prefix_groups(spark, d):
@@ -365,15 +363,12 @@ def rank_correlation(spark, d):
     return metrics.correlations(rows, ["p_brand"]).select("p_brand", F.round("pearson", 6).alias("pearson"), F.round("spearman", 6).alias("spearman"))
 
 
-_ASCII = "^[a-z0-9]+$"
-
-
 def _dictionary(spark, d):
-    return workloads.dictionary(spark, d).where(F.col("word").rlike(_ASCII))
+    return workloads.dictionary(spark, d)
 
 
 def _benchmark_words(spark, d):
-    return _unseen(spark, d, "benchmark").where(F.col("word").rlike(_ASCII))
+    return _unseen(spark, d, "benchmark")
 
 
 def _edit(frame):
@@ -397,10 +392,10 @@ def edit_phonetic(spark, d):
 
 
 def edit_distances(spark, d):
-    """All distances between neighbours in the ordered list of frequent words."""
+    """All distances between neighbours in the ordered list of words."""
     from pyspark.sql import Window
 
-    words = _vocab(spark, d).where((F.col("freq") >= 50) & F.col("word").rlike(_ASCII)).withColumn("c", F.substring("word", 1, 1))
+    words = _vocab(spark, d).withColumn("c", F.substring("word", 1, 1))
     pairs = words.withColumn("next", F.lead("word").over(Window.partitionBy("c").orderBy("word"))).where("next is not null").select("word", "next")
     kinds = {"lev": "lev", "dl": "damerau", "jw": "jaro_winkler"}
     return pairs.select("word", "next", *(F.round(edit.distance(F.col("word"), F.col("next"), k).cast("double"), 8).alias(n) for k, n in kinds.items()))
@@ -409,7 +404,7 @@ def edit_distances(spark, d):
 def edit_costs(spark, d):
     from pyspark.sql import Window
 
-    words = _vocab(spark, d).where((F.col("freq") >= 50) & F.col("word").rlike(_ASCII)).withColumn("c", F.substring("word", 1, 1))
+    words = _vocab(spark, d).withColumn("c", F.substring("word", 1, 1))
     pairs = words.withColumn("next", F.lead("word").over(Window.partitionBy("c").orderBy("word"))).where("next is not null")
     return pairs.select("word", "next", edit.distance(F.col("word"), F.col("next"), "keyboard").alias("keyboard"), edit.distance(F.col("word"), F.col("next"), "phonetic").alias("phonetic"))
 
@@ -459,7 +454,7 @@ def restoration_structured(spark, d):
 
 
 def human_eval_documents(spark, d):
-    return workloads.human_eval(spark, d, "benchmark")
+    return workloads.human_eval(spark, d, "documents")
 
 
 def human_eval_conversations(spark, d):
@@ -489,7 +484,7 @@ def search_recall(spark, d):
 _LOCAL = (
     gram_sets, gram_sets_all, fingerprints, bin_minima, bin_minima_universe, densified, signatures, signatures_relational, signatures_permutations, signatures_wide, bucket_stats, edge_weights,
     edges_prefix, edges_pruned, edges_union_alpha0, edges_intersect_alpha1, components_star, components_hash_min, components_driver, representatives, norm_map, norm_lists, component_sizes,
-    index_documents, index_conversations, index_counters, index_verified, index_star_split, index_extended, infer_known, infer_attach_strict, infer_attach_inclusive, infer_benchmark, infer_unmatched,
+    index_documents, index_conversations, index_both, index_counters, index_verified, index_star_split, index_extended, infer_known, infer_attach_strict, infer_attach_inclusive, infer_benchmark, infer_unmatched,
     infer_grouped_targets, rewrite_conversations, rewrite_joined, rewrite_documents, dedup_after_norm, coverage_by_alpha, coverage_low_alpha, coverage_conversations, case_components, exact_jaccard_pairs, edge_quality,
     collision_curve, estimate_pq, error_bounds, cost_counters, component_edit_profile, link_patterns, sketch_counts, same_prefix_groups, collapsed_words, classification_metrics, rank_correlation,
     edit_deletion_index, edit_enumerate_k1, edit_enumerate_k2, edit_phonetic, edit_distances, edit_costs, identity_correction, mips_exact, mips_ivf, mips_recall, subword_vectors, subword_correction,
@@ -502,20 +497,24 @@ QUERIES |= {f"perturb_{r}": _noised(r) for r in workloads.RATES}
 QUERIES |= relational.QUERIES | jobs.QUERIES | sqlapi.QUERIES
 
 _V = f"vocab AS MATERIALIZED ({sql.vocab()})"
-_SHOWN = f"vocab AS (SELECT word FROM ({sql.vocab()}) WHERE ('0x' || substr(md5(word), 1, 4))::BIGINT % 100 = 0)"
 _IX = f"WITH RECURSIVE {sql.index(P)}"
 _QX = f"WITH RECURSIVE {sql.index(QUALITY)}"
 _MS = ", ".join(f"m{k}" for k in range(P.bins))
 _ASK = "SELECT DISTINCT word FROM ({})"
 _ATTACHED = f"{_IX}, " + sql.attach(P, _ASK.format(sql.words_of("conversations")))
 _COLS = "word, matched, weight::BIGINT AS weight, rep_word, status"
-_COMMON = f"common AS (SELECT word, {sql.gram_list('word', P.char_lens)} AS g FROM ({sql.vocab()}) WHERE freq >= 20), cg AS (SELECT word, len(g) AS n, unnest(g) AS g FROM common)"
+_GRAMS = f"SELECT word, {sql.gram_list('word', P.char_lens)} AS g FROM ({sql.vocab()})"
 
 
 def _exact(least: float) -> str:
+    """Pairs of exact similarity: two sets share one of their rarest substrings."""
     return (
-        f"{_COMMON}, shared AS (SELECT a.word AS src, b.word AS dst, any_value(a.n) AS na, any_value(b.n) AS nb, count(*) AS s FROM cg a JOIN cg b ON a.g = b.g AND a.word < b.word AND least(a.n, b.n) >= {least} * greatest(a.n, b.n) GROUP BY a.word, b.word), "
-        f"truth AS (SELECT src, dst, s / (na + nb - s) AS jaccard FROM shared WHERE s / (na + nb - s) >= {least})"
+        f"gw AS MATERIALIZED ({_GRAMS}), cg AS MATERIALIZED (SELECT word, len(g) AS n, unnest(g) AS g FROM gw), df AS (SELECT g, count(*) AS df FROM cg GROUP BY g), "
+        "ranked AS (SELECT word, n, g, row_number() OVER (PARTITION BY word ORDER BY df, g) AS r FROM cg JOIN df USING (g)), "
+        f"kept AS MATERIALIZED (SELECT word, n, g FROM ranked WHERE r <= n - ceil({least} * n - 0.000001) + 1), "
+        f"cand AS (SELECT DISTINCT a.word AS src, b.word AS dst FROM kept a JOIN kept b ON a.g = b.g AND a.word < b.word AND least(a.n, b.n) >= {least} * greatest(a.n, b.n)), "
+        "both_sets AS (SELECT src, dst, len(list_intersect(x.g, y.g)) AS s, len(x.g) + len(y.g) AS t FROM cand JOIN gw x ON x.word = src JOIN gw y ON y.word = dst), "
+        f"truth AS MATERIALIZED (SELECT src, dst, s / (t - s) AS jaccard FROM both_sets WHERE s / (t - s) >= {least})"
     )
 
 
@@ -535,8 +534,8 @@ def _coverage(source: str, alphas: tuple[str, ...]) -> str:
 
 def _corrected(k: int, measure: str) -> str:
     return (
-        f"WITH dict AS (SELECT word, freq AS score FROM ({sql.vocab()}) WHERE freq >= {workloads.ACCEPTED} AND regexp_full_match(word, '[a-z0-9]+')), asked AS (SELECT DISTINCT word FROM ({sql.words_of('benchmark')}) WHERE regexp_full_match(word, '[a-z0-9]+')), "
-        f"pairs AS (SELECT a.word, d.word AS candidate, score, {measure}(a.word, d.word) AS distance FROM asked a JOIN dict d ON abs(length(a.word) - length(d.word)) <= {k} WHERE a.word NOT IN (SELECT word FROM dict) AND {measure}(a.word, d.word) <= {k}), "
+        f"WITH dict AS (SELECT word, freq AS score FROM ({sql.vocab()}) WHERE freq >= {workloads.ACCEPTED}), asked AS (SELECT DISTINCT word FROM ({sql.words_of('benchmark')})), "
+        f"pairs AS (SELECT a.word, d.word AS candidate, score, {measure}({sql.single("a.word")}, {sql.single("d.word")}) AS distance FROM asked a JOIN dict d ON abs(length(a.word) - length(d.word)) <= {k} WHERE a.word NOT IN (SELECT word FROM dict) AND {measure}({sql.single("a.word")}, {sql.single("d.word")}) <= {k}), "
         "best AS (SELECT * FROM pairs QUALIFY row_number() OVER (PARTITION BY word ORDER BY distance, score DESC, candidate) = 1) "
         "SELECT a.word, coalesce(b.candidate, a.word) AS corrected, CASE WHEN a.word IN (SELECT word FROM dict) THEN 0 ELSE b.distance END AS distance FROM asked a LEFT JOIN best b ON a.word = b.word"
     )
@@ -577,9 +576,9 @@ ORACLES: dict[str, str] = {
     "gram_sets": f"WITH {_V} SELECT word, len(g) AS n, array_to_string(list_sort(g), ' ') AS grams FROM (SELECT word, {sql.gram_list('word', P.char_lens)} AS g FROM vocab)",
     "gram_sets_all": f"WITH {_V} SELECT word, len({sql.gram_list('word', 'all')}) AS n FROM vocab",
     "fingerprints": f"WITH {_V} SELECT gram, {sql.fingerprint('gram')} AS x FROM (SELECT DISTINCT unnest({sql.gram_list('word', P.char_lens)}) AS gram FROM vocab)",
-    "bin_minima": f"WITH {_SHOWN}, {sql.minima(P)} SELECT word, rep, {_MS} FROM mins",
-    "bin_minima_universe": f"WITH {_SHOWN}, {sql.minima(UNIVERSE)} SELECT word, rep, {_MS} FROM mins",
-    "densified": f"WITH {_SHOWN}, {sql.minima(P)}, {sql.dense(P)} SELECT word, rep, {_MS.replace('m', 'd')} FROM dense",
+    "bin_minima": f"WITH {_V}, {sql.minima(P)} SELECT word, rep, {_MS} FROM mins",
+    "bin_minima_universe": f"WITH {_V}, {sql.minima(UNIVERSE)} SELECT word, rep, {_MS} FROM mins",
+    "densified": f"WITH {_V}, {sql.minima(P)}, {sql.dense(P)} SELECT word, rep, {_MS.replace('m', 'd')} FROM dense",
     "signatures": _sig_sql(P),
     "signatures_relational": _sig_sql(P),
     **{name: _sig_sql(p) for name, p in VARIANTS.items()},
@@ -602,6 +601,10 @@ ORACLES: dict[str, str] = {
     "infer_attach_strict": f"{_ATTACHED} SELECT {_COLS} FROM attached",
     "infer_attach_inclusive": f"{_IX}, " + sql.attach(P, _ASK.format(sql.words_of("conversations")), True) + f" SELECT {_COLS} FROM attached",
     "infer_benchmark": f"{_IX}, " + sql.attach(P, _ASK.format(sql.words_of("benchmark"))) + f" SELECT {_COLS} FROM attached",
+    "infer_grouped_targets": f"{_IX}, " + sql.attach(P, _ASK.format(sql.words_of("conversations")), grouped=True) + " SELECT status, count(*) AS words FROM attached GROUP BY status",
+    "component_edit_profile": f"{_QX} SELECT levenshtein({sql.single('word')}, {sql.single('rep_word')})::BIGINT AS distance, count(*) AS words, sum(freq)::BIGINT AS occurrences FROM norm WHERE word <> rep_word GROUP BY distance",
+    "edges_union_alpha0": f"WITH RECURSIVE {_V}, {sql.sigs(P)}, stars AS MATERIALIZED (SELECT DISTINCT min(word) OVER (PARTITION BY rep, sig) AS src, word AS dst FROM sigs), {sql.components('stars')} SELECT comp, count(*) AS size FROM cc GROUP BY comp",
+    "index_both": "WITH RECURSIVE " + sql.index(P).replace("FROM documents", "FROM (SELECT text FROM documents UNION ALL SELECT text FROM conversations)") + " SELECT word, rep_word, size FROM norm",
     "infer_unmatched": f"{_ATTACHED} SELECT word FROM attached WHERE status = 'unmatched'",
     "rewrite_conversations": _REWRITE,
     "rewrite_joined": _REWRITE,
@@ -611,7 +614,7 @@ ORACLES: dict[str, str] = {
     "coverage_conversations": _coverage("conversations", ("0.1", "0.2", "0.3", "0.5")),
     "case_components": f"{_QX}, top AS (SELECT rep_word, sum(CASE WHEN word <> rep_word THEN freq ELSE 0 END) AS moved FROM norm WHERE size > 1 GROUP BY rep_word ORDER BY moved DESC, rep_word LIMIT 20) SELECT rep_word, rep_freq, size, string_agg(word, ' ' ORDER BY freq DESC, word) AS members FROM norm WHERE rep_word IN (SELECT rep_word FROM top) GROUP BY ALL",
     "exact_jaccard_pairs": f"WITH {_exact(JACCARD)} SELECT src, dst, round(jaccard, 8) AS jaccard FROM truth",
-    "edge_quality": f"WITH {sql.edges(P)}, {_exact(JACCARD)}, mine AS (SELECT src, dst FROM edges WHERE src IN (SELECT word FROM common) AND dst IN (SELECT word FROM common)), c AS (SELECT (SELECT count(*) FROM mine) AS found, (SELECT count(*) FROM truth) AS expected, (SELECT count(*) FROM mine JOIN truth USING (src, dst)) AS hit) SELECT found, expected, hit, round(coalesce(hit / nullif(found, 0), 0), 8) AS precision, round(coalesce(hit / nullif(expected, 0), 0), 8) AS recall FROM c",
+    "edge_quality": f"WITH {sql.edges(P)}, {_exact(JACCARD)}, mine AS (SELECT src, dst FROM edges), c AS (SELECT (SELECT count(*) FROM mine) AS found, (SELECT count(*) FROM truth) AS expected, (SELECT count(*) FROM mine JOIN truth USING (src, dst)) AS hit) SELECT found, expected, hit, round(coalesce(hit / nullif(found, 0), 0), 8) AS precision, round(coalesce(hit / nullif(expected, 0), 0), 8) AS recall FROM c",
     "collision_curve": f"WITH {_V}, {sql.sigs(P)}, {_exact(0.5)}, r AS (SELECT src, dst, jaccard, sum((a.sig = b.sig)::INT) / {P.repetitions} AS rate FROM truth JOIN sigs a ON a.word = src JOIN sigs b ON b.word = dst AND a.rep = b.rep GROUP BY ALL) SELECT least(floor(jaccard * 10), 9)::BIGINT AS bin, count(*) AS pairs, round(avg(jaccard), 8) AS jaccard, round(avg(rate), 8) AS rate FROM r GROUP BY bin",
     "estimate_pq": f"WITH RECURSIVE {sql.edges(P)}, strong AS (SELECT src, dst FROM edges WHERE weight >= {QUALITY.index_min}), {sql.components('strong')} SELECT a.comp = b.comp AS inside, count(*) AS pairs, round(min(weight / 20), 8) AS least, round(max(weight / 20), 8) AS greatest, round(avg(weight / 20), 8) AS mean FROM edges JOIN cc a ON a.node = src JOIN cc b ON b.node = dst GROUP BY inside",
     "error_bounds": _bounds_sql(),
@@ -623,7 +626,7 @@ ORACLES: dict[str, str] = {
     "edit_deletion_index": _corrected(2, "levenshtein"),
     "edit_enumerate_k1": _corrected(1, "damerau_levenshtein"),
     "edit_enumerate_k2": _corrected(2, "damerau_levenshtein"),
-    "edit_distances": f"WITH w AS (SELECT word, left(word, 1) AS c FROM ({sql.vocab()}) WHERE freq >= 50 AND regexp_full_match(word, '[a-z0-9]+')), p AS (SELECT word, lead(word) OVER (PARTITION BY c ORDER BY word) AS next FROM w) SELECT word, next, levenshtein(word, next)::DOUBLE AS lev, damerau_levenshtein(word, next)::DOUBLE AS damerau, round(jaro_winkler_similarity(word, next), 8) AS jaro_winkler FROM p WHERE next IS NOT NULL",
+    "edit_distances": f"WITH w AS (SELECT word, left(word, 1) AS c FROM ({sql.vocab()})), p AS (SELECT word, lead(word) OVER (PARTITION BY c ORDER BY word) AS next FROM w), q AS (SELECT word, next, {sql.single('word')} AS a, {sql.single('next')} AS b FROM p WHERE next IS NOT NULL) SELECT word, next, levenshtein(a, b)::DOUBLE AS lev, damerau_levenshtein(a, b)::DOUBLE AS damerau, round(jaro_winkler_similarity(a, b), 8) AS jaro_winkler FROM q",
     "stream_word_counts": sql.vocab("conversations"),
     "stream_distinct": "SELECT event_id, user_id FROM events",
     "stream_interval_join": relational.ORACLES["interval_join_events"].replace("epoch_us(ts) // 1000000 AS s", "epoch_us(ts) AS s").replace("c.s + 3600", "c.s + 3600000000"),

@@ -12,6 +12,14 @@ def words_of(source: str, text: str = "text") -> str:
     return f"SELECT unnest(regexp_extract_all(lower({text}), '{WORD}')) AS word FROM {source}"
 
 
+#: Letters beyond ASCII in the given texts, each with a stand-in of one byte (no word holds capitals): DuckDB's distances count bytes.
+WIDE, STAND_INS = "éóèñüçêäößíáúàâîôûïëœæ", "ABCDEFGHIJKLMNOPQRSTUV"
+
+
+def single(word: str) -> str:
+    return f"translate({word}, '{WIDE}', '{STAND_INS}')"
+
+
 def vocab(source: str = "documents") -> str:
     return f"SELECT word, count(*) AS freq FROM ({words_of(source)}) GROUP BY word"
 
@@ -88,11 +96,12 @@ def index(params: HashParams) -> str:
     return f"{edges(params)}, {components()}, {norm()}"
 
 
-def attach(params: HashParams, asked: str, inclusive: bool = False) -> str:
+def attach(params: HashParams, asked: str, inclusive: bool = False, grouped: bool = False) -> str:
     """CTEs after :func:`index` up to ``attached``; ``asked`` is a relation with distinct ``word``."""
+    only = " AND s.word IN (SELECT word FROM norm WHERE size > 1)" if grouped else ""
     return (
         f"asked AS ({asked}), unseen AS (SELECT word FROM asked WHERE word NOT IN (SELECT word FROM vocab)), {sigs(params, 'unseen', '_u')}, "
-        f"weighed AS (SELECT u.word, s.word AS indexed, count(*) AS weight FROM sigs_u u JOIN sigs s ON u.rep = s.rep AND u.sig = s.sig GROUP BY ALL HAVING count(*) >= {params.infer_min(inclusive)}), "
+        f"weighed AS (SELECT u.word, s.word AS indexed, count(*) AS weight FROM sigs_u u JOIN sigs s ON u.rep = s.rep AND u.sig = s.sig{only} GROUP BY ALL HAVING count(*) >= {params.infer_min(inclusive)}), "
         "best AS (SELECT w.word, indexed, weight, rep_word FROM weighed w JOIN norm n ON n.word = indexed QUALIFY row_number() OVER (PARTITION BY w.word ORDER BY weight DESC, freq DESC, indexed) = 1), "
         "attached AS (SELECT word, word AS matched, NULL::INT AS weight, rep_word, 'known' AS status FROM asked JOIN norm USING (word) "
         "UNION ALL SELECT u.word, indexed, weight::INT, coalesce(rep_word, u.word), CASE WHEN indexed IS NULL THEN 'unmatched' ELSE 'attached' END FROM unseen u LEFT JOIN best b ON b.word = u.word)"

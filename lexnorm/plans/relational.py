@@ -78,7 +78,7 @@ def zipf_curve(spark: SparkSession, d: str) -> DataFrame:
 
 
 def rank_windows(spark: SparkSession, d: str) -> DataFrame:
-    freq = tokens.vocabulary(table(spark, d, "documents"), by=["lang"]).where("freq >= 20")
+    freq = tokens.vocabulary(table(spark, d, "documents"), by=["lang"])
     w = Window.partitionBy("lang").orderBy(F.desc("freq"))
     strict = Window.partitionBy("lang").orderBy(F.desc("freq"), "word")
     return freq.select("lang", "word", "freq", F.rank().over(w).cast("long").alias("rk"), F.dense_rank().over(w).cast("long").alias("dense"), F.ntile(4).over(strict).cast("long").alias("quarter"), F.round(F.percent_rank().over(w), 8).alias("pct"), F.round(F.cume_dist().over(w), 8).alias("cume"))
@@ -215,7 +215,7 @@ def sampled_documents(spark: SparkSession, d: str) -> DataFrame:
 
 
 def string_agg_words(spark: SparkSession, d: str) -> DataFrame:
-    freq = tokens.vocabulary(table(spark, d, "documents"), by=["lang"]).where("freq >= 300")
+    freq = tokens.vocabulary(table(spark, d, "documents"), by=["lang"])
     return freq.groupBy("lang").agg(F.array_join(F.array_sort(F.collect_list("word")), ",").alias("words"))
 
 
@@ -239,7 +239,7 @@ ORACLES: dict[str, str] = {
     "rollup_cube": f"SELECT r_name, n_name, NULL::VARCHAR AS c_mktsegment, count(*) AS orders, round(sum(o_totalprice), 2) AS total {_STAR} GROUP BY ROLLUP (r_name, n_name) UNION ALL SELECT r_name, NULL, c_mktsegment, count(*), round(sum(o_totalprice), 2) {_STAR} GROUP BY CUBE (r_name, c_mktsegment)",
     "pivot_tokens": "SELECT source, " + ", ".join(f"count(*) FILTER (lang = '{x}') AS {x}" for x in LANGS) + f" FROM ({_BOTH}) GROUP BY source",
     "zipf_curve": f"WITH f AS (SELECT freq, count(*) AS words FROM ({_FD}) GROUP BY freq) SELECT freq, words, (sum(words) OVER w - words + 1)::BIGINT AS first_rank, dense_rank() OVER (ORDER BY freq DESC) AS class_rank, round(sum(freq * words) OVER w / (SELECT sum(freq * words) FROM f), 8) AS share FROM f WINDOW w AS (ORDER BY freq DESC ROWS UNBOUNDED PRECEDING)",
-    "rank_windows": f"WITH f AS (SELECT * FROM ({_FL}) WHERE freq >= 20) SELECT lang, word, freq, rank() OVER w AS rk, dense_rank() OVER w AS dense, ntile(4) OVER (PARTITION BY lang ORDER BY freq DESC, word) AS quarter, round(percent_rank() OVER w, 8) AS pct, round(cume_dist() OVER w, 8) AS cume FROM f WINDOW w AS (PARTITION BY lang ORDER BY freq DESC)",
+    "rank_windows": f"WITH f AS (SELECT * FROM ({_FL})) SELECT lang, word, freq, rank() OVER w AS rk, dense_rank() OVER w AS dense, ntile(4) OVER (PARTITION BY lang ORDER BY freq DESC, word) AS quarter, round(percent_rank() OVER w, 8) AS pct, round(cume_dist() OVER w, 8) AS cume FROM f WINDOW w AS (PARTITION BY lang ORDER BY freq DESC)",
     "topk_per_lang": f"SELECT lang, word, freq, row_number() OVER (PARTITION BY lang ORDER BY freq DESC, word) AS rk FROM ({_FL}) QUALIFY rk <= 10",
     "lag_lead_events": "SELECT event_id, s - lag(s) OVER w AS since, lead(s) OVER w - s AS until, first_value(event_id) OVER a AS first_id, last_value(event_id) OVER a AS last_id, nth_value(event_id, 2) OVER a AS second_id FROM (SELECT event_id, user_id, epoch_us(ts) // 1000000 AS s FROM events) WINDOW w AS (PARTITION BY user_id ORDER BY s, event_id), a AS (PARTITION BY user_id ORDER BY s, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)",
     "range_frame_events": "SELECT event_id, count(*) OVER w AS n, round(sum(value) OVER w, 6) AS total FROM (SELECT event_id, user_id, value, epoch_us(ts) // 1000000 AS s FROM events) WINDOW w AS (PARTITION BY user_id ORDER BY s RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW)",
@@ -261,7 +261,7 @@ ORACLES: dict[str, str] = {
     "session_windows": "WITH g AS (SELECT user_id, epoch_us(ts) AS t, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < 14400000000 THEN 0 ELSE 1 END AS fresh FROM events), s AS (SELECT user_id, t, sum(fresh) OVER (PARTITION BY user_id ORDER BY t) AS k FROM g) SELECT user_id, min(t) AS start_us, count(*) AS n FROM s GROUP BY user_id, k",
     "map_functions": f"WITH c AS (SELECT source, lang, count(*) AS n FROM ({_BOTH}) GROUP BY ALL) SELECT source, count(*) FILTER (n >= 1000) AS big, coalesce(max(n) FILTER (lang = 'en'), 0) AS en FROM c GROUP BY source",
     "sampled_documents": "SELECT doc_id, lang FROM documents WHERE ('0x' || substr(md5(doc_id::VARCHAR), 1, 4))::BIGINT % 10 = 0",
-    "string_agg_words": f"SELECT lang, string_agg(word, ',' ORDER BY word) AS words FROM ({_FL}) WHERE freq >= 300 GROUP BY lang",
+    "string_agg_words": f"SELECT lang, string_agg(word, ',' ORDER BY word) AS words FROM ({_FL}) GROUP BY lang",
 }
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
