@@ -293,7 +293,8 @@ def edge_quality(spark, d):
 
 
 def collision_curve(spark, d):
-    pairs = graph.exact_pairs(_vocab(spark, d), P.char_lens, 0.5)
+    """Collision rates of all pairs of similar words; pairs below that similarity are too many to list."""
+    pairs = graph.exact_pairs(_vocab(spark, d), P.char_lens, JACCARD)
     out = theory.collision_curve(index(spark, d).sigs, pairs, P.repetitions)
     return out.select(F.col("bin").cast("long").alias("bin"), "pairs", F.round("jaccard", 8).alias("jaccard"), F.round("rate", 8).alias("rate"))
 
@@ -441,7 +442,8 @@ def subword_correction(spark, d):
 
 
 def word_vector_correction(spark, d):
-    return cosine.correct(_benchmark_words(spark, d), _dictionary(spark, d), vectors=cosine.word_vectors(table(spark, d, "documents")))
+    texts = table(spark, d, "documents").select("text").unionByName(table(spark, d, "benchmark").select("text"))
+    return cosine.correct(_benchmark_words(spark, d), _dictionary(spark, d), vectors=cosine.word_vectors(texts))
 
 
 def restoration_scores(spark, d):
@@ -462,11 +464,11 @@ def human_eval_conversations(spark, d):
 
 
 def pair_tasks(spark, d):
-    return workloads.pair_tasks(spark, d, ("none", "hash_graph", "edit_index"), (40,))
+    return workloads.pair_tasks(spark, d)
 
 
 def acceptability_quality(spark, d):
-    return workloads.classify(spark, d, "quality", ("none", "hash_graph", "edit_index", "subword_vectors"), (20, 60))
+    return workloads.classify(spark, d, "quality")
 
 
 def sentiment_toxic(spark, d):
@@ -474,7 +476,7 @@ def sentiment_toxic(spark, d):
 
 
 def noise_grid(spark, d):
-    return workloads.noise_grid(spark, d, ("none", "hash_graph"), (20, 60))
+    return workloads.noise_grid(spark, d)
 
 
 def search_recall(spark, d):
@@ -615,7 +617,7 @@ ORACLES: dict[str, str] = {
     "case_components": f"{_QX}, top AS (SELECT rep_word, sum(CASE WHEN word <> rep_word THEN freq ELSE 0 END) AS moved FROM norm WHERE size > 1 GROUP BY rep_word ORDER BY moved DESC, rep_word LIMIT 20) SELECT rep_word, rep_freq, size, string_agg(word, ' ' ORDER BY freq DESC, word) AS members FROM norm WHERE rep_word IN (SELECT rep_word FROM top) GROUP BY ALL",
     "exact_jaccard_pairs": f"WITH {_exact(JACCARD)} SELECT src, dst, round(jaccard, 8) AS jaccard FROM truth",
     "edge_quality": f"WITH {sql.edges(P)}, {_exact(JACCARD)}, mine AS (SELECT src, dst FROM edges), c AS (SELECT (SELECT count(*) FROM mine) AS found, (SELECT count(*) FROM truth) AS expected, (SELECT count(*) FROM mine JOIN truth USING (src, dst)) AS hit) SELECT found, expected, hit, round(coalesce(hit / nullif(found, 0), 0), 8) AS precision, round(coalesce(hit / nullif(expected, 0), 0), 8) AS recall FROM c",
-    "collision_curve": f"WITH {_V}, {sql.sigs(P)}, {_exact(0.5)}, r AS (SELECT src, dst, jaccard, sum((a.sig = b.sig)::INT) / {P.repetitions} AS rate FROM truth JOIN sigs a ON a.word = src JOIN sigs b ON b.word = dst AND a.rep = b.rep GROUP BY ALL) SELECT least(floor(jaccard * 10), 9)::BIGINT AS bin, count(*) AS pairs, round(avg(jaccard), 8) AS jaccard, round(avg(rate), 8) AS rate FROM r GROUP BY bin",
+    "collision_curve": f"WITH {_V}, {sql.sigs(P)}, {_exact(JACCARD)}, r AS (SELECT src, dst, jaccard, sum((a.sig = b.sig)::INT) / {P.repetitions} AS rate FROM truth JOIN sigs a ON a.word = src JOIN sigs b ON b.word = dst AND a.rep = b.rep GROUP BY ALL) SELECT least(floor(jaccard * 10), 9)::BIGINT AS bin, count(*) AS pairs, round(avg(jaccard), 8) AS jaccard, round(avg(rate), 8) AS rate FROM r GROUP BY bin",
     "estimate_pq": f"WITH RECURSIVE {sql.edges(P)}, strong AS (SELECT src, dst FROM edges WHERE weight >= {QUALITY.index_min}), {sql.components('strong')} SELECT a.comp = b.comp AS inside, count(*) AS pairs, round(min(weight / 20), 8) AS least, round(max(weight / 20), 8) AS greatest, round(avg(weight / 20), 8) AS mean FROM edges JOIN cc a ON a.node = src JOIN cc b ON b.node = dst GROUP BY inside",
     "error_bounds": _bounds_sql(),
     "cost_counters": f"WITH {_V}, {sql.sigs(P)}, b AS (SELECT count(*) AS b, avg(n) AS m FROM (SELECT count(*) AS n FROM sigs GROUP BY rep, sig)), v AS (SELECT count(*) AS n, avg(length(word)) AS l FROM vocab) SELECT n AS words, b AS buckets, round(l, 4) AS mean_length, round(m, 4) AS mean_bucket, round(l * n * {P.repetitions}, 4) AS hashing, round(m * m * b, 4) AS pairing, round(l * n * 36, 4) AS enumeration FROM v, b",

@@ -56,6 +56,33 @@ def corrections(method: str, words: DataFrame, accepted: DataFrame, documents: D
     return cosine.correct(words, accepted, vectors=vectors).select("word", "corrected")
 
 
+_swaps: dict[tuple, DataFrame] = {}
+
+
+def swaps(spark: SparkSession, d: str, name: str, methods: tuple[str, ...] = METHODS, rates: tuple[int, ...] = RATES, seed: int = 13) -> DataFrame:
+    """``method, noisy_word, corrected`` of all words of a table perturbed at any of the rates.
+
+    Word vectors see the perturbed texts too, so that misspelt words have some. One table serves all tasks of an application.
+    """
+    key = (spark.sparkContext.applicationId, d, name, methods, rates, seed)
+    if key not in _swaps:
+        noised = [perturb.noise(sentences(spark, d, name), "id", "text", r, seed) for r in rates]
+        words = noised[0].select(F.explode("noisy_words").alias("word"))
+        texts = table(spark, d, "documents").select("text")
+        for x in noised[1:]:
+            words = words.unionByName(x.select(F.explode("noisy_words").alias("word")))
+        for x in noised:
+            texts = texts.unionByName(x.where("selected").select(F.col("noisy").alias("text")))
+        words = materialise(words.distinct(), "noisy_words")
+        accepted = materialise(dictionary(spark, d), "accepted")
+        out = None
+        for method in methods:
+            one = corrections(method, words, accepted, texts).select(F.lit(method).alias("method"), F.col("word").alias("noisy_word"), "corrected")
+            out = one if out is None else out.unionByName(one)
+        _swaps[key] = materialise(out, "swaps")
+    return _swaps[key]
+
+
 def noisy_tokens(spark: SparkSession, d: str, name: str, rate: int, seed: int = 13, ops: tuple[str, ...] = ("delete", "replace")) -> DataFrame:
     return perturb.aligned(perturb.noise(sentences(spark, d, name), "id", "text", rate, seed, ops))
 
@@ -140,21 +167,17 @@ def classify(spark: SparkSession, d: str, target: str, methods: tuple[str, ...]
     train = rows.where(part < 8).select(tokens.words(F.col("text")).alias("words"), "y")
     tf = HashingTF(numFeatures=features, inputCol="words", outputCol="x", binary=True)
     model = LogisticRegression(featuresCol="x", labelCol="y", maxIter=20, regParam=0.01).fit(tf.transform(train))
-    accepted = materialise(dictionary(spark, d), "accepted")
-    out = None
+    test = rows.where(part == 9)
+    flat = None
     for rate in rates:
-        noised = materialise(perturb.noise(rows.where(part == 9), "id", "text", rate, seed).join(rows.select("id", "y"), "id"), "noised")
-        words = noised.select(F.explode("noisy_words").alias("word")).distinct()
-        for method in methods:
-            swap = corrections(method, words, accepted, docs).withColumnRenamed("word", "noisy_word")
-            fixed = noised.select("id", "y", F.explode("noisy_words").alias("noisy_word")).join(swap, "noisy_word", "left").groupBy("id", "y").agg(F.collect_set(F.coalesce("corrected", "noisy_word")).alias("words"))
-            said = model.transform(tf.transform(fixed)).select(F.col("y").cast("int").alias("y"), F.col("prediction").cast("int").alias("yhat"))
-            one = metrics.classification(said).select(F.lit(target).alias("task"), F.lit(rate).alias("rate"), F.lit(method).alias("method"), "n", "accuracy", "f1", "matthews")
-            out = one if out is None else out.unionByName(one)
-    return out
+        one = perturb.noise(test, "id", "text", rate, seed).select(F.lit(rate).alias("rate"), "id", F.explode("noisy_words").alias("noisy_word")).distinct()
+        flat = one if flat is None else flat.unionByName(one)
+    fixed = flat.join(swaps(spark, d, "documents", methods, rates, seed), "noisy_word").join(test.select("id", "y"), "id").groupBy("rate", "method", "id", "y").agg(F.collect_set("corrected").alias("words"))
+    said = materialise(model.transform(tf.transform(fixed)).select("rate", "method", F.col("y").cast("int").alias("y"), F.col("prediction").cast("int").alias("yhat")), "said")
+    return metrics.classification(said, ["rate", "method"]).select(F.lit(target).alias("task"), "rate", "method", "n", "accuracy", "f1", "matthews")
 
 
-def sentiment(spark: SparkSession, d: str, target: str = "quality", methods: tuple[str, ...] = ("none", "hash_graph"), dim: int = 256, seed: int = 13) -> DataFrame:
+def sentiment(spark: SparkSession, d: str, target: str = "quality", methods: tuple[str, ...] = METHODS, dim: int = 256, seed: int = 13) -> DataFrame:
     """Validation and test accuracy after normalizing all text: a linear model over ``dim`` hashed word sums."""
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.feature import HashingTF
@@ -175,57 +198,64 @@ def sentiment(spark: SparkSession, d: str, target: str = "quality", methods: tup
     return out
 
 
-def _pairs(spark: SparkSession, d: str) -> DataFrame:
-    """Document pairs with exact word-set similarity: near copies found by rare shared words, and neighbours in id order."""
-    sets = table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.array_distinct(tokens.words(F.col("text"))).alias("words"))
-    rare = tokens.vocabulary(table(spark, d, "documents")).where("freq between 2 and 6").select("word")
-    flat = sets.select("id", F.explode("words").alias("word")).join(rare, "word")
-    near = flat.alias("a").join(flat.alias("b"), "word").where("a.id < b.id").select(F.col("a.id").alias("id1"), F.col("b.id").alias("id2")).groupBy("id1", "id2").count().where("count >= 8").select("id1", "id2")
+def _pairs(spark: SparkSession, d: str, least: float = 0.8) -> DataFrame:
+    """Document pairs with exact word-set similarity: near copies, and neighbours in id order.
+
+    Two sets of similarity ``least`` share one of their rarest words. Documents that
+    share such a word are tried with the smallest of them only, so a group of copies
+    of any size gives as many pairs as it has members.
+    """
+    sets = materialise(table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.array_distinct(tokens.words(F.col("text"))).alias("words")), "sets")
+    flat = sets.select("id", F.size("words").alias("n"), F.explode("words").alias("word"))
+    counts = flat.groupBy("word").agg(F.count("*").alias("df"))
+    ordered = flat.join(counts, "word").groupBy("id", "n").agg(F.array_sort(F.collect_list(F.struct("df", "word"))).alias("o"))
+    rare = ordered.select("id", F.explode(F.slice("o", F.lit(1), F.col("n") - F.ceil(F.col("n") * least - 1e-6).cast("int") + 1)).alias("g")).select("id", F.col("g.word").alias("word"))
+    heads = rare.groupBy("word").agg(F.min("id").alias("id1"), F.max("id").alias("last")).where("id1 < last").drop("last")
+    near = rare.join(heads, "word").where("id1 < id").select("id1", F.col("id").alias("id2")).distinct()
     far = sets.select(F.col("id").alias("id1"), (F.col("id") + 1).alias("id2"))
-    pairs = near.unionByName(far).distinct()
     a, b = sets.select(F.col("id").alias("id1"), F.col("words").alias("wa")), sets.select(F.col("id").alias("id2"), F.col("words").alias("wb"))
-    both = pairs.join(a, "id1").join(b, "id2")
     shared = F.size(F.array_intersect("wa", "wb"))
     every = F.size("wa") + F.size("wb") - shared
-    return both.select("id1", "id2", F.when(every > 0, shared / every).otherwise(0.0).alias("gold"))
+    gold = F.when(every > 0, shared / every).otherwise(0.0).alias("gold")
+    scored = lambda pairs: pairs.join(a, "id1").join(b, "id2").select("id1", "id2", gold)
+    return scored(near).where(F.col("gold") >= least).unionByName(scored(far)).distinct()
 
 
 def pair_tasks(spark: SparkSession, d: str, methods: tuple[str, ...] = METHODS, rates: tuple[int, ...] = RATES, seed: int = 13) -> DataFrame:
     """Paraphrase (accuracy, F1 at similarity .5), similarity (Pearson, Spearman) and containment of benchmark passages (accuracy), by method and rate."""
     pairs = materialise(_pairs(spark, d), "pairs")
-    docs = table(spark, d, "documents")
-    accepted = materialise(dictionary(spark, d), "accepted")
     clean = materialise(sentences(spark, d, "documents").select("id", tokens.words(F.col("text")).alias("words")), "clean")
     items = table(spark, d, "benchmark").select(tokens.words(F.col("text")).alias("w"))
     grams = lambda w: F.when(F.size(w) >= 8, F.transform(F.sequence(F.lit(1), F.size(w) - 7), lambda i: F.array_join(F.slice(w, i, 8), " "))).otherwise(F.array().cast("array<string>"))
     shingles = F.broadcast(items.select(F.explode(grams(F.col("w"))).alias("g")).distinct())
     holds = lambda frame: frame.select("id", F.explode(grams(F.col("words"))).alias("g")).join(shingles, "g", "left_semi").select("id").distinct()
     truth = materialise(holds(clean), "truth")
-    out = None
+    noised = None
     for rate in rates:
-        noised = materialise(perturb.noise(sentences(spark, d, "documents"), "id", "text", rate, seed).select("id", "noisy_words"), "noised")
-        flat = noised.select("id", F.posexplode("noisy_words").alias("pos", "noisy_word"))
-        words = flat.select(F.col("noisy_word").alias("word")).distinct()
-        for method in methods:
-            swap = corrections(method, words, accepted, docs).withColumnRenamed("word", "noisy_word")
-            fixed = materialise(flat.join(swap, "noisy_word", "left").groupBy("id").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", F.coalesce("corrected", "noisy_word").alias("w")))), lambda x: x["w"]).alias("words")), "fixed")
-            a = clean.select(F.col("id").alias("id1"), F.array_distinct("words").alias("wa"))
-            b = fixed.select(F.col("id").alias("id2"), F.array_distinct("words").alias("wb"))
-            both = pairs.join(a, "id1").join(b, "id2")
-            shared = F.size(F.array_intersect("wa", "wb"))
-            scored = materialise(both.select("gold", F.when(F.size("wa") + F.size("wb") > 0, shared / (F.size("wa") + F.size("wb") - shared)).otherwise(0.0).alias("score"), F.lit(method).alias("method"), F.lit(rate).alias("rate")), "scored")
-            by = ["rate", "method"]
-            c = metrics.classification(scored.select(*by, (F.col("gold") >= 0.5).cast("int").alias("y"), (F.col("score") >= 0.5).cast("int").alias("yhat")), by)
-            corr = metrics.correlations(scored, by)
-            found = holds(fixed).withColumn("yhat", F.lit(1)).join(clean.select("id"), "id", "right").join(truth.withColumn("y", F.lit(1)), "id", "left").select(F.coalesce("y", F.lit(0)).alias("y"), F.coalesce("yhat", F.lit(0)).alias("yhat"), F.lit(method).alias("method"), F.lit(rate).alias("rate"))
-            held = metrics.classification(found, by)
-            row = lambda frame, task, names: frame.select(F.lit(task).alias("task"), *by, F.explode(F.array(*(F.struct(F.lit(n).alias("metric"), F.col(n).alias("value")) for n in names))).alias("m")).select("task", *by, "m.metric", "m.value")
-            one = row(c, "paraphrase", ("accuracy", "f1")).unionByName(row(corr, "similarity", ("pearson", "spearman"))).unionByName(row(held, "containment", ("accuracy",)))
-            out = one if out is None else out.unionByName(one)
-    return out
-
-
-def noise_grid(spark: SparkSession, d: str, methods: tuple[str, ...] = ("none", "hash_graph", "edit_index"), rates: tuple[int, ...] = RATES) -> DataFrame:
+        one = perturb.noise(sentences(spark, d, "documents"), "id", "text", rate, seed).select(F.lit(rate).alias("rate"), "id", F.posexplode_outer("noisy_words").alias("pos", "noisy_word"))
+        noised = one if noised is None else noised.unionByName(one)
+    swap = swaps(spark, d, "documents", methods, rates, seed)
+    every = F.broadcast(swap.select("method").distinct())
+    word = F.struct("pos", F.coalesce("corrected", "noisy_word").alias("w"))
+    full = noised.crossJoin(every).join(swap, ["method", "noisy_word"], "left")
+    by = ["rate", "method"]
+    fixed = materialise(full.groupBy(*by, "id").agg(F.transform(F.array_sort(F.collect_list(F.when(F.col("pos").isNotNull(), word))), lambda x: x["w"]).alias("words")), "fixed")
+    a = clean.select(F.col("id").alias("id1"), F.array_distinct("words").alias("wa"))
+    b = fixed.select(*by, F.col("id").alias("id2"), F.array_distinct("words").alias("wb"))
+    both = pairs.join(a, "id1").join(b, "id2")
+    shared = F.size(F.array_intersect("wa", "wb"))
+    score = F.when(F.size("wa") + F.size("wb") > 0, shared / (F.size("wa") + F.size("wb") - shared)).otherwise(0.0)
+    scored = materialise(both.select(*by, "gold", score.alias("score")), "scored")
+    c = metrics.classification(scored.select(*by, (F.col("gold") >= 0.5).cast("int").alias("y"), (F.col("score") >= 0.5).cast("int").alias("yhat")), by)
+    corr = metrics.correlations(scored, by)
+    grams_found = fixed.select(*by, "id", F.explode(grams(F.col("words"))).alias("g")).join(shingles, "g", "left_semi").select(*by, "id").distinct().withColumn("yhat", F.lit(1))
+    judged = fixed.select(*by, "id").join(grams_found, [*by, "id"], "left").join(truth.withColumn("y", F.lit(1)), "id", "left")
+    held = metrics.classification(judged.select(*by, F.coalesce("y", F.lit(0)).alias("y"), F.coalesce("yhat", F.lit(0)).alias("yhat")), by)
+    row = lambda frame, task, names: frame.select(F.lit(task).alias("task"), *by, F.explode(F.array(*(F.struct(F.lit(n).alias("metric"), F.col(n).alias("value")) for n in names))).alias("m")).select("task", *by, "m.metric", "m.value")
+    return row(c, "paraphrase", ("accuracy", "f1")).unionByName(row(corr, "similarity", ("pearson", "spearman"))).unionByName(row(held, "containment", ("accuracy",)))
+
+
+def noise_grid(spark: SparkSession, d: str, methods: tuple[str, ...] = METHODS, rates: tuple[int, ...] = RATES) -> DataFrame:
     """All downstream tasks by rate and method, with the gain over no correction."""
     pairs = pair_tasks(spark, d, methods, rates)
     out = pairs
