@@ -236,3 +236,24 @@ def test_tokens(spark):
     assert [r.w for r in df.select(tokens.words(F.col("text")).alias("w")).collect()] == [["a", "b", "c", "é1"], [], []]
     back = df.select("text", tokens.split_lossless(F.col("text"), lower=False).alias("s")).select("text", tokens.join_lossless(F.col("s.gaps"), F.col("s.words")).alias("t")).collect()
     assert all(r.t == (r.text or "") for r in back)
+
+
+def test_matching_in_passes_and_blocks(spark, monkeypatch):
+    """Passes, blocks and sides change nothing; groups are made without a table of edges."""
+    from lexnorm.operators import matching
+
+    words = [f"{w}{'g' * i}" for w in ("amazing", "feeling", "running") for i in range(1, 14)] + ["zebra", "q"]
+    vocab = spark.createDataFrame([(w, 1) for w in words], "word string, freq long")
+    sigs = hashing.signatures(vocab, hashing.Family.draw(HashParams())).localCheckpoint()
+    want = rows(graph.edge_weights(sigs, 20, 4, "pairs"))
+    new, old = sigs.where("word > 'f'"), sigs.where("word < 'm'")
+    sides = rows(matching.pairs(new, 20, 4, old))
+    assert sides and all(w >= 4 for _, _, w in sides)
+    monkeypatch.setattr(matching, "PASS_BYTES", 30_000)
+    monkeypatch.setattr(matching, "BLOCK_WORDS", 3)
+    assert rows(graph.edge_weights(sigs, 20, 4)) == want
+    assert rows(matching.pairs(new, 20, 4, old)) == sides
+    index = build_index(vocab)
+    groups = {r.word: r.comp for r in index.norm.collect()}
+    assert index.made_edges is None
+    assert groups == {r.node: r.comp for r in components(index.edges, vocab.select(F.col("word").alias("node"))).collect()}
