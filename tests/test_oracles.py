@@ -47,3 +47,7 @@ def test_entry(spark):
 
     assert __spark_entry__.entry(spark).count() > 0
     assert set(__spark_entry__.oracle_sql()) <= set(__spark_entry__.queries())
+
+
+def test_error_bounds_read_a_table(spark):
+    assert any("documents.parquet" in f for f in QUERIES["error_bounds"](spark, DIR).inputFiles())
