@@ -11,7 +11,9 @@ forest of them is sent on.
 
 Three bits of 64 can't reach all near copies: ``near_copies`` adds candidates that
 agree in a band of minima over their runs of words, and counts those pairs only
-whose exact similarity is high.
+whose exact similarity is high. What these miss is found without chance: of sets
+kept in one order, two that are similar enough share a run among their first ones,
+so rows of different groups that share such a run are tried as well.
 """
 
 from __future__ import annotations
@@ -28,7 +30,7 @@ from pyspark.sql import functions as F
 from lexnorm.llm.windows import BROADCAST_ROWS
 from lexnorm.llm.words import ROLLING, Words, mix, slices
 from lexnorm.operators.components import star_components
-from lexnorm.sources.store import materialise, ship
+from lexnorm.sources.store import discard, materialise, ship
 
 RADIUS = 3
 SHINGLE = 3
@@ -45,6 +47,13 @@ BLOCK = 1 << 20
 COPY_SHINGLE, COPY_SHARE = 5, (4, 5)
 #: A pair at that similarity shares one of the bands with probability 1 - (1 - 0.8**5)**24 = 0.9999.
 BANDS, BAND_ROWS = 24, 5
+#: First runs that more rows share go to the end of the order, the most crowded ones up to so many.
+CROWD, MOVED = 64, 1 << 16
+#: Rows of one run that are compared at once, and rows of a group of such buckets.
+GRID, GROUP = 1024, 1 << 14
+#: Bits of a set's parity: sets differ in at least as many runs as their parities in bits.
+PARITY_BITS = 512
+SPREAD = np.uint64(0x9E3779B97F4A7C15)
 
 
 def _fingerprint(words: list[bytes], shingle: int) -> int:
@@ -275,8 +284,26 @@ def _bands(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
+def _first(runs: np.ndarray, last: np.ndarray | None = None) -> np.ndarray:
+    """The first runs of a sorted set, those of ``last`` (sorted) at the end: similar sets share one of them."""
+    top, bottom = COPY_SHARE
+    keep = len(runs) + top * len(runs) // -bottom + 1
+    if last is not None and len(last):
+        at = np.minimum(np.searchsorted(last, runs), len(last) - 1)
+        runs = runs[np.argsort(last[at] == runs, kind="stable")]
+    return runs[:keep] if len(runs) else runs
+
+
+def _parities(sets: list[np.ndarray]) -> np.ndarray:
+    """A row of ``PARITY_BITS`` bits, as bytes, for each set."""
+    rows = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    bits = (np.concatenate([np.zeros(0, np.uint64), *sets]) * SPREAD) >> np.uint64(64 - 9)
+    odd = np.bincount(rows * PARITY_BITS + bits.astype(np.int64), minlength=len(sets) * PARITY_BITS) & 1
+    return np.packbits(odd.astype(np.uint8)).reshape(len(sets), PARITY_BITS // 8)
+
+
 def marked(documents: DataFrame, shingle: int = COPY_SHINGLE) -> DataFrame:
-    """``doc_id, fp, same, bands`` for every row: fingerprint, key of the set of runs, and bands (none for empty texts)."""
+    """``doc_id, fp, same, bands, n, parity, heads`` for every row: fingerprint, key, bands, size and parity of the set of runs, and its first runs (no bands and runs for empty texts)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -287,9 +314,10 @@ def marked(documents: DataFrame, shingle: int = COPY_SHINGLE) -> DataFrame:
                 full = [x for x in sets if len(x)]
                 bands = iter(_bands(full).view(np.int64).tolist() if full else ())
                 rows = [next(bands) if len(x) else [] for x in sets]
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps), pa.array([xxhash.xxh128_digest(x.tobytes()) for x in sets], pa.binary()), pa.array(rows, pa.list_(pa.int64()))], names=["doc_id", "fp", "same", "bands"])
+                extra = [pa.array([len(x) for x in sets], pa.int64()), pa.array([x.tobytes() for x in _parities(sets)], pa.binary()), pa.array([_first(x).view(np.int64) for x in sets], pa.list_(pa.int64()))]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps), pa.array([xxhash.xxh128_digest(x.tobytes()) for x in sets], pa.binary()), pa.array(rows, pa.list_(pa.int64())), *extra], names=["doc_id", "fp", "same", "bands", "n", "parity", "heads"])
 
-    return documents.mapInArrow(run, "doc_id long, fp long, same binary, bands array<long>")
+    return documents.mapInArrow(run, "doc_id long, fp long, same binary, bands array<long>, n long, parity binary, heads array<long>")
 
 
 def run_sets(documents: DataFrame, shingle: int = COPY_SHINGLE) -> DataFrame:
@@ -319,26 +347,147 @@ def _candidates(distinct: DataFrame, radius: int) -> DataFrame:
     return pairs.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()
 
 
-def near_copies(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS, shingle: int = COPY_SHINGLE) -> DataFrame:
-    """``doc_id, component_id`` for every row; linked are texts whose sets of runs of words have a Jaccard similarity of ``COPY_SHARE`` or more.
+def _reordered(documents: DataFrame, last: np.ndarray, shingle: int) -> DataFrame:
+    """``same, heads``: the first runs of each text when the runs of ``last`` come at the end."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in slices(whole, "text"):
+                sets = _run_sets([x.as_py() or b"" for x in b.column(1)], shingle)
+                heads = pa.array([_first(x, last).view(np.int64) for x in sets], pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([pa.array([xxhash.xxh128_digest(x.tobytes()) for x in sets], pa.binary()), heads], names=["same", "heads"])
+
+    return documents.mapInArrow(run, "same binary, heads array<long>")
+
 
-    Every linked pair is verified exactly. A bucket of a band tries its rows with two
-    of them, not all pairs, so that groups of any size stay linear. Null and empty
-    texts are copies of each other. Rows with a null id get a null component and link
-    nothing. Repeated rows are kept, other columns are ignored.
+def _mixed(rows: DataFrame) -> DataFrame:
+    """``run, rows`` of the first runs that rows of different groups share."""
+    held = rows.select("comp", F.explode("heads").alias("run")).groupBy("run").agg(F.count("*").alias("rows"), F.min("comp").alias("low"), F.max("comp").alias("high"))
+    return materialise(held.where("low != high").select("run", "rows"), "mixed")
+
+
+def _near(cells: pa.Table) -> pa.Table:
+    """Pairs of rows of one run and cell, of different groups, whose sizes and parities allow the similarity."""
+    top, bottom = COPY_SHARE
+    run, one, two, block, ids, comp, n = (cells.column(c).to_numpy() for c in ("run", "one", "two", "block", "doc_id", "comp", "n"))
+    parity = np.frombuffer(b"".join(cells.column("parity").to_pylist()), dtype=np.uint64).reshape(len(ids), PARITY_BITS // 64)
+    order = np.lexsort((two, one, run))
+    run, one, two, block, ids, comp, n, parity = (x[order] for x in (run, one, two, block, ids, comp, n, parity))
+    new = np.ones(len(run), dtype=bool)
+    new[1:] = (run[1:] != run[:-1]) | (one[1:] != one[:-1]) | (two[1:] != two[:-1])
+    starts = np.flatnonzero(new)
+    end = np.repeat(np.append(starts[1:], len(run)), np.diff(np.append(starts, len(run))))
+    # Rows of one block meet in the cell of that block alone.
+    apart, at, found, k = one != two, np.arange(len(run)), [], 1
+    while len(at := at[at + k < end[at]]):
+        i, j = at, at + k
+        ok = (comp[i] != comp[j]) & (~apart[i] | (block[i] != block[j])) & (bottom * np.minimum(n[i], n[j]) >= top * np.maximum(n[i], n[j]))
+        i, j = i[ok], j[ok]
+        ok = (bottom + top) * np.bitwise_count(parity[i] ^ parity[j]).sum(axis=1, dtype=np.int64) <= (bottom - top) * (n[i] + n[j])
+        found.append(np.stack([np.minimum(ids[i[ok]], ids[j[ok]]), np.maximum(ids[i[ok]], ids[j[ok]])]))
+        k += 1
+    pairs = np.unique(np.concatenate(found, axis=1), axis=1) if found else np.zeros((2, 0), np.int64)
+    return pa.table({"src": pairs[0], "dst": pairs[1]})
+
+
+def _missed(docs: DataFrame, distinct: DataFrame, comps: DataFrame, shingle: int) -> DataFrame:
+    """Edges ``src, dst`` to try between rows of different groups, with no pair of the wanted similarity left out.
+
+    Any one order of the runs will do. They are ordered by hash, but those that crowd the
+    first ones come last. A run still crowded is shared by texts that hold little
+    else; its rows are compared block by block, whatever their number.
     """
-    ship(documents.sparkSession)
-    docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
-    marks = materialise(marked(docs, shingle), "marks")
-    distinct = materialise(marks.where("doc_id is not null").groupBy("same").agg(F.min("doc_id").alias("doc_id"), F.min("fp").alias("fp"), F.first("bands").alias("bands")), "distinct")
-    tried = materialise(_candidates(distinct, radius), "tried")
+    groups = distinct.join(_small(comps), distinct.doc_id == comps.node, "left").select("doc_id", "same", F.coalesce("comp", "doc_id").alias("comp"), "n", "parity", "heads")
+    mixed = _mixed(groups)
+    crowded = mixed.where(F.col("rows") > CROWD).orderBy(F.desc("rows"), "run").limit(MOVED).select("run")
+    last = np.sort(np.array([r[0] for r in crowded.collect()], dtype=np.int64).view(np.uint64))
+    if len(last):
+        crowded = docs.sparkSession.createDataFrame(pa.table({"run": last.view(np.int64)}))
+        moved = materialise(distinct.select("doc_id", "same", F.explode("heads").alias("run")).join(F.broadcast(crowded), "run", "left_semi").select("doc_id", "same").distinct(), "moved")
+        heads = materialise(_reordered(docs.join(_small(moved.select("doc_id").distinct()), "doc_id", "left_semi"), last, shingle).dropDuplicates(["same"]), "heads")
+        groups = groups.withColumnRenamed("heads", "old").join(heads, "same", "left").withColumn("heads", F.coalesce("heads", "old")).drop("old")
+        mixed = _mixed(groups)
+    total = mixed.agg(F.coalesce(F.sum("rows"), F.lit(0))).first()[0]
+    blocks = mixed.select("run", F.ceil(F.col("rows") / GRID).cast("long").alias("blocks"))
+    rows = groups.select("doc_id", "comp", "n", "parity", F.explode("heads").alias("run")).join(_small(blocks), "run").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")))
+    rows = rows.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)).alias("other"))
+    rows = rows.select("run", F.least("block", "other").alias("one"), F.greatest("block", "other").alias("two"), "block", "doc_id", "comp", "n", "parity")
+    grouped = rows.withColumn("cell", F.pmod(F.xxhash64("run", "one", "two"), F.lit(total // GROUP + 1))).groupBy("cell")
+    return grouped.applyInArrow(_near, "src long, dst long").where("src != dst").distinct()
+
+
+def _wide_parities(documents: DataFrame, shingle: int) -> DataFrame:
+    """``doc_id, wide``: parities of as many bits as twice the runs, or more, for each text; a power of two."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for b in slices(whole, "text"):
+                wide = []
+                for x in _run_sets([x.as_py() or b"" for x in b.column(1)], shingle):
+                    power = max(9, (2 * len(x)).bit_length())
+                    odd = np.bincount(((x * SPREAD) >> np.uint64(64 - power)).astype(np.int64), minlength=1 << power) & 1
+                    wide.append(np.packbits(odd.astype(np.uint8)).tobytes())
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(wide, pa.binary())], names=["doc_id", "wide"])
+
+    return documents.mapInArrow(run, "doc_id long, wide binary")
+
+
+def _plausible(tried: DataFrame, docs: DataFrame, distinct: DataFrame, shingle: int) -> DataFrame:
+    """Those of the pairs ``src, dst`` that wide parities allow: far less is sent for each pair than its sets."""
+    top, bottom = COPY_SHARE
+    wanted = materialise(tried.select(F.explode(F.array("src", "dst")).alias("doc_id")).distinct(), "wanted")
+    wide = materialise(_wide_parities(docs.join(_small(wanted), "doc_id", "left_semi"), shingle), "wide")
+    counts = distinct.groupBy("doc_id").agg(F.max("n").alias("n"))
+    wide = wide.join(counts, "doc_id")
+    a, b = (wide.select(F.col("doc_id").alias(name), F.col("wide").alias(name + "_wide"), F.col("n").alias(name + "_n")) for name in ("src", "dst"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y, n in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), batch.column(4).to_pylist(), strict=True):
+                x, y = sorted((np.unpackbits(np.frombuffer(z, np.uint8)) for z in (x, y)), key=len)
+                y = np.bitwise_xor.reduce(y.reshape(len(x), -1), axis=1)
+                keep.append((bottom + top) * int((x ^ y).sum()) <= (bottom - top) * n)
+            yield pa.RecordBatch.from_arrays([c.filter(pa.array(keep, pa.bool_())) for c in batch.columns[:2]], names=["src", "dst"])
+
+    both = tried.join(a, "src").join(b, "dst").select("src", "dst", "src_wide", "dst_wide", (F.col("src_n") + F.col("dst_n")).alias("n"))
+    return materialise(both.mapInArrow(run, "src long, dst long").distinct(), "plausible")
+
+
+def _linked(tried: DataFrame, docs: DataFrame, shingle: int) -> DataFrame:
+    """Those of the pairs ``src, dst`` whose sets of runs are similar enough, compared exactly."""
     wanted = materialise(tried.select(F.explode(F.array("src", "dst")).alias("doc_id")).distinct(), "wanted")
     sets = materialise(run_sets(docs.join(_small(wanted), "doc_id", "left_semi"), shingle), "sets")
     a, b = (sets.select(F.col("doc_id").alias(name), F.col("runs").alias(name + "_runs")) for name in ("src", "dst"))
     top, bottom = COPY_SHARE
     both, total = F.size(F.array_intersect("src_runs", "dst_runs")), F.size("src_runs") + F.size("dst_runs")
     alike = bottom * F.least(F.size("src_runs"), F.size("dst_runs")) >= top * F.greatest(F.size("src_runs"), F.size("dst_runs"))
-    linked = materialise(tried.join(a, "src").join(b, "dst").where(F.when(alike, bottom * both >= top * (total - both))).select("src", "dst"), "linked")
+    out = materialise(tried.join(a, "src").join(b, "dst").where(F.when(alike, bottom * both >= top * (total - both))).select("src", "dst"), "linked")
+    discard(sets)
+    return out
+
+
+def near_copies(documents: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS, shingle: int = COPY_SHINGLE) -> DataFrame:
+    """``doc_id, component_id`` for every row; linked are texts whose sets of runs of words have a Jaccard similarity of ``COPY_SHARE`` or more.
+
+    Every linked pair is verified exactly and no such pair is left unjoined. A bucket of a
+    band tries its rows with two of them, not all pairs, so that groups of any size stay
+    linear; pairs that this leaves in different groups are then looked for by the first
+    runs of their sets. Null and empty texts are copies of each other. Rows with a null
+    id get a null component and link nothing. Repeated rows are kept, other columns are
+    ignored.
+    """
+    ship(documents.sparkSession)
+    docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
+    marks = materialise(marked(docs, shingle), "marks")
+    distinct = materialise(marks.where("doc_id is not null").groupBy("same").agg(F.min("doc_id").alias("doc_id"), F.min("fp").alias("fp"), *(F.first(c).alias(c) for c in ("bands", "n", "parity", "heads"))), "distinct")
+    marks = marks.select("doc_id", "same")
+    linked = _linked(materialise(_candidates(distinct, radius), "tried"), docs, shingle)
     comps = star_components(linked)
+    missed = materialise(_missed(docs, distinct, comps, shingle), "missed")
+    more = _linked(_plausible(missed, docs, distinct, shingle), docs, shingle)
+    if more.limit(1).count():
+        comps = star_components(linked.unionByName(more))
     named = materialise(distinct.join(comps, distinct.doc_id == comps.node, "left").select("same", F.coalesce("comp", "doc_id").alias("component_id")), "named")
+    discard(distinct)
     return marks.join(named, "same", "left").select("doc_id", F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))

@@ -552,6 +552,35 @@ def test_pipeline_drops_near_copies_of_jaccard_080(spark):
     assert {r.doc_id for r in cp.simhash_near_dedup(spark, d, "").collect()} == set(range(120)) - drop
 
 
+def test_near_copies_are_all_joined(spark, monkeypatch):
+    """Groups equal brute force where bands find nothing, with runs that crowd the first ones and buckets of several blocks."""
+    monkeypatch.setattr(simhash_dedup, "CROWD", 4)
+    monkeypatch.setattr(simhash_dedup, "GRID", 8)
+    monkeypatch.setattr(simhash_dedup, "_candidates", lambda distinct, radius: distinct.select(F.col("doc_id").alias("src"), F.col("doc_id").alias("dst")).where("false"))
+    rng = random.Random(5)
+    text = lambda k: [f"v{rng.randrange(9000)}" for _ in range(k)]
+    passage, rows = text(60), [(900, ""), (901, None), (902, "one two"), (903, "one  TWO"), (904, "one two three")]
+    for i in range(40):
+        one = passage + text(rng.choice((5, 20, 90)))
+        two = list(one)
+        for at in rng.sample(range(len(one)), rng.choice((1, 2, 4))):
+            two[at] = "edited"
+        rows += [(3 * i, " ".join(one)), (3 * i + 1, " ".join(two)), (3 * i + 2, " ".join(one[1:] + ["end"]))]
+    sets = {}
+    for i, t in rows:
+        w = (t or "").lower().split()
+        sets[i] = {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set()
+    group = {i: i for i in sets}
+    for a in sets:
+        for b in sets:
+            if a < b and 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]) and group[a] != group[b]:
+                low, high = sorted((group[a], group[b]))
+                group = {k: low if v == high else v for k, v in group.items()}
+    assert 20 < len(set(group.values())) < 110
+    d = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert {r.doc_id: r.component_id for r in simhash_dedup.near_copies(d).collect()} == group
+
+
 def test_pipeline(spark, docs):
     import corpus_pipeline as cp
 
