@@ -257,3 +257,36 @@ def test_matching_in_passes_and_blocks(spark, monkeypatch):
     groups = {r.word: r.comp for r in index.norm.collect()}
     assert index.made_edges is None
     assert groups == {r.node: r.comp for r in components(index.edges, vocab.select(F.col("word").alias("node"))).collect()}
+
+
+def test_word_vectors_and_nearest_leave_words_in_tasks(spark, monkeypatch):
+    """Vectors equal sums over the neighbours of each occurrence; the nearest word is found over several blocks, and Spark's driver-bound trainer isn't used."""
+    import numpy as np
+    import pyspark.ml.feature
+    import xxhash
+
+    from lexnorm.baselines import cosine
+
+    monkeypatch.delattr(pyspark.ml.feature, "Word2Vec")
+    for name, value in (("QUERY_BLOCK", 3), ("BLOCKS_AT_ONCE", 2), ("HELD_WORDS", 5), ("COMMON_SHARE", 0.1)):
+        monkeypatch.setattr(cosine, name, value)
+    texts = ["a b c d e f g h i j k", "a a b", "", None, "lone", "c a d a e a"]
+    flat = [w for t in texts for w in (t or "").split()]
+    sign = lambda w: 2.0 * np.unpackbits(np.array([xxhash.xxh64_intdigest(w.encode(), 3)], dtype="<u8").view(np.uint8))[:32] - 1
+    weight = lambda w: round(64 * min(1.0, (0.1 * len(flat) / flat.count(w)) ** 0.5))
+    want = {}
+    for t in texts:
+        w = (t or "").split()
+        for i, x in enumerate(w):
+            near = [y for j, y in enumerate(w) if j != i and abs(i - j) <= 5]
+            want[x] = want.get(x, 0) + sum((weight(y) * sign(y) for y in near), np.zeros(32))
+    docs = spark.createDataFrame([(t,) for t in texts], "text string").repartition(3)
+    got = {r.word: np.array(r.vec) for r in cosine.word_vectors(docs).collect()}
+    assert got.keys() == want.keys() and all((got[w] == want[w]).all() for w in want)
+    rng = np.random.default_rng(1)
+    vec = {f"w{i}": rng.standard_normal(8).astype(np.float32).tolist() for i in range(20)} | {"w3x": [1.0] * 8, "v3x": [1.0] * 8}
+    rows = lambda names: spark.createDataFrame([(n, vec[n]) for n in names], "id string, vec array<float>")
+    found = cosine.nearest(rows(["w0", "w1", "w2", "w3x"]), rows([n for n in vec if n not in ("w0", "w1", "w2")]), 0.2)
+    want = cosine.search(rows(["w0", "w1", "w2", "w3x"]), rows([n for n in vec if n not in ("w0", "w1", "w2")]), 1, "cos").where("score >= 0.2")
+    plain = lambda frame: {r.query_id: (r.id, round(r.score, 9)) for r in frame.collect()}
+    assert plain(found) == plain(want) and plain(found)["w3x"][0] == "v3x"
