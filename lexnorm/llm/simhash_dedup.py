@@ -13,7 +13,8 @@ Three bits of 64 can't reach all near copies: ``near_copies`` adds candidates th
 agree in a band of minima over their runs of words, and counts those pairs only
 whose exact similarity is high. What these miss is found without chance: of sets
 kept in one order, two that are similar enough share a run among their first ones,
-so rows of different groups that share such a run are tried as well.
+so rows of different groups that share such a run are tried as well. The order has
+rare runs first, so that what many texts hold nominates few pairs.
 """
 
 from __future__ import annotations
@@ -47,12 +48,15 @@ BLOCK = 1 << 20
 COPY_SHINGLE, COPY_SHARE = 5, (4, 5)
 #: A pair at that similarity shares one of the bands with probability 1 - (1 - 0.8**5)**24 = 0.9999.
 BANDS, BAND_ROWS = 24, 5
-#: First runs that more rows share go to the end of the order, the most crowded ones up to so many.
-CROWD, MOVED = 64, 1 << 16
+#: Runs that more rows share come last in the order, those of an eighth of them before these.
+CROWD = 64
+#: The table of how many rows share a run has twice as many cells as runs, at most so many (two bits each); fuller cells order runs less well.
+MOST_CELLS = 1 << 27
+SPAN = 1 << 16
 #: Rows of one run that are compared at once, and rows of a group of such buckets.
 GRID, GROUP = 1024, 1 << 14
 #: Bits of a set's parity: sets differ in at least as many runs as their parities in bits.
-PARITY_BITS = 512
+PARITY_BITS = 2048
 SPREAD = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -284,26 +288,34 @@ def _bands(sets: list[np.ndarray]) -> np.ndarray:
     return out
 
 
-def _first(runs: np.ndarray, last: np.ndarray | None = None) -> np.ndarray:
-    """The first runs of a sorted set, those of ``last`` (sorted) at the end: similar sets share one of them."""
+def _levels(table: np.ndarray, runs: np.ndarray) -> np.ndarray:
+    """How crowded each run is: zero (one row at most holds it) to three."""
+    at = _cell(runs, 4 * len(table))
+    return (table[at >> 2] >> (2 * (at & 3)).astype(np.uint8)) & 3
+
+
+def _cell(runs: np.ndarray, cells: int) -> np.ndarray:
+    return ((runs * SPREAD) >> np.uint64(64 - cells.bit_length() + 1)).astype(np.int64)
+
+
+def _first(runs: np.ndarray, table: np.ndarray) -> np.ndarray:
+    """The first runs of a sorted set, the least crowded ones first, without those that no other row holds: similar sets share one of them."""
     top, bottom = COPY_SHARE
-    keep = len(runs) + top * len(runs) // -bottom + 1
-    if last is not None and len(last):
-        at = np.minimum(np.searchsorted(last, runs), len(last) - 1)
-        runs = runs[np.argsort(last[at] == runs, kind="stable")]
-    return runs[:keep] if len(runs) else runs
+    levels = _levels(table, runs)
+    first = np.argsort(levels, kind="stable")[: len(runs) + top * len(runs) // -bottom + 1]
+    return runs[first[levels[first] > 0]]
 
 
 def _parities(sets: list[np.ndarray]) -> np.ndarray:
     """A row of ``PARITY_BITS`` bits, as bytes, for each set."""
     rows = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
-    bits = (np.concatenate([np.zeros(0, np.uint64), *sets]) * SPREAD) >> np.uint64(64 - 9)
+    bits = (np.concatenate([np.zeros(0, np.uint64), *sets]) * SPREAD) >> np.uint64(65 - PARITY_BITS.bit_length())
     odd = np.bincount(rows * PARITY_BITS + bits.astype(np.int64), minlength=len(sets) * PARITY_BITS) & 1
     return np.packbits(odd.astype(np.uint8)).reshape(len(sets), PARITY_BITS // 8)
 
 
 def marked(documents: DataFrame, shingle: int = COPY_SHINGLE) -> DataFrame:
-    """``doc_id, fp, same, bands, n, parity, heads`` for every row: fingerprint, key, bands, size and parity of the set of runs, and its first runs (no bands and runs for empty texts)."""
+    """``doc_id, fp, same, bands, n, parity`` for every row: fingerprint, key, bands, size and parity of the set of runs (no bands for empty texts)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -314,10 +326,10 @@ def marked(documents: DataFrame, shingle: int = COPY_SHINGLE) -> DataFrame:
                 full = [x for x in sets if len(x)]
                 bands = iter(_bands(full).view(np.int64).tolist() if full else ())
                 rows = [next(bands) if len(x) else [] for x in sets]
-                extra = [pa.array([len(x) for x in sets], pa.int64()), pa.array([x.tobytes() for x in _parities(sets)], pa.binary()), pa.array([_first(x).view(np.int64) for x in sets], pa.list_(pa.int64()))]
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps), pa.array([xxhash.xxh128_digest(x.tobytes()) for x in sets], pa.binary()), pa.array(rows, pa.list_(pa.int64())), *extra], names=["doc_id", "fp", "same", "bands", "n", "parity", "heads"])
+                extra = [pa.array([len(x) for x in sets], pa.int64()), pa.array([x.tobytes() for x in _parities(sets)], pa.binary())]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps), pa.array([xxhash.xxh128_digest(x.tobytes()) for x in sets], pa.binary()), pa.array(rows, pa.list_(pa.int64())), *extra], names=["doc_id", "fp", "same", "bands", "n", "parity"])
 
-    return documents.mapInArrow(run, "doc_id long, fp long, same binary, bands array<long>, n long, parity binary, heads array<long>")
+    return documents.mapInArrow(run, "doc_id long, fp long, same binary, bands array<long>, n long, parity binary")
 
 
 def run_sets(documents: DataFrame, shingle: int = COPY_SHINGLE) -> DataFrame:
@@ -347,15 +359,56 @@ def _candidates(distinct: DataFrame, radius: int) -> DataFrame:
     return pairs.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct()
 
 
-def _reordered(documents: DataFrame, last: np.ndarray, shingle: int) -> DataFrame:
-    """``same, heads``: the first runs of each text when the runs of ``last`` come at the end."""
+def _crowds(documents: DataFrame, runs: int, shingle: int) -> np.ndarray:
+    """How many of the rows share a run, by cells of runs: four levels, two bits each (zero: one row or none, whatever else shares the cell)."""
+    cells = min(MOST_CELLS, max(SPAN, 1 << (2 * max(1, runs) - 1).bit_length()))
+    # Cells that many runs share by chance aren't crowded.
+    bounds = np.array([1, max(2, CROWD // 8) + 2 * runs // cells, CROWD + 4 * runs // cells])
+
+    def packed(found: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        at, n = np.unique(np.concatenate(found), return_counts=True)
+        n = np.minimum(n, 255).astype(np.uint8)
+        spans, first = np.unique(at // SPAN, return_index=True)
+        ends = [*first[1:].tolist(), len(at)]
+        rows = [((at[i:j] % SPAN).astype("<u2").tobytes(), n[i:j].tobytes()) for i, j in zip(first.tolist(), ends, strict=True)]
+        yield pa.RecordBatch.from_arrays([pa.array(spans), pa.array([r[0] for r in rows], pa.binary()), pa.array([r[1] for r in rows], pa.binary())], names=["span", "at", "n"])
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        found, held = [], 0
+        for whole in batches:
+            for b in slices(whole, "text"):
+                found += [_cell(x, cells) for x in _run_sets([x.as_py() or b"" for x in b.column(1)], shingle)]
+                held += sum(len(x) for x in found[-b.num_rows :])
+                if held > 4_000_000:
+                    yield from packed(found)
+                    found, held = [], 0
+        if held:
+            yield from packed(found)
+
+    def add(span: pa.Table) -> pa.Table:
+        total = np.zeros(SPAN, dtype=np.int64)
+        for at, n in zip(span.column("at"), span.column("n"), strict=True):
+            total[np.frombuffer(at.as_py(), "<u2")] += np.frombuffer(n.as_py(), np.uint8)
+        level = np.searchsorted(bounds, total).astype(np.uint8).reshape(-1, 4)
+        packed = level[:, 0] | level[:, 1] << 2 | level[:, 2] << 4 | level[:, 3] << 6
+        return pa.table({"span": span.column("span").slice(0, 1), "levels": pa.array([packed.tobytes()], pa.binary())})
+
+    spans = documents.mapInArrow(count, "span long, at binary, n binary").groupBy("span").applyInArrow(add, "span long, levels binary")
+    out = np.zeros(cells // 4, dtype=np.uint8)
+    for r in spans.collect():
+        out[r.span * SPAN // 4 : (r.span + 1) * SPAN // 4] = np.frombuffer(r.levels, np.uint8)
+    return out
+
+
+def _heads(documents: DataFrame, table, shingle: int) -> DataFrame:
+    """``same, heads``: the first runs of each text that has some which other rows may hold."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for b in slices(whole, "text"):
                 sets = _run_sets([x.as_py() or b"" for x in b.column(1)], shingle)
-                heads = pa.array([_first(x, last).view(np.int64) for x in sets], pa.list_(pa.int64()))
-                yield pa.RecordBatch.from_arrays([pa.array([xxhash.xxh128_digest(x.tobytes()) for x in sets], pa.binary()), heads], names=["same", "heads"])
+                rows = [(xxhash.xxh128_digest(x.tobytes()), y.view(np.int64)) for x in sets if len(y := _first(x, table.value))]
+                yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.binary()), pa.array([r[1] for r in rows], pa.list_(pa.int64()))], names=["same", "heads"])
 
     return documents.mapInArrow(run, "same binary, heads array<long>")
 
@@ -393,20 +446,20 @@ def _near(cells: pa.Table) -> pa.Table:
 def _missed(docs: DataFrame, distinct: DataFrame, comps: DataFrame, shingle: int) -> DataFrame:
     """Edges ``src, dst`` to try between rows of different groups, with no pair of the wanted similarity left out.
 
-    Any one order of the runs will do. They are ordered by hash, but those that crowd the
-    first ones come last. A run still crowded is shared by texts that hold little
-    else; its rows are compared block by block, whatever their number.
+    Any one order of the runs will do: they are ordered by how many rows share them, then
+    by hash. Runs of one row only can't be shared and are left out. A crowded run among
+    the first is shared by texts that hold little else; its rows are compared block by
+    block, whatever their number.
     """
-    groups = distinct.join(_small(comps), distinct.doc_id == comps.node, "left").select("doc_id", "same", F.coalesce("comp", "doc_id").alias("comp"), "n", "parity", "heads")
+    single = distinct.select("doc_id").distinct()
+    copies = materialise(docs.select("doc_id").where("doc_id is not null").distinct().join(single, "doc_id", "left_anti"), "copies")
+    texts = docs.where("doc_id is not null").join(_small(copies), "doc_id", "left_anti")
+    runs = distinct.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    table = docs.sparkSession.sparkContext.broadcast(_crowds(texts, runs, shingle))
+    heads = materialise(_heads(texts, table, shingle).dropDuplicates(["same"]), "heads")
+    table.destroy()
+    groups = distinct.select("doc_id", "same", "n", "parity").join(heads, "same").join(_small(comps), F.col("doc_id") == comps.node, "left").select("doc_id", F.coalesce("comp", "doc_id").alias("comp"), "n", "parity", "heads")
     mixed = _mixed(groups)
-    crowded = mixed.where(F.col("rows") > CROWD).orderBy(F.desc("rows"), "run").limit(MOVED).select("run")
-    last = np.sort(np.array([r[0] for r in crowded.collect()], dtype=np.int64).view(np.uint64))
-    if len(last):
-        crowded = docs.sparkSession.createDataFrame(pa.table({"run": last.view(np.int64)}))
-        moved = materialise(distinct.select("doc_id", "same", F.explode("heads").alias("run")).join(F.broadcast(crowded), "run", "left_semi").select("doc_id", "same").distinct(), "moved")
-        heads = materialise(_reordered(docs.join(_small(moved.select("doc_id").distinct()), "doc_id", "left_semi"), last, shingle).dropDuplicates(["same"]), "heads")
-        groups = groups.withColumnRenamed("heads", "old").join(heads, "same", "left").withColumn("heads", F.coalesce("heads", "old")).drop("old")
-        mixed = _mixed(groups)
     total = mixed.agg(F.coalesce(F.sum("rows"), F.lit(0))).first()[0]
     blocks = mixed.select("run", F.ceil(F.col("rows") / GRID).cast("long").alias("blocks"))
     rows = groups.select("doc_id", "comp", "n", "parity", F.explode("heads").alias("run")).join(_small(blocks), "run").withColumn("block", F.pmod(F.xxhash64("doc_id"), F.col("blocks")))
@@ -480,7 +533,7 @@ def near_copies(documents: DataFrame, id_col: str = "doc_id", text_col: str = "t
     ship(documents.sparkSession)
     docs = documents.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("binary").alias("text"))
     marks = materialise(marked(docs, shingle), "marks")
-    distinct = materialise(marks.where("doc_id is not null").groupBy("same").agg(F.min("doc_id").alias("doc_id"), F.min("fp").alias("fp"), *(F.first(c).alias(c) for c in ("bands", "n", "parity", "heads"))), "distinct")
+    distinct = materialise(marks.where("doc_id is not null").groupBy("same").agg(F.min("doc_id").alias("doc_id"), F.min("fp").alias("fp"), *(F.first(c).alias(c) for c in ("bands", "n", "parity"))), "distinct")
     marks = marks.select("doc_id", "same")
     linked = _linked(materialise(_candidates(distinct, radius), "tried"), docs, shingle)
     comps = star_components(linked)

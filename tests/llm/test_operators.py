@@ -581,6 +581,30 @@ def test_near_copies_are_all_joined(spark, monkeypatch):
     assert {r.doc_id: r.component_id for r in simhash_dedup.near_copies(d).collect()} == group
 
 
+def test_shared_passages_nominate_no_pairs(spark, monkeypatch):
+    """Long texts that share a passage only aren't tried with each other; rare runs come first."""
+    tried, missed = [], simhash_dedup._missed
+
+    def counted(*args):
+        out = missed(*args)
+        tried.append(out.count())
+        return out
+
+    monkeypatch.setattr(simhash_dedup, "_missed", counted)
+    rng = random.Random(6)
+    text = lambda k: [f"v{rng.randrange(9000)}" for _ in range(k)]
+    passage = text(40)
+    rows = [(i, " ".join(text(700) + passage + text(700))) for i in range(60)]
+    d = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert {r.doc_id: r.component_id for r in simhash_dedup.near_copies(d).collect()} == {i: i for i in range(60)}
+    assert tried == [0]
+    # A cell tells how many rows hold its runs; runs of one row come first and are left out.
+    table = simhash_dedup._crowds(d, 60 * 1436, 5)
+    common = simhash_dedup._run_sets([" ".join(passage).encode()], 5)[0]
+    assert set(simhash_dedup._levels(table, common).tolist()) <= {2, 3}
+    assert len(simhash_dedup._first(common, table)) == 8
+
+
 def test_pipeline(spark, docs):
     import corpus_pipeline as cp
 
