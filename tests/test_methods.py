@@ -290,3 +290,16 @@ def test_word_vectors_and_nearest_leave_words_in_tasks(spark, monkeypatch):
     want = cosine.search(rows(["w0", "w1", "w2", "w3x"]), rows([n for n in vec if n not in ("w0", "w1", "w2")]), 1, "cos").where("score >= 0.2")
     plain = lambda frame: {r.query_id: (r.id, round(r.score, 9)) for r in frame.collect()}
     assert plain(found) == plain(want) and plain(found)["w3x"][0] == "v3x"
+
+
+def test_bucket_profiles_in_passes(spark, small, monkeypatch):
+    """Counts of a few repetitions at a time equal those of all at once, also of no words."""
+    from lexnorm.operators import buckets
+
+    want = rows(buckets.profile(buckets.explode(small.sigs)))
+    monkeypatch.setattr(buckets, "PASS_ROWS", 30)
+    got = buckets.profiles(small.sigs, 20)
+    assert rows(got) == want and len(want) == 20
+    assert len(got.inputFiles()) >= 7
+    none = small.sigs.where("false")
+    assert theory.cost(small.vocab.where("false"), none, 20).first().buckets == 0 and buckets.profiles(none, 20).count() == 0
