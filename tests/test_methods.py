@@ -303,3 +303,24 @@ def test_bucket_profiles_in_passes(spark, small, monkeypatch):
     assert len(got.inputFiles()) >= 7
     none = small.sigs.where("false")
     assert theory.cost(small.vocab.where("false"), none, 20).first().buckets == 0 and buckets.profiles(none, 20).count() == 0
+
+
+def test_index_keeps_no_second_copy(spark):
+    """Pairs found are the table of edges; pairs, links and rounds go when groups are written."""
+    import os
+
+    from lexnorm.sources import store
+
+    def tables(tag):
+        top = store._made[spark.sparkContext.applicationId]
+        return {x for x in os.listdir(top) if x.startswith(tag + "-")}
+
+    vocab = spark.createDataFrame(list(FAMILIES.items()), "word string, freq long")
+    before = {t: tables(t) for t in ("edges", "pairs", "links", "labels", "star", "sizes")}
+    index = build_index(vocab, HashParams(bins=2, alpha="0.4"))
+    groups = rows(index.norm.select("word", "comp"))
+    assert {t: tables(t) for t in before} == before
+    edges = rows(index.edges)
+    assert edges and tables("edges") == before["edges"]
+    assert rows(components(index.links, vocab.select(F.col("word").alias("node")))) == groups
+    assert rows(components(index.edges, vocab.select(F.col("word").alias("node")), "hash_min")) == groups
