@@ -324,3 +324,16 @@ def test_index_keeps_no_second_copy(spark):
     assert edges and tables("edges") == before["edges"]
     assert rows(components(index.links, vocab.select(F.col("word").alias("node")))) == groups
     assert rows(components(index.edges, vocab.select(F.col("word").alias("node")), "hash_min")) == groups
+
+
+def test_lighter_matches_are_left_out(spark):
+    from lexnorm.operators import matching
+
+    words = [f"{w}{'g' * i}" for w in ("amazing", "feeling") for i in range(1, 10)]
+    family = hashing.Family.draw(HashParams())
+    sigs = lambda some: hashing.signatures(spark.createDataFrame([(w, 1) for w in some], "word string, freq long"), family)
+    new, old = sigs(words[::3]), sigs([w for w in words if w not in words[::3]])
+    every, best = matching.pairs(new, 20, 4, old).collect(), matching.pairs(new, 20, 4, old, best=True).collect()
+    heaviest = {w: max(r.weight for r in every if r.src == w) for w in {r.src for r in every}}
+    top = lambda some: {(r.src, r.dst) for r in some if r.weight == heaviest[r.src]}
+    assert heaviest and top(best) == top(every) and len(best) < len(every)
