@@ -259,6 +259,23 @@ def test_matching_in_passes_and_blocks(spark, monkeypatch):
     assert groups == {r.node: r.comp for r in components(index.edges, vocab.select(F.col("word").alias("node"))).collect()}
 
 
+def test_union_stars_in_passes(spark, monkeypatch):
+    """One link for each word but the least of its group, however many repetitions join them, with or without telling groups to executors."""
+    from lexnorm.operators import matching
+
+    rng = random.Random(5)
+    words = sorted({"".join(rng.choice("abcdefghij") for _ in range(rng.randint(1, 7))) for _ in range(300)})
+    df = spark.createDataFrame([(w, 1) for w in words], "word string, freq long")
+    nodes = df.select(F.col("word").alias("node"))
+    for params in (HashParams(repetitions=6), HashParams(repetitions=5, width=62)):
+        sigs = hashing.signatures(df, hashing.Family.draw(params)).localCheckpoint()
+        want = {r.node: r.comp for r in components(graph.edge_weights(sigs, params.repetitions, 1, "pairs"), nodes, "driver").collect()}
+        assert 1 < len(set(want.values())) < len(words)
+        got = [(r.dst, r.src) for r in graph.edge_weights(sigs, params.repetitions, 1, "union").collect()]
+        assert sorted(got) == sorted((w, c) for w, c in want.items() if w != c)
+        monkeypatch.setattr(matching, "BROADCAST_NODES", 0)
+
+
 def test_word_vectors_and_nearest_leave_words_in_tasks(spark, monkeypatch):
     """Vectors equal sums over the neighbours of each occurrence; the nearest word is found over several blocks, and Spark's driver-bound trainer isn't used."""
     import numpy as np
