@@ -276,6 +276,25 @@ def test_union_stars_in_passes(spark, monkeypatch):
         monkeypatch.setattr(matching, "BROADCAST_NODES", 0)
 
 
+def test_similar_pairs_meet_in_tasks(spark, monkeypatch):
+    """All pairs of brute force, each once, with crowded substrings cut into blocks; no candidates are joined or made distinct."""
+    from lexnorm.functions.hashing import grams_of
+    from lexnorm.operators import similar
+
+    rng = random.Random(9)
+    words = sorted({"".join(rng.choice("abé") for _ in range(rng.randint(1, 12))) * rng.choice((1, 1, 2)) for _ in range(250)} | {"z" * 300, "z" * 301, "".join(map(chr, range(500, 800)))})
+    df = spark.createDataFrame([(w,) for w in words] + [(None,)], "word string")
+    monkeypatch.setattr(similar, "STEP", 500)
+    for lens, least, rows_of_block in (((1, 3, 5), 0.7, 20_000), ((2, 3), 0.5, 10)):
+        monkeypatch.setattr(similar, "BLOCK_ROWS", rows_of_block)
+        sets = {w: grams_of(w, lens) for w in words}
+        want = [(a, b, len(sets[a] & sets[b]) / len(sets[a] | sets[b])) for a, b in combinations(words, 2) if sets[a] | sets[b]]
+        got = graph.exact_pairs(df, lens, least)
+        assert "Join" not in got._jdf.queryExecution().toString()
+        found = [(r.src, r.dst, r.jaccard) for r in got.collect()]
+        assert found and sorted(found) == sorted(x for x in want if x[2] >= least)
+
+
 def test_word_vectors_and_nearest_leave_words_in_tasks(spark, monkeypatch):
     """Vectors equal sums over the neighbours of each occurrence; the nearest word is found over several blocks, and Spark's driver-bound trainer isn't used."""
     import numpy as np
