@@ -328,6 +328,64 @@ def test_word_vectors_and_nearest_leave_words_in_tasks(spark, monkeypatch):
     assert plain(found) == plain(want) and plain(found)["w3x"][0] == "v3x"
 
 
+def test_one_edit_without_a_row_for_each_letter(spark, monkeypatch):
+    """Words one edit apart equal those found by listing all edits, though none are listed."""
+    import itertools
+
+    from lexnorm.baselines import edit
+
+    names = ["".join(x) for n in (1, 2, 3) for x in itertools.product("abé", repeat=n)] + ["bb1a", "a😀b"]
+    dictionary = spark.createDataFrame([(w, i % 5) for i, w in enumerate(names) if i % 2], "word string, score int")
+    words = spark.createDataFrame([(w,) for w in [*names, "zab", "a😀", "abab", "z", None]], "word string")
+    known = {r.word: r.score for r in dictionary.collect()}
+    listed = {r.word: set(r.e) for r in words.where("word is not null").select("word", edit.edits(F.col("word"), "abé1😀").alias("e")).collect()}
+    want = {w: (w, 0) if w in known else min(((c, 1) for c in e if c in known), key=lambda x: (-known[x[0]], x[0].encode()), default=(w, None)) for w, e in listed.items()}
+    few = {r.word: set(r.e) & known.keys() for r in words.where("word is not null").select("word", edit.edits(F.col("word"), "a").alias("e")).collect()}
+    monkeypatch.setattr(edit, "edits", None)
+    assert {r.word: (r.corrected, r.distance) for r in edit.enumerate_edits(words, dictionary, 1).collect()} == want
+    got = {r.word: r.corrected for r in edit.enumerate_edits(words, dictionary, 1, "a").collect()}
+    assert all(got[w] in c or not c and got[w] == w for w, c in few.items() if w not in known)
+
+
+def test_vectors_of_wanted_words_and_repeated_texts(spark):
+    """A text that counts three times equals three texts; vectors of wanted words equal those of all words."""
+    from lexnorm.baselines import cosine
+
+    once = spark.createDataFrame([("a b c a d", 3), ("b e f g h i j k a", 1), ("never", 0)], "text string, times int")
+    full = spark.createDataFrame([("a b c a d",)] * 3 + [("b e f g h i j k a",)], "text string")
+    plain = lambda frame: {r.word: list(r.vec) for r in frame.collect()}
+    want = plain(cosine.word_vectors(full))
+    assert plain(cosine.word_vectors(once, times_col="times")) == want
+    few = spark.createDataFrame([("a",), ("k",), ("k",), ("zz",), (None,)], "word string")
+    assert plain(cosine.word_vectors(full, wanted=few)) == {w: want[w] for w in "ak"}
+
+
+def test_swaps_of_the_words_of_some_rows(spark, tmp_path):
+    """Corrections for some rows equal those of the whole table for their words, and no others are made."""
+    from lexnorm.plans import perturb, workloads
+
+    docs = [(i, " ".join(f"{a}{b}{i % 3}" for a in ("red", "green", "blue") for b in ("stone", "river"))) for i in range(40)]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    ids = spark.createDataFrame([(3,), (8,), (21,)], "id long")
+    some = rows(workloads.swaps(spark, str(tmp_path), "documents", ("none", "edit_index", "word_vectors"), (20, 60), among=ids))
+    full = rows(workloads.swaps(spark, str(tmp_path), "documents", ("none", "edit_index", "word_vectors"), (20, 60)))
+    texts = workloads.sentences(spark, str(tmp_path), "documents").join(ids, "id")
+    asked = {w for r in (20, 60) for x in perturb.noise(texts, "id", "text", r, 13).collect() for w in x.noisy_words}
+    assert sorted(some) == sorted(r for r in full if r[1] in asked) and len(some) < len(full)
+
+
+def test_small_groups_join_in_one_task(spark, monkeypatch):
+    """Groups equal those of the star contractions, in one task for few edges only."""
+    from lexnorm.operators import components as c
+
+    edges = spark.createDataFrame([("b", "a"), ("c", "b"), ("x", "é"), ("q", "q"), (None, "a"), ("z", "x")], "src string, dst string")
+    want = sorted(rows(c.components(edges)))
+    assert sorted(rows(c.components(edges, method="task", limit=3))) == want
+    monkeypatch.setattr(c, "star_components", None)
+    assert sorted(rows(c.components(edges, method="task"))) == want
+    assert c.components(edges.limit(0), method="task").count() == 0
+
+
 def test_bucket_profiles_in_passes(spark, small, monkeypatch):
     """Counts of a few repetitions at a time equal those of all at once, also of no words."""
     from lexnorm.operators import buckets
