@@ -386,6 +386,30 @@ def test_small_groups_join_in_one_task(spark, monkeypatch):
     assert c.components(edges.limit(0), method="task").count() == 0
 
 
+def test_sentiment_sums_accepted_words_once(spark, tmp_path, monkeypatch):
+    """Each method's sums equal those of its corrected texts, and no texts are written for a method."""
+    from collections import Counter
+
+    from pyspark.ml.feature import HashingTF
+
+    from lexnorm.plans import workloads
+
+    texts = [f"stone river{' bridge' * (i % 2)} {'stonne' if i == 4 else 'rivre' if i == 7 else 'water'} {'qqqq' if i == 9 else ''}" for i in range(40)] + ["onlyrare", "", None]
+    spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(i, i % 2) for i in range(len(texts))], "doc_id long, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    made = []
+    keep = workloads.materialise
+    monkeypatch.setattr(workloads, "materialise", lambda df, tag: made.append((tag, keep(df, tag))) or made[-1][1])
+    got = workloads.sentiment(spark, str(tmp_path), "toxic", ("none", "edit_index")).collect()
+    assert [r.method for r in got] == ["none", "edit_index"]
+    fixed = [df for tag, df in made if tag == "fixed"]
+    plain = lambda frame: Counter((r.y, tuple(r.x.toArray())) for r in frame.collect())
+    for df, swap in zip(fixed, ({}, {"stonne": "stone"}), strict=True):
+        assert "words" not in df.columns
+        lists = [(float(i % 2), [swap.get(w, w) for w in (t or "").split()]) for i, t in enumerate(texts) if t]
+        assert plain(df) == plain(HashingTF(numFeatures=256, inputCol="words", outputCol="x").transform(spark.createDataFrame(lists, "y double, words array<string>")))
+
+
 def test_bucket_profiles_in_passes(spark, small, monkeypatch):
     """Counts of a few repetitions at a time equal those of all at once, also of no words."""
     from lexnorm.operators import buckets
